@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
-from stkfun.llm import simhash_pivots
+from stkfun.llm import ftrl_quality, simhash_pivots, slot_sharding, source_mix, tiling_decontam
 
 
 def queries() -> dict:
-    return {"op1_simhash_pivots": simhash_pivots.op1_query}
+    return {
+        "op1_simhash_pivots": simhash_pivots.op1_query,
+        "op3_slot_sharding": slot_sharding.op3_query,
+        "op5_source_mix": source_mix.op5_query,
+        "op9_ftrl_quality": ftrl_quality.op9_query,
+        "op10_tiling_decontam": tiling_decontam.op10_query,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op3_slot_sharding": slot_sharding.OP3_SQL, "op5_source_mix": source_mix.OP5_SQL}
