@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from stkfun.llm import divergence_rules, ftrl_quality, hpy_lm, phrase_dedup, pii_sanitize, simhash_pivots, slot_sharding, source_mix, tiling_decontam
+from stkfun.llm import divergence_rules, ftrl_quality, hpy_lm, license_scan, phrase_dedup, pii_sanitize, simhash_pivots, slot_sharding, source_mix, tiling_decontam
 
 
 def queries() -> dict:
     return {
         "op1_simhash_pivots": simhash_pivots.op1_query,
+        "op2_license_scan": license_scan.op2_query,
         "op3_slot_sharding": slot_sharding.op3_query,
         "op4_phrase_dedup": phrase_dedup.op4_query,
         "op5_source_mix": source_mix.op5_query,
