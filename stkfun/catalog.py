@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from stkfun.plans import workloads
+
 
 def queries() -> dict:
-    return {}
+    return {name: run for name, (run, _) in workloads.entries().items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {name: sql for name, (_, sql) in workloads.entries().items() if sql}
