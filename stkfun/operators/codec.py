@@ -15,6 +15,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType
 
 from stkfun.operators.local_index import BoxTree
 
@@ -46,7 +47,7 @@ def _point_rows(id, x, y, mult, t0, t1, zone) -> np.ndarray:
     return out
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(BinaryType())
 def pack_point(id: pd.Series, x: pd.Series, y: pd.Series, mult: pd.Series, t0: pd.Series, t1: pd.Series, zone: pd.Series) -> pd.Series:
     return _packed(_point_rows(id, x, y, mult, t0, t1, zone))
 
@@ -65,7 +66,7 @@ def decode_points(coded: DataFrame) -> DataFrame:
 
 
 def encode_cylinders(points: DataFrame, rs: float, rt: int, unit: str = "h") -> DataFrame:
-    @F.pandas_udf("binary")
+    @F.pandas_udf(BinaryType())
     def pack(id: pd.Series, x: pd.Series, y: pd.Series, mult: pd.Series, t0: pd.Series, t1: pd.Series, zone: pd.Series) -> pd.Series:
         out = np.zeros(len(id), _CYLINDER)
         out["cls"], out["point"], out["rs"], out["rt"], out["unit"] = CYLINDER, _point_rows(id, x, y, mult, t0, t1, zone), rs, rt, TIME_UNITS.index(unit)
@@ -87,7 +88,7 @@ def decode_cylinders(coded: DataFrame) -> DataFrame:
 def encode_envelopes(boxes: DataFrame) -> DataFrame:
     """Rows env_id, x0, x1, y0, y1, t0, t1, zone."""
 
-    @F.pandas_udf("binary")
+    @F.pandas_udf(BinaryType())
     def pack(env_id: pd.Series, x0: pd.Series, x1: pd.Series, y0: pd.Series, y1: pd.Series, t0: pd.Series, t1: pd.Series, zone: pd.Series) -> pd.Series:
         out = np.zeros(len(env_id), _ENVELOPE)
         out["cls"] = ENVELOPE
@@ -170,7 +171,7 @@ def decode_index(data: bytes) -> BoxTree:
     return BoxTree(np.array(lo), np.array(hi), np.array(first), np.array(last), np.array(leaf), np.concatenate(order) if items else np.zeros(0, int), capacity, height)
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(BinaryType())
 def pickle_point(id: pd.Series, x: pd.Series, y: pd.Series, mult: pd.Series, t0: pd.Series, t1: pd.Series, zone: pd.Series) -> pd.Series:
     rows = zip(id, x, y, mult, t0, t1, zone)
     names = ("id", "x", "y", "mult", "t0", "t1", "zone")

@@ -193,8 +193,13 @@ def estimate_k_cross(points: DataFrame, mark_a: str, mark_b: str, window: StudyW
 def estimate_k_inhom(points: DataFrame, window: StudyWindow, grid: DistanceGrid, lambda_col: str) -> DataFrame:
     """Pairs weighted by 1 / (lambda_i lambda_j), over area times hours."""
     found = pairs_cells(points, grid.s_max, grid.t_max, carry=(lambda_col,), window=window)
-    w = pair_weight(window) / (F.col(f"c_{lambda_col}") * F.col(f"q_{lambda_col}"))
-    return surface(cumulate(histogram(found, grid, w), grid), grid, F.lit(1.0 / (window.area * window.hours)))
+    w = pair_weight(window) * intensity_unit(window) / (F.col(f"c_{lambda_col}") * F.col(f"q_{lambda_col}"))
+    return surface(cumulate(histogram(found, grid, w), grid), grid, F.lit(1.0 / (window.area * window.hours) / intensity_unit(window)))
+
+
+def intensity_unit(window: StudyWindow) -> float:
+    """The squared density of 10,000 points: keeps inverse intensities in the range of fixed point."""
+    return (1e4 / (window.area * window.hours)) ** 2
 
 
 def grid_intensity(points: DataFrame, window: StudyWindow, nx: int, ny: int, nt: int) -> DataFrame:

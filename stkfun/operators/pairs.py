@@ -14,6 +14,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from stkfun.functions.geometry import space_distance, time_distance
+from stkfun.functions.shared import settle
 
 
 def sides(points: DataFrame, keys: tuple[str, ...] = (), carry: tuple[str, ...] = ()) -> tuple[DataFrame, DataFrame]:
@@ -69,12 +70,15 @@ def _origin(window) -> int:
     return window.t_start if window is not None else 0
 
 
-def pairs_cells(points: DataFrame, s: float, t: int, keys=(), carry=(), window=None, salt: int = 1, half: bool = False) -> DataFrame:
+def pairs_cells(points: DataFrame, s: float, t: int, keys=(), carry=(), window=None, salt: int = 1, half: bool = False, centres: DataFrame | None = None) -> DataFrame:
     """Equi-join on cells of side (s, t): a centre visits its 27 neighbour cells.
 
     ``salt`` deals the neighbours of a cell to so many buckets and repeats the
-    centres, for hot cells; ``half`` finds each unordered pair once (i < j)."""
+    centres, for hot cells; ``half`` finds each unordered pair once (i < j);
+    ``centres``: other rows than the points themselves."""
     c, q = sides(points, keys, carry)
+    if centres is not None:
+        c = sides(centres, keys, carry)[0]
     t = max(int(t), 1)
     place = lambda p: F.struct(cell(F.col(f"{p}_x"), s).alias("a"), cell(F.col(f"{p}_y"), s).alias("b"), time_cell(F.col(f"{p}_t0"), t, _origin(window)).alias("e"))
     steps = [o for o in product((-1, 0, 1), repeat=3)]
@@ -131,9 +135,7 @@ def pairs_sweep(points: DataFrame, s: float, t: int, keys=(), carry=(), window=N
 
 def neighbours(points: DataFrame, centres: DataFrame, s: float, t: int, window=None) -> DataFrame:
     """(i, j, d, u): points within (s, t) of given centres, other ids than the centre's."""
-    both = centres.select("id", "x", "y", "t0", "t1", F.lit(1).alias("asks")).unionByName(points.select("id", "x", "y", "t0", "t1", F.lit(0).alias("asks")))
-    got = pairs_cells(both, s, t, carry=("asks",), window=window)
-    return got.where("c_asks = 1 and q_asks = 0").select("i", "j", "d", "u")
+    return pairs_cells(points, s, t, window=window, centres=centres).select("i", "j", "d", "u")
 
 
 def neighbour_count(points: DataFrame, s: float, t: int, window=None) -> DataFrame:
@@ -147,21 +149,21 @@ def knn(points: DataFrame, k: int, speed: float, start: float, rounds: int = 12)
 
     Searches a radius, doubles it for points that have not k neighbours inside it."""
     hour = 3_600_000_000
+    cols = ["id", "x", "y", "t0", "t1"]
+    points = points.select(*cols)
     todo, parts, radius = points, [], float(start)
     for n in range(rounds):
         last = n == rounds - 1
-        reach = max(1, int(radius / speed * hour))
-        ask = todo.select("id", "x", "y", "t0", "t1", F.lit(1).alias("asks")).unionByName(points.select("id", "x", "y", "t0", "t1", F.lit(0).alias("asks")))
-        got = pairs_cells(ask, radius, reach, carry=("asks",)).where("c_asks = 1 and q_asks = 0")
+        got = pairs_cells(points, radius, max(1, int(radius / speed * hour)), centres=todo)
         r = F.sqrt(F.col("d") * F.col("d") + F.pow(F.lit(speed) * F.col("u") / float(hour), F.lit(2)))
         got = got.select("i", "j", r.alias("r")).where(F.col("r") <= radius)
-        ranked = got.withColumn("rank", F.row_number().over(Window.partitionBy("i").orderBy("r", "j"))).where(F.col("rank") <= k)
-        done = ranked.groupBy("i").agg(F.count("*").alias("n")).where(F.col("n") >= k).select("i")
-        parts.append(ranked if last else ranked.join(done, "i", "left_semi"))
-        rest = todo.join(done, todo.id == done.i, "left_anti")
-        if last or rest.limit(1).count() == 0:
+        ranked = settle(got.withColumn("rank", F.row_number().over(Window.partitionBy("i").orderBy("r", "j"))).where(F.col("rank") <= k), "ranked")
+        done = ranked.where(F.col("rank") == k).select(F.col("i").alias("id"))
+        parts.append(ranked if last else ranked.join(done.withColumnRenamed("id", "i"), "i", "left_semi"))
+        todo = settle(todo.join(done, "id", "left_anti").select(*cols), "unmet")
+        if todo.limit(1).count() == 0:
             break
-        todo, radius = rest, radius * 2
+        radius *= 2
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)

@@ -138,7 +138,7 @@ def envelope(surfaces: DataFrame) -> DataFrame:
 def significance(observed: DataFrame, surfaces: DataFrame) -> DataFrame:
     """Decision and p = (1 + simulations at or above) / (m + 1) at every distance."""
     o = observed.select("si", "ti", "s", "t", F.col("l").alias("l_obs"))
-    both = surfaces.join(F.broadcast(o), ["si", "ti"])
+    both = surfaces.select("si", "ti", "l").join(F.broadcast(o), ["si", "ti"])
     out = both.groupBy("si", "ti", "s", "t", "l_obs").agg(F.max("l").alias("l_upper"), F.min("l").alias("l_lower"), F.count_if(F.col("l") >= F.col("l_obs")).alias("above"), F.count("l").alias("m"))
     return out.select("si", "ti", "s", "t", "l_obs", "l_upper", "l_lower", F.abs(F.col("l_obs") - F.col("l_upper")).alias("diff"), ((F.col("above") + 1) / (F.col("m") + 1)).alias("p"), classify(F.col("l_obs"), F.col("l_lower"), F.col("l_upper")).alias("verdict"))
 

@@ -8,17 +8,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stkfun import oracle as o
-from stkfun.config import DAY, G10, G20, G_LINES, G_ORDERS, HOUR, W_EMBED, W_EVENTS, W_LINES, W_ORDERS, DistanceGrid
+from stkfun.config import G10, G20, G_ORDERS, HOUR, W_EVENTS, W_ORDERS, DistanceGrid
 from stkfun.operators import estimate as est
 from stkfun.operators import pairs as pr
 from stkfun.operators import partition as part
-from stkfun.operators import simulate as sim
+from stkfun.plans import surrounding, variants
 from stkfun.sources import points as src
 
 #: Space 5, time 20 h in 5 x 5 bins, for the pair variants.
 G5 = DistanceGrid(1.0, 5, 4 * HOUR, 5)
-G_SIM = DistanceGrid(2.5, 2, 10 * HOUR, 2)
-G_EMBED = DistanceGrid(0.05, 10, 1, 1)
 
 
 def rounded(df: DataFrame, *names: str) -> DataFrame:
@@ -72,4 +70,4 @@ def core() -> dict:
 
 @cache
 def entries() -> dict:
-    return core()
+    return core() | variants.entries() | surrounding.entries()
