@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from stkfun.llm.batches import gram_hashes, lowered, small_batches, text_bytes, word_hashes, word_spans
 
 SLOTS = 1 << 18
-MAX_ROWS = 6000
+MAX_ROWS = 3000
 THRESHOLD = 0.7
 
 _SHAPE = np.arange(256, dtype=np.uint8)
