@@ -10,6 +10,11 @@ fingerprints discards pairs whose largest coordinate difference exceeds
 bit by bit. A large bucket is cut by further agreeing blocks of its free bits
 and returns a spanning forest, never all its pairs.
 
+Near copies at a shingle similarity of 0.8 differ in up to a quarter of the bits,
+too many for blocks. ``similar_links`` brings them together by equal bands of
+smallest shingle hashes instead; pivots discard and bits verify in the same
+buckets, and the share of equal smallest hashes confirms the similarity.
+
 Defined cases: null and wordless texts have fingerprint 0 and link like any
 other; rows are kept one to one, repeated rows and null ids included; a
 component of null ids alone has a null component_id; an empty table gives an
@@ -28,7 +33,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from stkfun.functions.shared import settle
-from stkfun.llm.batches import lowered, small_batches, text_bytes, word_spans
+from stkfun.llm.batches import gram_hashes, lowered, mixed, small_batches, text_bytes, word_hashes, word_spans
 
 PIVOTS = 24
 _DENSE = 2048
@@ -66,6 +71,64 @@ def _fingerprinter(shingle: int):
     return run
 
 
+BANDS, BAND_ROWS = 16, 6
+WIDE_BITS = 16
+_SLACK = 0.08
+
+
+def smallest_hashes(raw: np.ndarray, off: np.ndarray, shingle: int, n: int = BANDS * BAND_ROWS) -> np.ndarray:
+    """For each text the least value of ``n`` hash functions over its shingles (32 bits each)."""
+    starts, ends, first = word_spans(raw, off)
+    words, counts = word_hashes(raw, starts, ends), np.diff(first)
+    owner = np.repeat(np.arange(len(counts)), counts)
+    grams = gram_hashes(words, shingle)
+    inside = owner[: len(grams)] == owner[shingle - 1 :] if len(grams) else np.zeros(0, bool)
+    grams, owner = grams[inside], owner[: len(grams)][inside]
+    whole = np.array([xxhash.xxh64_intdigest(words[a:b].tobytes()) for a, b in zip(first, first[1:]) if b - a < shingle], np.uint64)
+    short = np.flatnonzero(counts < shingle)
+    order = np.argsort(np.concatenate([owner, short]), kind="stable")
+    hashes = mixed(np.concatenate([grams, whole])[order])
+    heads = np.searchsorted(np.concatenate([owner, short])[order], np.arange(len(counts)))
+    out = np.empty((len(counts), n), np.uint32)
+    for k, factor in enumerate(pivot_values(n) | np.uint64(1)):
+        out[:, k] = np.minimum.reduceat((hashes * factor) >> np.uint64(32), heads)
+    return out
+
+
+def _profiler(shingle: int):
+    mark = _fingerprinter(shingle)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in small_batches(batches, "text"):
+            raw, off = text_bytes(batch.column("text"))
+            least = smallest_hashes(lowered(raw), off, shingle)
+            keys = np.stack([gram_hashes_of_rows(least[:, k * BAND_ROWS : (k + 1) * BAND_ROWS], k) for k in range(BANDS)], 1)
+            base = pa.Table.from_batches(mark([batch])).combine_chunks()
+            cuts = lambda m: pa.array(np.arange(0, len(least) * m + 1, m, dtype=np.int32))
+            lists = [pa.ListArray.from_arrays(cuts(BANDS), pa.array(keys.ravel().view(np.int64))), pa.ListArray.from_arrays(cuts(least.shape[1]), pa.array(least.ravel().view(np.int32)))]
+            yield pa.RecordBatch.from_arrays([*(base.column(n).combine_chunks() for n in ("doc_id", "row_key", "fp")), *lists], ["doc_id", "row_key", "fp", "keys", "least"])
+
+    return run
+
+
+def gram_hashes_of_rows(rows: np.ndarray, seed: int) -> np.ndarray:
+    """One 64-bit hash of each row."""
+    out = np.full(len(rows), seed + 1, np.uint64)
+    for column in rows.T:
+        out = mixed(out * np.uint64(0x9E3779B97F4A7C15) + column)
+    return out
+
+
+def similar_links(profiles: DataFrame, similarity: float, max_bits: int = WIDE_BITS) -> DataFrame:
+    """u, v: edges between distinct fingerprints of similar texts. ``profiles``: fp, keys, least."""
+    nodes = settle(profiles.groupBy("fp").agg(F.first("keys").alias("keys"), F.first("least").alias("least")), "profiles")
+    spread = nodes.select("fp", F.explode("keys").alias("key")).repartition("key").sortWithinPartitions("key")
+    found = settle(spread.select("key", "fp").mapInArrow(_linker(max_bits), "u long, v long").distinct(), "candidates")
+    a, b = nodes.select(F.col("fp").alias("u"), F.col("least").alias("a")), nodes.select(F.col("fp").alias("v"), F.col("least").alias("b"))
+    same = F.size(F.filter(F.zip_with("a", "b", lambda x, y: x == y), lambda e: e))
+    return found.join(a, "u").join(b, "v").where(same >= (similarity - _SLACK) * BANDS * BAND_ROWS).select("u", "v")
+
+
 def row_key(doc_id: Column, text: Column) -> Column:
     """Ids where there are any, else the text's hash."""
     return F.coalesce(doc_id.cast("long"), F.xxhash64(text))
@@ -234,22 +297,32 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     return now.select(F.col("a").alias("node"), F.col("b").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 3, max_bits: int = 3, blocks: int = 6, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, row_key, fp, root (smallest fingerprint of the component), component_id."""
-    marked = settle(fingerprints(docs, shingle, id_col, text_col), "fingerprints")
+def near_duplicates(docs: DataFrame, shingle: int = 3, max_bits: int = 3, blocks: int = 6, similarity: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, row_key, fp, root (smallest fingerprint of the component), component_id.
+
+    ``similarity`` also links texts whose shingles are as similar, at any distance."""
+    if similarity is None:
+        marked = settle(fingerprints(docs, shingle, id_col, text_col), "fingerprints")
+    else:
+        src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+        src = src.select("doc_id", row_key(F.col("doc_id"), F.col("text")).alias("row_key"), "text")
+        marked = settle(src.mapInArrow(_profiler(shingle), "doc_id long, row_key long, fp long, keys array<long>, least array<int>"), "fingerprints")
     distinct = marked.groupBy("fp").agg(F.min("doc_id").alias("low"))
-    comp = components(links(distinct.select("fp"), max_bits, blocks))
+    edges = links(distinct.select("fp"), max_bits, blocks)
+    if similarity is not None:
+        edges = edges.union(similar_links(marked, similarity))
+    comp = components(edges)
     rooted = distinct.join(comp, distinct.fp == comp.node, "left").select("fp", "low", F.coalesce("root", "fp").alias("root"))
     rooted = settle(rooted, "rooted")
     whole = rooted.groupBy("root").agg(F.min("low").alias("component_id"))
     named = rooted.join(whole, "root").select("fp", "root", "component_id")
-    return marked.join(named, "fp").select("doc_id", "row_key", "fp", "root", "component_id")
+    return marked.select("doc_id", "row_key", "fp").join(named, "fp").select("doc_id", "row_key", "fp", "root", "component_id")
 
 
-def keep_one(docs: DataFrame, shingle: int = 5, max_bits: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def keep_one(docs: DataFrame, shingle: int = 5, max_bits: int = 3, similarity: float | None = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` without near-duplicates: of each component the row
     with the smallest id stays, one row where that is repeated."""
-    found = near_duplicates(docs, shingle, max_bits, id_col=id_col, text_col=text_col)
+    found = near_duplicates(docs, shingle, max_bits, similarity=similarity, id_col=id_col, text_col=text_col)
     keepers = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), F.col("row_key").alias("key"))).alias("k")).select("k.none", "k.key")
     none, key = "__none", "__key"
     rows = docs.withColumns({none: F.col(id_col).isNull(), key: row_key(F.col(id_col), F.col(text_col))})

@@ -53,11 +53,31 @@ def test_simhash(edge_docs, empty_docs, edge_rows):
     want = sorted(((r[0] if r[0] is not None else -1, f if f < 1 << 63 else f - (1 << 64), min(low[c], default=None)) for r, f, c in zip(edge_rows, fps, comp)), key=str)
     assert sorted(((r.doc_id if r.doc_id is not None else -1, r.fp, r.component_id) for r in got), key=str) == want
     assert simhash_pivots.near_duplicates(empty_docs).count() == 0
-    kept = simhash_pivots.keep_one(edge_docs, shingle=3)
+    kept = simhash_pivots.keep_one(edge_docs, shingle=3, similarity=None)
     assert kept.columns == edge_docs.columns
     assert kept.count() == len(set(comp))
 
 
+def test_similar_texts_are_linked(spark):
+    rng = np.random.default_rng(7)
+    vocab = [f"v{i}" for i in range(500)]
+    rows, groups = [], {}
+    for g in range(60):
+        base = list(rng.choice(vocab, 200))
+        for c in range(3):
+            text = list(base)
+            if c:
+                for at in rng.choice(200, 3, replace=False):
+                    text[at] = f"edit{g}{c}{at}"
+            rows.append((len(rows), " ".join(text)))
+            groups[len(rows) - 1] = g
+    half = rows[0][1].split()[:100] + list(rng.choice(vocab, 100))
+    rows.append((len(rows), " ".join(half)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = {r.doc_id for r in simhash_pivots.keep_one(docs).collect()}
+    assert kept == {3 * g for g in range(60)} | {len(rows) - 1}
+
+
 def test_forest_of_a_dense_group():
     rng = np.random.default_rng(0)
     centre = np.uint64(rng.integers(0, 1 << 63))
