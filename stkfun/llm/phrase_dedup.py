@@ -45,7 +45,7 @@ from stkfun.llm.batches import gram_hashes, sliding, small_batches, text_bytes,
 
 WINDOW = 35
 PHRASE = 8
-HOT = 20_000
+HOT = 2_000
 _AUTOMATON_BYTES = 2 << 20
 
 
@@ -190,6 +190,19 @@ def _remover(window: int):
     return run
 
 
+_BUCKETS, _BITS = 512, 32_768
+
+
+def maybe_in(rows: DataFrame, wanted: DataFrame, key: str = "th") -> DataFrame:
+    """``rows`` whose key may be among those of ``wanted``: a bitmap of fixed size
+    (2 MB) spares most other rows a shuffle; the join that follows is exact."""
+    bucket, bit = F.pmod(F.col(key), F.lit(_BUCKETS)), F.pmod(F.shiftright(key, 20), F.lit(_BITS))
+    maps = wanted.select(bucket.alias("bucket"), bit.alias("bit")).groupBy("bucket").agg(F.bitmap_construct_agg("bit").alias("bits"))
+    byte = F.conv(F.hex(F.substring(F.col("bits"), (F.floor(bit / 8) + 1).cast("int"), F.lit(1))), 16, 10).cast("int")
+    joined = rows.withColumn("bucket", bucket).join(F.broadcast(maps), "bucket")
+    return joined.where(F.floor(byte / F.pow(F.lit(2), bit % 8)) % 2 == 1).select(*rows.columns)
+
+
 def repeated_windows(docs: DataFrame, window: int = WINDOW, phrase: int = PHRASE, hot: int = HOT, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
     """(texts: uid, doc_id, n_words, sha, copies; found: uid, text, windows):
     all rows, and the starts of repeated windows of texts without a copy."""
@@ -201,18 +214,21 @@ def repeated_windows(docs: DataFrame, window: int = WINDOW, phrase: int = PHRASE
     recurring = marks.select(F.explode(F.arrays_zip("key", "weight")).alias("z")).groupBy(F.col("z.key").alias("key")).agg(F.sum("z.weight").alias("n")).where("n > 1")
     copies = survey.groupBy("hi", "lo").agg(F.count("*").alias("copies"), F.min("uid").alias("rep"))
     texts = settle(survey.select("uid", "doc_id", "th", "hi", "lo", "n_words", "sha").join(copies, ["hi", "lo"]).select("uid", "doc_id", "th", "n_words", "sha", "copies", "rep"), "texts")
-    runs = marks.select("uid", F.explode(F.arrays_zip("key", "start", "many")).alias("z")).select("uid", "z.*")
-    runs = runs.join(recurring, "key").select("uid", F.struct("key", "start", "many", (F.col("n") > hot).alias("hot")).alias("run"))
-    per_text = runs.groupBy("uid").agg(F.collect_list("run").alias("runs"))
-    wanted = texts.where("uid = rep").select("uid", F.coalesce("doc_id", "th").alias("rk"), "th", "copies").join(per_text, "uid")
+    runs = marks.select("uid", F.explode(F.arrays_zip("key", "start", "many", "weight")).alias("z")).select("uid", "z.*")
+    runs = runs.join(recurring, "key").select("uid", "n", "weight", F.struct("key", "start", "many", (F.col("n") > hot).alias("hot")).alias("run"))
+    searched = texts.where("uid = rep").select("uid", F.coalesce("doc_id", "th").alias("rk"), "th", "copies")
+    # A copied text is settled; its stretches matter where another text has the phrase too.
+    shared = runs.join(searched, "uid").where((F.col("copies") == 1) | (F.col("n") > F.col("copies") * F.col("weight")))
+    wanted = shared.groupBy("uid", "rk", "th", "copies").agg(F.collect_list("run").alias("runs"))
     sources = src.where("text is not null").select(F.coalesce("doc_id", "th").alias("rk"), "th", "text")
-    hits = settle(sources.join(wanted, ["rk", "th"]).select("uid", "copies", "runs", "text"), "hits")
+    wanted = settle(wanted, "wanted")
+    hits = settle(maybe_in(sources, wanted).join(wanted, ["rk", "th"]).select("uid", "copies", "runs", "text"), "hits")
     cut_schema = "uid long, copies long, key long, salt long, s1 long, s2 long, start int, many int, at int, words string"
     cut = settle(hits.mapInArrow(_cutter(window, phrase), cut_schema), "stretches")
     merged = cut.groupBy("key", "salt", "s1", "s2").agg(F.sum("copies").alias("weight"), F.first("many").alias("many"), F.first("at").alias("at"), F.first("words").alias("words"))
     dealt = merged.repartition("key", "salt").sortWithinPartitions("key", "salt", "s1", "s2")
     verdict = dealt.select("key", "salt", "s1", "s2", "weight", "many", "at", "words").mapInArrow(_confirmer(window, phrase), "s1 long, s2 long, offsets array<int>")
-    verdict = settle(verdict, "verdicts").groupBy("s1", "s2").agg(F.first("offsets").alias("offsets"))
+    verdict = settle(verdict, "verdicts")
     back = cut.where("copies = 1").select("uid", "start", "s1", "s2").join(verdict, ["s1", "s2"])
     back = back.select("uid", F.transform("offsets", lambda o: o + F.col("start")).alias("w")).groupBy("uid").agg(F.flatten(F.collect_list("w")).alias("windows"))
     return texts, hits.where("copies = 1").select("uid", "text").join(back, "uid")
