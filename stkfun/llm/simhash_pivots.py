@@ -12,8 +12,8 @@ and returns a spanning forest, never all its pairs.
 
 Near copies at a shingle similarity of 0.8 differ in up to a quarter of the bits,
 too many for blocks. ``similar_links`` brings them together by equal bands of
-smallest shingle hashes instead; pivots discard and bits verify in the same
-buckets, and the share of equal smallest hashes confirms the similarity.
+smallest shingle hashes instead and confirms pairs by their shingles inside the
+bucket; what leaves a bucket is a forest of confirmed pairs.
 
 Defined cases: null and wordless texts have fingerprint 0 and link like any
 other; rows are kept one to one, repeated rows and null ids included; a
@@ -72,12 +72,10 @@ def _fingerprinter(shingle: int):
 
 
 BANDS, BAND_ROWS = 16, 6
-WIDE_BITS = 16
-_SLACK = 0.08
 
 
-def smallest_hashes(raw: np.ndarray, off: np.ndarray, shingle: int, n: int = BANDS * BAND_ROWS) -> np.ndarray:
-    """For each text the least value of ``n`` hash functions over its shingles (32 bits each)."""
+def shingle_hashes(raw: np.ndarray, off: np.ndarray, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """The shingle hashes of all texts back to back, and where each text's begin; a shorter text is one shingle."""
     starts, ends, first = word_spans(raw, off)
     words, counts = word_hashes(raw, starts, ends), np.diff(first)
     owner = np.repeat(np.arange(len(counts)), counts)
@@ -88,8 +86,12 @@ def smallest_hashes(raw: np.ndarray, off: np.ndarray, shingle: int, n: int = BAN
     short = np.flatnonzero(counts < shingle)
     order = np.argsort(np.concatenate([owner, short]), kind="stable")
     hashes = mixed(np.concatenate([grams, whole])[order])
-    heads = np.searchsorted(np.concatenate([owner, short])[order], np.arange(len(counts)))
-    out = np.empty((len(counts), n), np.uint32)
+    return hashes, np.searchsorted(np.concatenate([owner, short])[order], np.arange(len(counts)))
+
+
+def smallest_hashes(hashes: np.ndarray, heads: np.ndarray, n: int = BANDS * BAND_ROWS) -> np.ndarray:
+    """For each text the least value of ``n`` hash functions over its shingles (32 bits each)."""
+    out = np.empty((len(heads), n), np.uint32)
     for k, factor in enumerate(pivot_values(n) | np.uint64(1)):
         out[:, k] = np.minimum.reduceat((hashes * factor) >> np.uint64(32), heads)
     return out
@@ -101,12 +103,26 @@ def _profiler(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small_batches(batches, "text"):
             raw, off = text_bytes(batch.column("text"))
-            least = smallest_hashes(lowered(raw), off, shingle)
+            hashes, heads = shingle_hashes(lowered(raw), off, shingle)
+            least = smallest_hashes(hashes, heads)
             keys = np.stack([gram_hashes_of_rows(least[:, k * BAND_ROWS : (k + 1) * BAND_ROWS], k) for k in range(BANDS)], 1)
+            sig = np.add.reduceat(mixed(hashes + np.uint64(1)), heads)
             base = pa.Table.from_batches(mark([batch])).combine_chunks()
-            cuts = lambda m: pa.array(np.arange(0, len(least) * m + 1, m, dtype=np.int32))
-            lists = [pa.ListArray.from_arrays(cuts(BANDS), pa.array(keys.ravel().view(np.int64))), pa.ListArray.from_arrays(cuts(least.shape[1]), pa.array(least.ravel().view(np.int32)))]
-            yield pa.RecordBatch.from_arrays([*(base.column(n).combine_chunks() for n in ("doc_id", "row_key", "fp")), *lists], ["doc_id", "row_key", "fp", "keys", "least"])
+            cuts = pa.array(np.arange(0, len(least) * BANDS + 1, BANDS, dtype=np.int32))
+            extra = [batch.column("mark"), pa.array(sig.view(np.int64)), pa.ListArray.from_arrays(cuts, pa.array(keys.ravel().view(np.int64)))]
+            yield pa.RecordBatch.from_arrays([*(base.column(n).combine_chunks() for n in ("doc_id", "row_key", "fp")), *extra], ["doc_id", "row_key", "fp", "mark", "sig", "keys"])
+
+    return run
+
+
+def _shingler(shingle: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in small_batches(batches, "text"):
+            raw, off = text_bytes(batch.column("text"))
+            hashes, heads = shingle_hashes(lowered(raw), off, shingle)
+            sets = [np.unique(h) for h in np.split(hashes, heads[1:])]
+            cuts = pa.array(np.cumsum([0, *map(len, sets)]).astype(np.int32))
+            yield pa.RecordBatch.from_arrays([batch.column("node"), batch.column("fp"), pa.ListArray.from_arrays(cuts, pa.array(np.concatenate(sets).view(np.int64)))], ["node", "fp", "grams"])
 
     return run
 
@@ -119,14 +135,82 @@ def gram_hashes_of_rows(rows: np.ndarray, seed: int) -> np.ndarray:
     return out
 
 
-def similar_links(profiles: DataFrame, similarity: float, max_bits: int = WIDE_BITS) -> DataFrame:
-    """u, v: edges between distinct fingerprints of similar texts. ``profiles``: fp, keys, least."""
-    nodes = settle(profiles.groupBy("fp").agg(F.first("keys").alias("keys"), F.first("least").alias("least")), "profiles")
-    spread = nodes.select("fp", F.explode("keys").alias("key")).repartition("key").sortWithinPartitions("key")
-    found = settle(spread.select("key", "fp").mapInArrow(_linker(max_bits), "u long, v long").distinct(), "candidates")
-    a, b = nodes.select(F.col("fp").alias("u"), F.col("least").alias("a")), nodes.select(F.col("fp").alias("v"), F.col("least").alias("b"))
-    same = F.size(F.filter(F.zip_with("a", "b", lambda x, y: x == y), lambda e: e))
-    return found.join(a, "u").join(b, "v").where(same >= (similarity - _SLACK) * BANDS * BAND_ROWS).select("u", "v")
+def confirmed(values: np.ndarray, off: np.ndarray, similarity: float) -> np.ndarray:
+    """Index pairs of sets at the similarity that span every component of such pairs.
+
+    Sets are ``values[off[i]:off[i + 1]]``, each without repeats. A reached set is
+    held against those not reached yet, so a group costs few comparisons and no
+    pair is concluded from others."""
+    sizes = np.diff(off)
+    ids = np.unique(values, return_inverse=True)[1]
+    member = np.zeros(int(ids.max(initial=-1)) + 1, bool)
+    rest, found = np.arange(len(sizes)), []
+    while len(rest):
+        queue, rest = [rest[0]], rest[1:]
+        while queue and len(rest):
+            s = queue.pop()
+            able = np.minimum(sizes[rest], sizes[s]) >= similarity * np.maximum(sizes[rest], sizes[s]) - 1e-9
+            near = rest[able]
+            if not len(near):
+                continue
+            own = ids[off[s] : off[s + 1]]
+            member[own] = True
+            heads = np.cumsum(sizes[near]) - sizes[near]
+            at = np.arange(sizes[near].sum()) + np.repeat(off[near] - heads, sizes[near])
+            both = np.add.reduceat(member[ids[at]].astype(np.int64), heads)
+            member[own] = False
+            hit = both >= similarity * (sizes[s] + sizes[near] - both) - 1e-9
+            if hit.any():
+                found.append(np.stack([np.full(hit.sum(), s), near[hit]], 1))
+                queue += near[hit].tolist()
+                able[able] = hit
+                rest = rest[~able]
+    return np.concatenate(found) if found else np.zeros((0, 2), np.int64)
+
+
+def _confirmer(similarity: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def edges(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
+            whole = pa.Table.from_batches(parts).combine_chunks()
+            fps, grams = whole.column("fp").to_numpy(), whole.column("grams").combine_chunks()
+            off = np.concatenate([[0], np.cumsum(grams.value_lengths().to_numpy(zero_copy_only=False))]).astype(np.int64)
+            pairs = confirmed(grams.flatten().to_numpy(zero_copy_only=False), off, similarity)
+            return pa.RecordBatch.from_arrays([pa.array(fps[pairs[:, 0]]), pa.array(fps[pairs[:, 1]])], ["u", "v"])
+
+        held, last = [], None
+        for batch in batches:
+            key = batch.column("key").to_numpy(zero_copy_only=False)
+            if not len(key):
+                continue
+            cuts = [0, *(np.flatnonzero(np.diff(key)) + 1).tolist(), len(key)]
+            for a, b in zip(cuts, cuts[1:]):
+                if held and key[a] != last:
+                    yield edges(held)
+                    held = []
+                held.append(batch.slice(a, b - a))
+                last = key[a]
+        if held:
+            yield edges(held)
+
+    return run
+
+
+def similar_links(src: DataFrame, profiles: DataFrame, similarity: float, shingle: int) -> DataFrame:
+    """u, v: edges between fingerprints of texts at the shingle similarity.
+
+    ``src``: mark, text; ``profiles``: fp, mark, sig, keys. Every different text
+    is searched by its bands; buckets of the same members are looked at once; a
+    bucket's pairs are confirmed by their shingles before any is left out."""
+    nodes = profiles.groupBy("fp", "sig").agg(F.min("mark").alias("mark"), F.first("keys").alias("keys"))
+    nodes = settle(nodes.select(F.xxhash64("fp", "sig").alias("node"), "fp", "mark", "keys"), "profiles")
+    spread = nodes.select("node", F.explode("keys").alias("key"))
+    shared = spread.groupBy("key").agg(F.count("*").alias("n"), F.bit_xor("node").alias("a"), F.bit_xor(F.xxhash64("node")).alias("b")).where("n > 1")
+    members = settle(spread.join(shared.groupBy("n", "a", "b").agg(F.min("key").alias("key")).select("key"), "key"), "members")
+    wanted = nodes.join(members.select("node").distinct(), "node").select("node", "fp", "mark")
+    texts = src.join(wanted, "mark").groupBy("node", "fp").agg(F.first("text").alias("text"))
+    sets = settle(texts.mapInArrow(_shingler(shingle), "node long, fp long, grams array<long>"), "shingles")
+    dealt = members.join(sets, "node").select("key", "fp", "grams").repartition("key").sortWithinPartitions("key")
+    return dealt.mapInArrow(_confirmer(similarity), "u long, v long").where("u <> v").distinct()
 
 
 def row_key(doc_id: Column, text: Column) -> Column:
@@ -305,12 +389,12 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, max_bits: int = 3, blocks
         marked = settle(fingerprints(docs, shingle, id_col, text_col), "fingerprints")
     else:
         src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-        src = src.select("doc_id", row_key(F.col("doc_id"), F.col("text")).alias("row_key"), "text")
-        marked = settle(src.mapInArrow(_profiler(shingle), "doc_id long, row_key long, fp long, keys array<long>, least array<int>"), "fingerprints")
+        src = src.select("doc_id", row_key(F.col("doc_id"), F.col("text")).alias("row_key"), F.xxhash64("text").alias("mark"), "text")
+        marked = settle(src.mapInArrow(_profiler(shingle), "doc_id long, row_key long, fp long, mark long, sig long, keys array<long>"), "fingerprints")
     distinct = marked.groupBy("fp").agg(F.min("doc_id").alias("low"))
     edges = links(distinct.select("fp"), max_bits, blocks)
     if similarity is not None:
-        edges = edges.union(similar_links(marked, similarity))
+        edges = edges.union(similar_links(src.select("mark", "text"), marked, similarity, shingle))
     comp = components(edges)
     rooted = distinct.join(comp, distinct.fp == comp.node, "left").select("fp", "low", F.coalesce("root", "fp").alias("root"))
     rooted = settle(rooted, "rooted")

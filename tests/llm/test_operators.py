@@ -279,3 +279,20 @@ def test_licences(spark, edge_docs, empty_docs):
     pathed = edge_docs.withColumn("path", license_scan.document_path())
     assert license_scan.licences(pathed).count() == edge_docs.count()
     assert license_scan.licences(empty_docs.withColumn("path", F.lit("a"))).count() == 0
+
+
+def test_varied_copies_of_one_text_are_all_linked(spark):
+    """Copies are similar to the original only, and share its bands in large buckets."""
+    rng = np.random.default_rng(11)
+    base = [f"b{i}" for i in range(300)]
+    rows = [(1000, " ".join(base))]
+    for c in range(400):
+        text = list(base)
+        for at in rng.choice(58, 5, replace=False) * 5 + 5:
+            text[at] = f"edit{c}x{at}"
+        rows.append((c + 1001, " ".join(text)))
+    sets = [{tuple(t.split()[k : k + 5]) for k in range(296)} for _, t in rows]
+    jaccard = lambda a, b: len(a & b) / len(a | b)
+    assert min(jaccard(sets[0], s) for s in sets[1:]) > 0.8 and np.mean([jaccard(sets[k], sets[k + 1]) for k in range(1, 400)]) < 0.75
+    kept = simhash_pivots.keep_one(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()
+    assert [r.doc_id for r in kept] == [1000]
