@@ -296,3 +296,21 @@ def test_varied_copies_of_one_text_are_all_linked(spark):
     assert min(jaccard(sets[0], s) for s in sets[1:]) > 0.8 and np.mean([jaccard(sets[k], sets[k + 1]) for k in range(1, 400)]) < 0.75
     kept = simhash_pivots.keep_one(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()
     assert [r.doc_id for r in kept] == [1000]
+
+
+def test_similarity_bound_is_exact(spark):
+    """Pairs of a text and a copy with its tail changed: 0.8 similar exactly, or just below."""
+    rows, want = [], set()
+    for g in range(300):
+        base = [f"p{g}w{i}" for i in range(94)]
+        for kind, tail in ((0, 10), (1, 11)):
+            at, name = len(rows), f"{g}k{kind}"
+            rows += [(at, " ".join(name + w for w in base)), (at + 1, " ".join([name + w for w in base[: 94 - tail]] + [f"{name}t{i}" for i in range(tail)]))]
+            a, b = ({tuple(t.split()[k : k + 5]) for k in range(90)} for _, t in rows[-2:])
+            similar = 5 * len(a & b) >= 4 * len(a | b)
+            assert similar == (kind == 0) and (kind or 5 * len(a & b) == 4 * len(a | b))
+            want |= {at} if similar else {at, at + 1}
+    fps = [brute_fingerprint(t, 5) for _, t in rows]
+    want -= {k + 1 for k in range(0, len(rows), 2) if (fps[k] ^ fps[k + 1]).bit_count() <= 3}
+    kept = {r.doc_id for r in simhash_pivots.keep_one(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()}
+    assert kept == want
