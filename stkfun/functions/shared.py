@@ -5,18 +5,27 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder named by ``spark.checkpoint.dir``; a private one only where none is set."""
+    """The folder named by ``spark.checkpoint.dir``; a private one only where none is
+    set and driver and executors are one process."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         root = tempfile.mkdtemp(prefix="stkfun-")
         spark.sparkContext.setCheckpointDir(root)
     return root.rstrip("/")
 
 
+def settle_counted(df: DataFrame, label: str, **sums: Column) -> tuple[DataFrame, dict]:
+    """``settle`` with sums over the rows taken while they are written (null without rows)."""
+    seen = Observation()
+    return settle(df.observe(seen, *[s.alias(n) for n, s in sums.items()]), label), seen.get
+
+
 def settle(df: DataFrame, label: str = "table") -> DataFrame:
     """Write ``df`` to the shared folder and read it back: lineage ends there,
     a lost executor costs no recomputation, later readers share one result."""
