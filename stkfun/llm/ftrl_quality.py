@@ -4,14 +4,15 @@ follow-the-regularised-leader, scored as sparse dot products.
 Features are lower-cased words, pairs of neighbouring words, and the same two
 over word shapes (letters, digits and marks with repeats folded), hashed into a
 fixed number of slots; each family is averaged over its tokens. The model is
-fitted on the driver from a bounded sample of labelled rows (``max_rows``, those
-with the smallest id hashes); scoring covers whole texts of all rows with a
-weight vector of fixed size.
+fitted in one task from a bounded sample of labelled ids (the ``max_rows`` with
+the smallest id hashes, in that order as far as ``max_features`` features reach);
+scoring covers whole texts of all rows with a weight vector of fixed size, which
+is all that the driver sees.
 
 Defined cases: null, empty and wordless texts score by the intercept; rows are
 kept one to one; null ids count as the empty text in the split and are never
-trained on; several labels of one id count as their smallest; without any
-usable label of both kinds every score is the share of label 1 (0.5 if none);
+trained on; several labels of one id count as their smallest, several texts of
+one id as the one with the smallest hash; without any usable label of both kinds every score is the share of label 1 (0.5 if none);
 extra columns are ignored.
 """
 
@@ -28,6 +29,7 @@ from stkfun.llm.batches import gram_hashes, lowered, small_batches, text_bytes,
 
 SLOTS = 1 << 18
 MAX_ROWS = 3000
+MAX_FEATURES = 6_000_000
 THRESHOLD = 0.7
 
 _SHAPE = np.arange(256, dtype=np.uint8)
@@ -82,7 +84,7 @@ def _featurizer(slots: int):
             where = (cell % slots).astype(np.int32)
             slots_out = [where[a:b].tobytes() for a, b in zip(cuts, cuts[1:])]
             values_out = [total[a:b].tobytes() for a, b in zip(cuts, cuts[1:])]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("label"), pa.array(slots_out, pa.binary()), pa.array(values_out, pa.binary())], ["doc_id", "label", "slots", "values"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("label"), batch.column("th"), pa.array(slots_out, pa.binary()), pa.array(values_out, pa.binary())], ["doc_id", "label", "th", "slots", "values"])
 
     return run
 
@@ -95,9 +97,9 @@ def ftrl_fit(rows: list[tuple[int, np.ndarray, np.ndarray]], slots: int = SLOTS,
         zi = z[at]
         return np.where(np.abs(zi) <= l1, 0.0, (np.sign(zi) * l1 - zi) / ((beta + np.sqrt(n[at])) / alpha + l2))
 
-    rows = [(label, np.append(slot, slots), np.append(value * 10.0, 1.0)) for label, slot, value in rows]
     for _ in range(epochs):
-        for label, at, x in rows:
+        for label, slot, value in rows:
+            at, x = np.append(slot, slots), np.append(value * 10.0, 1.0)
             w = weight(at)
             p = 1.0 / (1.0 + np.exp(-np.clip(w @ x, -35, 35)))
             g = (p - label) * x
@@ -108,7 +110,28 @@ def ftrl_fit(rows: list[tuple[int, np.ndarray, np.ndarray]], slots: int = SLOTS,
     return (w[:-1] * 10.0).astype(np.float32), float(w[-1])
 
 
-def fit(docs: DataFrame, labels: DataFrame, slots: int = SLOTS, max_rows: int = MAX_ROWS, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", training: Column | None = None) -> tuple[np.ndarray, float]:
+def _fitter(slots: int, max_features: int):
+    """One row of weights and intercept from the feature rows of one task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows, held = [], 0
+        for batch in batches:
+            for label, where, value in zip(batch.column("label").to_pylist(), batch.column("slots"), batch.column("values")):
+                held += len(where.as_buffer()) // 4
+                if not rows or held <= max_features:
+                    rows.append((label, np.frombuffer(where.as_py(), np.int32), np.frombuffer(value.as_py(), np.float32)))
+        ones = sum(r[0] for r in rows)
+        if ones in (0, len(rows)):
+            share = ones / len(rows) if rows else 0.5
+            weights, bias = np.zeros(slots, np.float32), float(np.log(max(share, 1e-6) / max(1 - share, 1e-6)))
+        else:
+            weights, bias = ftrl_fit(rows, slots)
+        yield pa.RecordBatch.from_arrays([pa.array([weights.tobytes()], pa.binary()), pa.array([bias])], ["weights", "bias"])
+
+    return run
+
+
+def fit(docs: DataFrame, labels: DataFrame, slots: int = SLOTS, max_rows: int = MAX_ROWS, max_features: int = MAX_FEATURES, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", training: Column | None = None) -> tuple[np.ndarray, float]:
     """Train on at most ``max_rows`` labelled ids; ``training`` restricts the ids."""
     lab = labels.select(F.col(id_col).cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("label")).where("doc_id is not null and label in (0, 1)")
     if training is not None:
@@ -116,18 +139,13 @@ def fit(docs: DataFrame, labels: DataFrame, slots: int = SLOTS, max_rows: int =
     lab = lab.groupBy("doc_id").agg(F.min("label").alias("label"))
     chosen = lab.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).where("doc_id is not null")
-    got = src.join(F.broadcast(chosen), "doc_id").select("doc_id", "label", "text").mapInArrow(_featurizer(slots), "doc_id long, label int, slots binary, values binary")
-    rows = sorted(((r.doc_id, r.label, bytes(r.slots), bytes(r["values"])) for r in got.limit(2 * max_rows).toLocalIterator()), key=lambda r: (_spread(r[0]), r[0], r[2]))
-    rows = [(label, np.frombuffer(s, np.int32), np.frombuffer(v, np.float32).astype(float)) for _, label, s, v in rows]
-    ones = sum(r[0] for r in rows)
-    if not rows or ones in (0, len(rows)):
-        share = (ones / len(rows)) if rows else 0.5
-        return np.zeros(slots, np.float32), float(np.log(max(share, 1e-6) / max(1 - share, 1e-6)))
-    return ftrl_fit(rows, slots)
-
-
-def _spread(i: int) -> int:
-    return (i * 0x9E3779B97F4A7C15 + 0x1234567) & ((1 << 64) - 1)
+    src = src.join(F.broadcast(chosen), "doc_id").select("doc_id", "label", F.xxhash64("text").alias("th"), "text")
+    got = src.mapInArrow(_featurizer(slots), "doc_id long, label int, th long, slots binary, values binary")
+    one = got.groupBy("doc_id").agg(F.min(F.struct("th", "label", "slots", "values")).alias("r")).select("doc_id", "r.label", "r.slots", "r.values")
+    row = one.repartition(1).sortWithinPartitions(F.xxhash64("doc_id"), "doc_id").select("label", "slots", "values").mapInArrow(_fitter(slots, max_features), "weights binary, bias double").first()
+    if row is None:  # no labelled row at all
+        return np.zeros(slots, np.float32), 0.0
+    return np.frombuffer(row.weights, np.float32), row.bias
 
 
 def _scorer(weights: np.ndarray, bias: float):

@@ -32,10 +32,11 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from stkfun.functions.shared import settle
+from stkfun.functions.shared import settle, settle_counted
 from stkfun.llm.batches import gram_hashes, lowered, mixed, small_batches, text_bytes, word_hashes, word_spans
 
 PIVOTS = 24
+_ROW = ["doc_id", "row_key", "row_key2"]
 _DENSE = 2048
 _NEAR_ROWS = 12
 
@@ -66,7 +67,7 @@ def _fingerprinter(shingle: int):
                 at = np.frombuffer(words, np.uint8)
                 s, e, _ = word_spans(at, np.array([0, len(at)]))
                 out[i] = fingerprint_one(words, s.tolist(), e.tolist(), shingle)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("row_key"), pa.array(out.view(np.int64))], ["doc_id", "row_key", "fp"])
+            yield pa.RecordBatch.from_arrays([*(batch.column(n) for n in _ROW), pa.array(out.view(np.int64))], [*_ROW, "fp"])
 
     return run
 
@@ -110,8 +111,8 @@ def _profiler(shingle: int):
             sig = np.add.reduceat(mixed(hashes + np.uint64(1)), heads)
             base = pa.Table.from_batches(mark([batch])).combine_chunks()
             cuts = pa.array(np.arange(0, len(least) * BANDS + 1, BANDS, dtype=np.int32))
-            extra = [batch.column("mark"), pa.array(sig.view(np.int64)), pa.ListArray.from_arrays(cuts, pa.array(keys.ravel().view(np.int64)))]
-            yield pa.RecordBatch.from_arrays([*(base.column(n).combine_chunks() for n in ("doc_id", "row_key", "fp")), *extra], ["doc_id", "row_key", "fp", "mark", "sig", "keys"])
+            extra = [pa.array(sig.view(np.int64)), pa.ListArray.from_arrays(cuts, pa.array(keys.ravel().view(np.int64)))]
+            yield pa.RecordBatch.from_arrays([*(base.column(n).combine_chunks() for n in (*_ROW, "fp")), *extra], [*_ROW, "fp", "sig", "keys"])
 
     return run
 
@@ -199,30 +200,35 @@ def _confirmer(similarity: float):
 def similar_links(src: DataFrame, profiles: DataFrame, similarity: float, shingle: int) -> DataFrame:
     """u, v: edges between fingerprints of texts at the shingle similarity.
 
-    ``src``: mark, text; ``profiles``: fp, mark, sig, keys. Every different text
+    ``src``: row_key, text; ``profiles``: fp, row_key, sig, keys. Every different text
     is searched by its bands; buckets of the same members are looked at once; a
     bucket's pairs are confirmed by their shingles before any is left out."""
-    nodes = profiles.groupBy("fp", "sig").agg(F.min("mark").alias("mark"), F.first("keys").alias("keys"))
-    nodes = settle(nodes.select(F.xxhash64("fp", "sig").alias("node"), "fp", "mark", "keys"), "profiles")
+    # Equal sig: equal shingles, so equal keys.
+    nodes = profiles.groupBy("fp", "sig").agg(F.min("row_key").alias("row_key"), F.any_value("keys").alias("keys"))
+    nodes = settle(nodes.select(F.xxhash64("fp", "sig").alias("node"), "fp", "row_key", "keys"), "profiles")
     spread = nodes.select("node", F.explode("keys").alias("key"))
     shared = spread.groupBy("key").agg(F.count("*").alias("n"), F.bit_xor("node").alias("a"), F.bit_xor(F.xxhash64("node")).alias("b")).where("n > 1")
     members = settle(spread.join(shared.groupBy("n", "a", "b").agg(F.min("key").alias("key")).select("key"), "key"), "members")
-    wanted = nodes.join(members.select("node").distinct(), "node").select("node", "fp", "mark")
-    texts = src.join(wanted, "mark").groupBy("node", "fp").agg(F.first("text").alias("text"))
+    wanted = nodes.join(members.select("node").distinct(), "node").select("node", "fp", "row_key")
+    texts = src.join(wanted, "row_key").groupBy("node", "fp").agg(F.any_value("text").alias("text"))
     sets = settle(texts.mapInArrow(_shingler(shingle), "node long, fp long, grams array<long>"), "shingles")
     dealt = members.join(sets, "node").select("key", "fp", "grams").repartition("key").sortWithinPartitions("key")
     return dealt.mapInArrow(_confirmer(similarity), "u long, v long").where("u <> v").distinct()
 
 
-def row_key(doc_id: Column, text: Column) -> Column:
-    """Ids where there are any, else the text's hash."""
-    return F.coalesce(doc_id.cast("long"), F.xxhash64(text))
+def text_marks(text: Column) -> list[Column]:
+    """Two independent hashes that stand for a whole text, as row_key and row_key2."""
+    text = text.cast("string")
+    return [F.xxhash64(text).alias("row_key"), F.xxhash64(F.lit("second"), text).alias("row_key2")]
+
+
+def texts_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), *text_marks(F.col(text_col)), F.col(text_col).cast("string").alias("text"))
 
 
 def fingerprints(docs: DataFrame, shingle: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, row_key, fp (as a signed long) for every row."""
-    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return src.select("doc_id", row_key(F.col("doc_id"), F.col("text")).alias("row_key"), "text").mapInArrow(_fingerprinter(shingle), "doc_id long, row_key long, fp long")
+    """doc_id, row_key and row_key2 (of the text), fp (as a signed long) for every row."""
+    return texts_of(docs, id_col, text_col).mapInArrow(_fingerprinter(shingle), "doc_id long, row_key long, row_key2 long, fp long")
 
 
 def block_masks(blocks: int, keep: int) -> list[int]:
@@ -372,8 +378,7 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         large = both.join(low, "x").where("y > x").select(F.col("y").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         least = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(least, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).union(least.select("a", F.col("m").alias("b")))
-        now = settle(small.distinct(), "edges")
-        seen = now.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
+        now, seen = settle_counted(small.distinct(), "edges", n=F.count("*"), total=F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")))
         if seen == mark:
             break
         mark = seen
@@ -383,36 +388,36 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 3, max_bits: int = 3, blocks: int = 6, similarity: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, row_key, fp, root (smallest fingerprint of the component), component_id.
+    """doc_id, row_key, row_key2, fp, root (smallest fingerprint of the component), component_id.
 
     ``similarity`` also links texts whose shingles are as similar, at any distance."""
     if similarity is None:
         marked = settle(fingerprints(docs, shingle, id_col, text_col), "fingerprints")
     else:
-        src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-        src = src.select("doc_id", row_key(F.col("doc_id"), F.col("text")).alias("row_key"), F.xxhash64("text").alias("mark"), "text")
-        marked = settle(src.mapInArrow(_profiler(shingle), "doc_id long, row_key long, fp long, mark long, sig long, keys array<long>"), "fingerprints")
+        src = texts_of(docs, id_col, text_col)
+        marked = settle(src.mapInArrow(_profiler(shingle), "doc_id long, row_key long, row_key2 long, fp long, sig long, keys array<long>"), "fingerprints")
     distinct = marked.groupBy("fp").agg(F.min("doc_id").alias("low"))
     edges = links(distinct.select("fp"), max_bits, blocks)
     if similarity is not None:
-        edges = edges.union(similar_links(src.select("mark", "text"), marked, similarity, shingle))
+        edges = edges.union(similar_links(src.select("row_key", "text"), marked, similarity, shingle))
     comp = components(edges)
     rooted = distinct.join(comp, distinct.fp == comp.node, "left").select("fp", "low", F.coalesce("root", "fp").alias("root"))
     rooted = settle(rooted, "rooted")
     whole = rooted.groupBy("root").agg(F.min("low").alias("component_id"))
     named = rooted.join(whole, "root").select("fp", "root", "component_id")
-    return marked.select("doc_id", "row_key", "fp").join(named, "fp").select("doc_id", "row_key", "fp", "root", "component_id")
+    return marked.select(*_ROW, "fp").join(named, "fp").select(*_ROW, "fp", "root", "component_id")
 
 
 def keep_one(docs: DataFrame, shingle: int = 5, max_bits: int = 3, similarity: float | None = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` without near-duplicates: of each component the row
-    with the smallest id stays, one row where that is repeated."""
+    """The rows of ``docs`` without near-duplicates: of each component the row with
+    the smallest id stays (null ids last), of several the one with the smallest
+    text hash; rows of the same id and text count as one row."""
     found = near_duplicates(docs, shingle, max_bits, similarity=similarity, id_col=id_col, text_col=text_col)
-    keepers = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), F.col("row_key").alias("key"))).alias("k")).select("k.none", "k.key")
-    none, key = "__none", "__key"
-    rows = docs.withColumns({none: F.col(id_col).isNull(), key: row_key(F.col(id_col), F.col(text_col))})
-    kept = rows.join(keepers.select(F.col("none").alias(none), F.col("key").alias(key)), [none, key], "left_semi")
-    return kept.dropDuplicates([none, key]).select(*docs.columns)
+    keepers = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), F.coalesce("doc_id", F.lit(0)).alias("id"), "row_key", "row_key2")).alias("k"))
+    key = ["none", "id", "row_key", "row_key2"]
+    rows = docs.select(F.struct(*docs.columns).alias("doc"), F.col(id_col).isNull().alias("none"), F.coalesce(F.col(id_col).cast("long"), F.lit(0)).alias("id"), *text_marks(F.col(text_col)))
+    kept = rows.join(keepers.select("k.*"), key, "left_semi")
+    return kept.dropDuplicates(key).select("doc.*")
 
 
 def op1_query(spark, sf_dir: str) -> DataFrame:

@@ -6,8 +6,9 @@ longest common runs are marked first, then shorter ones that do not overlap
 them, by running Karp-Rabin hashes of falling length. An item counts as leaked
 when the tiles cover at least ``threshold`` of its words, in whatever order.
 
-Items travel to the executors in blocks of at most ``block_words`` words, a
-fixed size; every block is held against all documents.
+Items travel to the executors in blocks of at most ``block_words`` words (one
+item at least), a fixed size; every document passes all blocks one after the
+other in its own row, which carries what was found so far.
 
 Defined cases: null and wordless texts match nothing; items shorter than
 ``min_match`` words cannot form a tile and are never matched; repeated items and
@@ -119,10 +120,12 @@ class SeedTable:
 
     def leaks(self, tokens: np.ndarray, grams: np.ndarray, hits: np.ndarray, threshold: float) -> list[tuple[int, float]]:
         """(item id, coverage) of every item that the document leaks; hits: seed positions."""
-        lo, hi = np.searchsorted(self.keys, grams[hits], "left"), np.searchsorted(self.keys, grams[hits], "right")
+        seeds = np.unique(grams[hits])
+        lo, hi = np.searchsorted(self.keys, seeds, "left"), np.searchsorted(self.keys, seeds, "right")
         many = hi - lo
+        # Each seed once, however often the document has it: no more rows than the block has seeds.
         seed = np.repeat(lo, many) + np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
-        place, who, where = np.repeat(hits, many), self.owner[seed], self.at[seed]
+        who, where = self.owner[seed], self.at[seed]
         out = []
         order = np.argsort(who, kind="stable")
         cuts = np.flatnonzero(np.diff(who[order])) + 1
@@ -131,7 +134,8 @@ class SeedTable:
             need = threshold * len(pattern) - 1e-9
             if not self._could(where[group], len(pattern), need):
                 continue
-            spots = np.unique((np.unique(place[group])[:, None] + np.arange(self.n)).ravel())
+            place = hits[np.isin(grams[hits], self.keys[seed[group]])]
+            spots = np.unique((place[:, None] + np.arange(self.n)).ravel())
             gap = np.concatenate([[False], np.diff(spots) > 1])
             slot = np.arange(len(spots)) + np.cumsum(gap)
             text = np.zeros(slot[-1] + 1, np.uint64)
@@ -149,7 +153,12 @@ class SeedTable:
         return seen.sum() >= need
 
 
+_FOUND = ["doc_id", "text", "n_items", "best_item", "coverage", "items"]
+
+
 def _judge(table: SeedTable, threshold: float, text_col: str, keep: bool):
+    """Keep clean rows, or add this block's leaks to the rows' own."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small_batches(batches, text_col):
             raw, off = text_bytes(batch.column(text_col))
@@ -169,13 +178,16 @@ def _judge(table: SeedTable, threshold: float, text_col: str, keep: bool):
                 here = here[here + table.n <= first[d + 1]]
                 base = first[d]
                 leaks = table.leaks(tokens[base : first[d + 1]], grams[base:], here - base, threshold) if len(here) else []
-                found.append(sorted(leaks, key=lambda x: (-x[1], x[0])))
+                found.append(sorted(leaks, key=lambda x: (-x[1], x[0] is None, x[0])))
             if keep:
                 clean = pa.array([not f for f in found])
                 yield batch.filter(clean)
             else:
-                columns = [batch.column("doc_id"), pa.array([len(f) for f in found], pa.int64()), pa.array([f[0][0] if f else None for f in found], pa.int64()), pa.array([f[0][1] if f else 0.0 for f in found], pa.float64()), pa.array([[i for i, _ in f] for f in found], pa.list_(pa.int64()))]
-                yield pa.RecordBatch.from_arrays(columns, ["doc_id", "n_items", "best_item", "coverage", "items"])
+                items = [[*(had or []), *(i for i, _ in f)] for had, f in zip(batch.column("items").to_pylist(), found)]
+                before = zip(batch.column("coverage").to_pylist(), batch.column("best_item").to_pylist())
+                best = [min([(-c, i)] * (c > 0) + [(-x, k) for k, x in f[:1]], key=lambda v: (v[0], v[1] is None, v[1]), default=(0.0, None)) for (c, i), f in zip(before, found)]
+                columns = [batch.column("doc_id"), batch.column("text"), pa.array([len(x) for x in items], pa.int64()), pa.array([i for _, i in best], pa.int64()), pa.array([abs(c) for c, _ in best], pa.float64()), pa.array(items, pa.list_(pa.int64()))]
+                yield pa.RecordBatch.from_arrays(columns, _FOUND)
 
     return run
 
@@ -197,16 +209,13 @@ def seed_blocks(benchmark: DataFrame, min_match: int = MIN_MATCH, block_words: i
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, min_match: int = MIN_MATCH, threshold: float = THRESHOLD, block_words: int = BLOCK_WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_items, best_item, coverage, items for every row and benchmark block."""
-    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    parts = [src.mapInArrow(_judge(t, threshold, "text", False), "doc_id long, n_items long, best_item long, coverage double, items array<long>") for t in seed_blocks(benchmark, min_match, block_words)]
-    if len(parts) == 1:
-        return parts[0]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.union(p)
-    best = F.min(F.struct((-F.col("coverage")).alias("c"), F.col("best_item").alias("i")))
-    return out.groupBy("doc_id").agg(F.sum("n_items").alias("n_items"), best.alias("b"), F.flatten(F.collect_list("items")).alias("items")).select("doc_id", "n_items", F.col("b.i").alias("best_item"), (-F.col("b.c")).alias("coverage"), "items")
+    """doc_id, n_items, best_item, coverage, items of every row."""
+    schema = "doc_id long, text string, n_items long, best_item long, coverage double, items array<long>"
+    none = [F.lit(0).cast("long").alias("n_items"), F.lit(None).cast("long").alias("best_item"), F.lit(0.0).alias("coverage"), F.array().cast("array<long>").alias("items")]
+    out = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), *none)
+    for table in seed_blocks(benchmark, min_match, block_words):
+        out = out.mapInArrow(_judge(table, threshold, "text", False), schema)
+    return out.drop("text")
 
 
 def keep_clean(docs: DataFrame, benchmark: DataFrame, min_match: int = MIN_MATCH, threshold: float = THRESHOLD, block_words: int = BLOCK_WORDS, text_col: str = "text") -> DataFrame:

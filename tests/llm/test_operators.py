@@ -314,3 +314,71 @@ def test_similarity_bound_is_exact(spark):
     want -= {k + 1 for k in range(0, len(rows), 2) if (fps[k] ^ fps[k + 1]).bit_count() <= 3}
     kept = {r.doc_id for r in simhash_pivots.keep_one(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()}
     assert kept == want
+
+
+def test_repeated_ids_keep_different_texts(spark):
+    rng = np.random.default_rng(3)
+    a, b, c = (" ".join(rng.choice([f"r{i}" for i in range(300)], 80)) for _ in range(3))
+    docs = spark.createDataFrame([(3, a), (5, a), (5, b), (None, c), (None, c), (None, a)], "doc_id long, text string")
+    for similarity in (None, 0.8):
+        kept = sorted(((r.doc_id or 0, r.text) for r in simhash_pivots.keep_one(docs, similarity=similarity).collect()))
+        assert kept == sorted([(3, a), (5, b), (0, c)])
+
+
+def test_tiling_keeps_rows_over_many_blocks(spark):
+    items = [(k, " ".join(f"i{k}w{j}" for j in range(12))) for k in range(4)]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    texts = [items[0][1], "clean text of no item", items[3][1] + " " + items[1][1], None, "also clean", items[2][1][:12]]
+    docs = spark.createDataFrame(list(zip([None, None, 7, 7, 8, 8], texts)), "doc_id long, text string")
+    want = sorted([(None, 1, 0), (None, 0, None), (7, 2, 1), (7, 0, None), (8, 0, None), (8, 0, None)], key=str)
+    for block in (10**6, 1):
+        got = tiling_decontam.contamination(docs, bench, block_words=block).collect()
+        assert sorted([(r.doc_id, r.n_items, r.best_item) for r in got], key=str) == want
+        assert tiling_decontam.keep_clean(docs, bench, block_words=block).count() == 4
+
+
+def brute_tile(a, b, n):
+    """Greedy tiling by the definition: the longest unmarked common run first."""
+    pa_, pb, total = [False] * len(a), [False] * len(b), 0
+    while True:
+        best = (0, 0, 0)
+        for i in range(len(a)):
+            for j in range(len(b)):
+                k = 0
+                while i + k < len(a) and j + k < len(b) and a[i + k] == b[j + k] and not pa_[i + k] and not pb[j + k]:
+                    k += 1
+                best = max(best, (k, -i, -j))
+        if best[0] < n:
+            return total
+        k, i, j = best[0], -best[1], -best[2]
+        pa_[i : i + k] = pb[j : j + k] = [True] * k
+        total += k
+
+
+def test_tiling_covers_as_much_as_brute_force():
+    rng = np.random.default_rng(9)
+    for _ in range(60):
+        a = [f"t{x}" for x in rng.integers(0, 6, rng.integers(3, 25))]
+        cut = sorted(rng.integers(0, len(a), 2))
+        b = a[cut[1] :] + [f"t{x}" for x in rng.integers(0, 6, 4)] + a[: cut[1]]
+        got = tiling_decontam.tile(tiling_decontam.hashed_words(" ".join(a)), tiling_decontam.hashed_words(" ".join(b)), 3)
+        want = brute_tile(a, b, 3)
+        # Ties of equally long runs may be taken in another order.
+        assert abs(got - want) <= 3 and (got > 0) == (want > 0)
+
+
+def test_equal_keys_take_no_more_than_fits(spark):
+    text = "w " * 100
+    rows = [(None, text, "a") for _ in range(50)] + [(k, "v " * 30, "b") for k in range(100)] + [(k, "z " * 9, None) for k in range(5)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(4)
+    got = source_mix.mixture(docs).toPandas()
+    by = got.groupby(got.source.fillna("~")).agg(target=("target", "first"), taken=("taken", "sum"))
+    assert ((by.taken - by.target).abs() <= 100).all()
+    assert source_mix.mixed(docs).count() == got.times.sum()
+
+
+def test_held_out_accuracy(spark):
+    sf = "/root/testdata/sf0.01"
+    got = ftrl_quality.op9_query(spark, sf).join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id").where("held_out and quality is not null")
+    one = got.agg(F.avg((F.col("predicted") == F.col("quality")).cast("int")).alias("a"), F.count("*").alias("n")).first()
+    assert one.n > 20 and one.a > 0.95
