@@ -129,6 +129,20 @@ def gram_hashes(h: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
+_ODD_INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
+
+
+def run_hashes(h: np.ndarray, n: int) -> np.ndarray:
+    """The same for long runs: differences of prefix sums, shifted to one place."""
+    if len(h) < n:
+        return np.zeros(0, np.uint64)
+    powers = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(len(h) - 1, _ODD, np.uint64)]))
+    back = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(len(h) - 1, _ODD_INVERSE, np.uint64)]))
+    sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(h * powers, dtype=np.uint64)])
+    k = len(h) - n + 1
+    return mixed((sums[n:] - sums[:k]) * back[:k])
+
+
 def sliding(values: np.ndarray, width: int, best=np.minimum) -> np.ndarray:
     """Minimum (or maximum) of each window of ``width`` values, by doubling."""
     span, out = 1, values

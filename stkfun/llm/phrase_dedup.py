@@ -7,14 +7,17 @@ so equal windows meet at equal phrases.
 
 1. All texts list their key phrases (as hashes) with the stretch of windows that
    each one rules; phrases that occur once cannot belong to a repeated window.
-2. The stretches ruled by recurring phrases are cut out of their texts, equal
-   stretches are merged with their number, and all are dealt by phrase. A phrase
-   that rules more than ``hot`` stretches is dealt window by window instead, so
-   that no task gathers all of them.
-3. Each task compiles its phrases into automata of bounded size and streams its
-   stretches through them; around each located phrase the windows are counted by
-   their words, and those that occur again are confirmed.
-4. The verdicts return to the stretches, their ranges are united for each text.
+2. Passages are confirmed: the windows of stretches ruled by recurring phrases
+   are counted by (key phrase, hash of all words); those that start at least twice
+   anywhere are confirmed.
+3. Texts are dealt in blocks of bounded size. A block's shard is an Aho-Corasick
+   automaton of the phrases that rule confirmed windows of its texts. All texts of
+   the block stream through it; around every located phrase the windows that hold
+   it are looked up among the confirmed ones, and those found cover their words.
+
+Counting aggregates before it shuffles, the join with counts has one row for each
+(block, window), and a block is all that a task holds, so no phrase, passage or
+group of copies gathers anywhere, however many texts share it.
 
 Whole texts that occur more than once are settled by their count, one of them
 takes part in the search.
@@ -29,24 +32,23 @@ text columns are read.
 from __future__ import annotations
 
 import hashlib
-from bisect import bisect_left
-from collections import Counter
 from collections.abc import Iterator
 
 import ahocorasick
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stkfun.functions.shared import settle
-from stkfun.llm.batches import gram_hashes, sliding, small_batches, text_bytes, word_hashes, word_spans
+from stkfun.llm.batches import gram_hashes, run_hashes, sliding, small_batches, text_bytes, word_hashes, word_spans
 
 WINDOW = 35
 PHRASE = 8
-HOT = 2_000
-_AUTOMATON_BYTES = 2 << 20
+BLOCK_BYTES = 1 << 20
+_SALTS = 64
 
 
 def key_phrases(hashes: np.ndarray, first: np.ndarray, window: int, phrase: int) -> tuple[np.ndarray, ...]:
@@ -96,96 +98,136 @@ def _surveyor(window: int, phrase: int):
     return run
 
 
-def _cutter(window: int, phrase: int):
-    span = window - phrase + 1
+def _blocks(limit: int):
+    """Number the texts' blocks: runs of rows of about ``limit`` bytes (one row at least)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in small_batches(batches, "text", 1 << 20):
-            out = {n: [] for n in ("uid", "copies", "key", "salt", "s1", "s2", "start", "many", "at", "words")}
-            for uid, copies, runs, text in zip(*(batch.column(n).to_pylist() for n in ("uid", "copies", "runs", "text"))):
-                words = text.encode().split()
-                flat = b" ".join(words)
-                raw = np.frombuffer(flat, np.uint8)
-                starts, ends, _ = word_spans(raw, np.array([0, len(raw)]))
-                grams = gram_hashes(word_hashes(raw, starts, ends), phrase).view(np.int64)
-                a, b = starts.tolist(), ends.tolist()
-                for run_ in runs:
-                    key, s0, n = run_["key"], run_["start"], run_["many"]
-                    for s, m in ((s0, n),) if not run_["hot"] else ((s, 1) for s in range(s0, s0 + n)):
-                        piece = flat[a[s] : b[s + m + window - 2]]
-                        d = np.frombuffer(xxhash.xxh3_128_digest(piece), np.int64)
-                        row = (uid, copies, key, int(d[0]) if run_["hot"] else 0, int(d[0]), int(d[1]), s, m, int((grams[s : s + span] == key).argmax()), piece.decode())
-                        for name, v in zip(out, row):
-                            out[name].append(v)
-            types = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.string()]
-            yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(out.values(), types)], list(out))
+        block = TaskContext.get().partitionId() << 32
+        for batch in small_batches(batches, "text", limit):
+            block += 1
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.full(batch.num_rows, block, np.int64))], [*batch.schema.names, "block"])
 
     return run
 
 
-def confirm(stretches: list[tuple], window: int, phrase: int) -> list[list[int]]:
-    """For (weight, windows, phrase offset, words) rows that hold whole phrase
-    groups: the window offsets of each whose words occur again."""
-    machine = ahocorasick.Automaton()
-    split = [w.split(" ") for _, _, _, w in stretches]
-    for (_, _, at, _), words in zip(stretches, split):
-        machine.add_word(" " + " ".join(words[at : at + phrase]) + " ", None)
-    machine.make_automaton()
-    seen: Counter = Counter()
-    located = []
-    for (weight, many, _, text), words in zip(stretches, split):
-        begin = [0]
-        for w in words:
-            begin.append(begin[-1] + len(w) + 1)
-        offsets, upto = [], -1
-        for end, _ in machine.iter(f" {text} "):
-            place = bisect_left(begin, end) - phrase
-            for s in range(max(0, upto + 1, place - window + phrase), min(place + 1, many)):
-                offsets.append((s, text[begin[s] : begin[s + window] - 1]))
-                upto = s
-        for _, words_ in offsets:
-            seen[words_] += weight
-        located.append(offsets)
-    return [[s for s, words in offsets if seen[words] > 1] for offsets in located]
-
-
-def _confirmer(window: int, phrase: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size, last = [], 0, None
+def spread(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """starts[0], starts[0] + 1, ... counts[0] of them, and so on."""
+    return np.repeat(starts - np.cumsum(counts) + counts, counts) + np.arange(counts.sum())
 
-        def emit():
-            verdicts = confirm([r[2:] for r in held], window, phrase)
-            rows = [(r[0], r[1], v) for r, v in zip(held, verdicts) if v]
-            return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.list_(pa.int32()))], ["s1", "s2", "offsets"])
 
-        for batch in batches:
-            for key, salt, *row in zip(*(batch.column(n).to_pylist() for n in ("key", "salt", "s1", "s2", "weight", "many", "at", "words"))):
-                if size >= _AUTOMATON_BYTES and (key, salt) != last:
-                    yield emit()
-                    held, size = [], 0
-                held.append(row)
-                size += len(row[-1])
-                last = (key, salt)
-        if held:
-            yield emit()
+_MARK = pa.schema([("block", pa.int64()), ("key", pa.int64()), ("h", pa.int64()), ("n", pa.int64()), ("phrase", pa.string())])
+
+
+def _marker(window: int, phrase: int):
+    """Windows of recurring phrases (block, key, h, n), and the phrases (block, key, phrase)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in small_batches(batches, "text", 2 << 20):
+            raw, off = text_bytes(batch.column("text"))
+            starts, ends, first = word_spans(raw, off)
+            words = word_hashes(raw, starts, ends)
+            runs = batch.column("runs")
+            many = runs.value_lengths().to_numpy(zero_copy_only=False)
+            flat = runs.flatten()
+            key, s0, n = (flat.field(k).to_numpy(zero_copy_only=False) for k in range(3))
+            owner = np.repeat(np.arange(batch.num_rows), many)
+            at = spread(first[owner] + s0, n.astype(np.int64))
+            hashed = run_hashes(words, window)[at].view(np.int64)
+            block, copies = batch.column("block").to_numpy(), batch.column("copies").to_numpy()
+            rows = np.stack([np.repeat(x, n) for x in (block[owner], key)] + [hashed], 1)
+            order = np.lexsort(rows.T)
+            rows, weight = rows[order], np.repeat(copies[owner], n)[order]
+            new = np.flatnonzero(np.concatenate([[True], (rows[1:] != rows[:-1]).any(1)]))
+            cols = rows[new].T
+            yield pa.RecordBatch.from_arrays([*(pa.array(np.ascontiguousarray(c)) for c in cols), pa.array(np.add.reduceat(weight, new)), pa.nulls(len(new), pa.string())], schema=_MARK)
+            # The phrase of a stretch lies in its first window, where its hash is.
+            grams, span = gram_hashes(words, phrase).view(np.int64), np.arange(window - phrase + 1)
+            head = first[owner] + s0
+            place = head + (grams[head[:, None] + span] == key[:, None]).argmax(1)
+            seen, text = {}, raw.tobytes()
+            for b, k, p in zip(block[owner].tolist(), key.tolist(), place.tolist()):
+                if (b, k) not in seen:
+                    seen[b, k] = b" ".join(text[i:j] for i, j in zip(starts[p : p + phrase], ends[p : p + phrase])).decode()
+            yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in seen], pa.int64()), pa.array([k for _, k in seen], pa.int64()), pa.nulls(len(seen), pa.int64()), pa.nulls(len(seen), pa.int64()), pa.array(list(seen.values()), pa.string())], schema=_MARK)
 
     return run
 
 
-def _remover(window: int):
+class Shard:
+    """The automaton of one block's confirmed phrases and the windows that they rule."""
+
+    def __init__(self, keys: np.ndarray, hashes: np.ndarray, phrases: list[tuple[int, str]], window: int, phrase: int):
+        order = np.argsort(hashes, kind="stable")
+        self.keys, self.hashes, self.window, self.phrase = keys[order], hashes[order], window, phrase
+        wanted = set(keys.tolist())
+        # One character for each byte, so that places are byte offsets.
+        needles = {" " + p.encode().decode("latin-1") + " ": k for k, p in phrases if k in wanted}
+        self.machine = ahocorasick.Automaton()
+        for needle, key in needles.items():
+            self.machine.add_word(needle, key)
+        if needles:
+            self.machine.make_automaton()
+
+    def confirmed(self, words: list[bytes]) -> np.ndarray:
+        """Starts of confirmed windows of a text, one by one as phrases are located."""
+        last = len(words) - self.window
+        if last < 0 or not len(self.machine):
+            return np.zeros(0, np.int64)
+        flat = b" ".join(words)
+        found = list(self.machine.iter(" " + flat.decode("latin-1") + " "))
+        if not found:
+            return np.zeros(0, np.int64)
+        raw = np.frombuffer(flat, np.uint8)
+        starts, ends, _ = word_spans(raw, np.array([0, len(raw)]))
+        place = np.searchsorted(ends, np.array([e for e, _ in found]) - 1, "right") - self.phrase
+        low = np.maximum(place - self.window + self.phrase, 0)
+        many = np.maximum(np.minimum(place, last) - low + 1, 0)
+        at, key = spread(low, many), np.repeat(np.array([k for _, k in found]), many)
+        h = run_hashes(word_hashes(raw, starts, ends), self.window).view(np.int64)[at]
+        hit, k = np.zeros(len(at), bool), np.searchsorted(self.hashes, h)
+        alive = np.flatnonzero(k < len(self.hashes))
+        while len(alive):
+            same = self.hashes[k[alive]] == h[alive]
+            hit[alive[same & (self.keys[np.minimum(k[alive], len(self.keys) - 1)] == key[alive])]] = True
+            alive = alive[same]
+            k[alive] += 1
+            alive = alive[k[alive] < len(self.hashes)]
+        return np.unique(at[hit])
+
+
+def _streamer(window: int, phrase: int):
+    """By block: confirmed windows, then phrases, then texts, which are streamed."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in small_batches(batches, "text"):
-            removed, sha = [], []
-            for text, starts in zip(batch.column("text").to_pylist(), batch.column("windows").to_pylist()):
-                words = text.encode().split()
-                edge = np.zeros(len(words) + 1, np.int64)
-                at = np.array(starts)
-                np.add.at(edge, at, 1)
-                np.add.at(edge, at + window, -1)
-                gone = np.cumsum(edge)[:-1] > 0
-                removed.append(int(gone.sum()))
-                sha.append(hashlib.sha256(b" ".join(w for w, g in zip(words, gone.tolist()) if not g)).hexdigest())
-            yield pa.RecordBatch.from_arrays([batch.column("uid"), pa.array(removed, pa.int64()), pa.array(sha, pa.string())], ["uid", "gone", "kept"])
+        block, shard, windows, phrases = None, None, [], []
+        for batch in batches:
+            blocks, kinds = batch.column("block").to_numpy(), batch.column("kind").to_numpy()
+            cuts = [0, *(np.flatnonzero((np.diff(blocks) != 0) | (np.diff(kinds) != 0)) + 1).tolist(), len(blocks)] if len(blocks) else []
+            uids, gone, kept = [], [], []
+            for a, b in zip(cuts, cuts[1:]):
+                if blocks[a] != block:
+                    block, shard, windows, phrases = blocks[a], None, [], []
+                part = batch.slice(a, b - a)
+                if kinds[a] == 0:
+                    windows.append((part.column("key").to_numpy(), part.column("h").to_numpy(zero_copy_only=False)))
+                elif kinds[a] == 1:
+                    phrases += zip(part.column("key").to_pylist(), part.column("text").to_pylist())
+                else:
+                    if shard is None:
+                        keys, hashes = (np.concatenate([w[k] for w in windows]) if windows else np.zeros(0, np.int64) for k in (0, 1))
+                        shard = Shard(keys, hashes, phrases, window, phrase)
+                    for uid, text in zip(part.column("key").to_pylist(), part.column("text").to_pylist()):
+                        words = text.encode().split()
+                        at = shard.confirmed(words)
+                        if len(at):
+                            edge = np.zeros(len(words) + 1, np.int64)
+                            edge[at] += 1
+                            edge[at + window] -= 1
+                            out = np.cumsum(edge)[:-1] > 0
+                            uids.append(uid)
+                            gone.append(int(out.sum()))
+                            kept.append(hashlib.sha256(b" ".join(w for w, g in zip(words, out.tolist()) if not g)).hexdigest())
+            yield pa.RecordBatch.from_arrays([pa.array(uids, pa.int64()), pa.array(gone, pa.int64()), pa.array(kept, pa.string())], ["uid", "gone", "kept"])
 
     return run
 
@@ -203,42 +245,52 @@ def maybe_in(rows: DataFrame, wanted: DataFrame, key: str = "th") -> DataFrame:
     return joined.where(F.floor(byte / F.pow(F.lit(2), bit % 8)) % 2 == 1).select(*rows.columns)
 
 
-def repeated_windows(docs: DataFrame, window: int = WINDOW, phrase: int = PHRASE, hot: int = HOT, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-    """(texts: uid, doc_id, n_words, sha, copies; found: uid, text, windows):
-    all rows, and the starts of repeated windows of texts without a copy."""
-    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    src = src.withColumn("th", F.coalesce(F.xxhash64("text"), F.lit(0)))
+def surveyed(docs: DataFrame, window: int, phrase: int) -> tuple[DataFrame, DataFrame]:
+    """(all rows with their key phrases; uid, doc_id, th, n_words, sha, copies, rep)."""
     schema = "doc_id long, th long, hi long, lo long, n_words long, sha string, key array<long>, start array<int>, many array<int>, weight array<int>"
-    survey = settle(src.mapInArrow(_surveyor(window, phrase), schema).withColumn("uid", F.monotonically_increasing_id()), "phrases")
+    survey = settle(docs.mapInArrow(_surveyor(window, phrase), schema).withColumn("uid", F.monotonically_increasing_id()), "phrases")
+    copies = survey.groupBy("hi", "lo").agg(F.count("*").alias("copies"), F.min("uid").alias("rep")).where("copies > 1")
+    # A large group of copies is dealt over salts.
+    copies = copies.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(_SALTS - 1))))
+    rows = survey.select("uid", "doc_id", "th", "hi", "lo", "n_words", "sha", F.pmod(F.xxhash64("uid"), F.lit(_SALTS)).cast("int").alias("salt"))
+    texts = rows.join(copies, ["hi", "lo", "salt"], "left").select("uid", "doc_id", "th", "n_words", "sha", F.coalesce("copies", F.lit(1).cast("long")).alias("copies"), F.coalesce("rep", "uid").alias("rep"))
+    return survey, settle(texts, "texts")
+
+
+def candidates(src: DataFrame, survey: DataFrame, texts: DataFrame, window: int) -> DataFrame:
+    """uid, copies, runs (key, start, many), text, block: texts with recurring key phrases."""
     marks = survey.where(F.col("n_words") >= window)
     recurring = marks.select(F.explode(F.arrays_zip("key", "weight")).alias("z")).groupBy(F.col("z.key").alias("key")).agg(F.sum("z.weight").alias("n")).where("n > 1")
-    copies = survey.groupBy("hi", "lo").agg(F.count("*").alias("copies"), F.min("uid").alias("rep"))
-    texts = settle(survey.select("uid", "doc_id", "th", "hi", "lo", "n_words", "sha").join(copies, ["hi", "lo"]).select("uid", "doc_id", "th", "n_words", "sha", "copies", "rep"), "texts")
     runs = marks.select("uid", F.explode(F.arrays_zip("key", "start", "many", "weight")).alias("z")).select("uid", "z.*")
-    runs = runs.join(recurring, "key").select("uid", "n", "weight", F.struct("key", "start", "many", (F.col("n") > hot).alias("hot")).alias("run"))
+    runs = runs.join(recurring, "key").select("uid", "n", "weight", F.struct("key", "start", "many").alias("run"))
     searched = texts.where("uid = rep").select("uid", F.coalesce("doc_id", "th").alias("rk"), "th", "copies")
     # A copied text is settled; its stretches matter where another text has the phrase too.
     shared = runs.join(searched, "uid").where((F.col("copies") == 1) | (F.col("n") > F.col("copies") * F.col("weight")))
-    wanted = shared.groupBy("uid", "rk", "th", "copies").agg(F.collect_list("run").alias("runs"))
+    wanted = settle(shared.groupBy("uid", "rk", "th", "copies").agg(F.collect_list("run").alias("runs")), "wanted")
     sources = src.where("text is not null").select(F.coalesce("doc_id", "th").alias("rk"), "th", "text")
-    wanted = settle(wanted, "wanted")
-    hits = settle(maybe_in(sources, wanted).join(wanted, ["rk", "th"]).select("uid", "copies", "runs", "text"), "hits")
-    cut_schema = "uid long, copies long, key long, salt long, s1 long, s2 long, start int, many int, at int, words string"
-    cut = settle(hits.mapInArrow(_cutter(window, phrase), cut_schema), "stretches")
-    merged = cut.groupBy("key", "salt", "s1", "s2").agg(F.sum("copies").alias("weight"), F.first("many").alias("many"), F.first("at").alias("at"), F.first("words").alias("words"))
-    dealt = merged.repartition("key", "salt").sortWithinPartitions("key", "salt", "s1", "s2")
-    verdict = dealt.select("key", "salt", "s1", "s2", "weight", "many", "at", "words").mapInArrow(_confirmer(window, phrase), "s1 long, s2 long, offsets array<int>")
-    verdict = settle(verdict, "verdicts")
-    back = cut.where("copies = 1").select("uid", "start", "s1", "s2").join(verdict, ["s1", "s2"])
-    back = back.select("uid", F.transform("offsets", lambda o: o + F.col("start")).alias("w")).groupBy("uid").agg(F.flatten(F.collect_list("w")).alias("windows"))
-    return texts, hits.where("copies = 1").select("uid", "text").join(back, "uid")
-
-
-def deduplicated(docs: DataFrame, window: int = WINDOW, phrase: int = PHRASE, hot: int = HOT, **cols: str) -> DataFrame:
+    hits = maybe_in(sources, wanted).join(wanted, ["rk", "th"]).select("uid", "copies", "runs", "text")
+    return settle(hits.mapInArrow(_blocks(BLOCK_BYTES), "uid long, copies long, runs array<struct<key:long,start:int,many:int>>, text string, block long"), "hits")
+
+
+def covered(hits: DataFrame, window: int, phrase: int) -> DataFrame:
+    """uid, gone, kept: what is left of the texts of ``hits`` that have no copy."""
+    marks = settle(hits.mapInArrow(_marker(window, phrase), "block long, key long, h long, n long, phrase string"), "windows")
+    windows = marks.where("phrase is null").select("block", "key", "h", "n")
+    again = windows.groupBy("key", "h").agg(F.sum("n").alias("n")).where("n > 1").select("key", "h")
+    none = F.lit(None).cast("string")
+    confirmed = windows.select("block", "key", "h").join(again, ["key", "h"]).select("block", F.lit(0).alias("kind"), "key", "h", none.alias("text"))
+    phrases = marks.where("phrase is not null").select("block", F.lit(1).alias("kind"), "key", F.lit(None).cast("long").alias("h"), F.col("phrase").alias("text"))
+    texts = hits.where("copies = 1").select("block", F.lit(2).alias("kind"), F.col("uid").alias("key"), F.lit(None).cast("long").alias("h"), "text")
+    dealt = confirmed.unionByName(phrases).unionByName(texts).repartition("block").sortWithinPartitions("block", "kind")
+    return settle(dealt.mapInArrow(_streamer(window, phrase), "uid long, gone long, kept string"), "removed")
+
+
+def deduplicated(docs: DataFrame, window: int = WINDOW, phrase: int = PHRASE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 of every row."""
-    texts, found = repeated_windows(docs, window, phrase, hot, **cols)
-    parts = settle(found.mapInArrow(_remover(window), "uid long, gone long, kept string"), "removed")
-    out = texts.join(parts, "uid", "left")
+    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    src = src.withColumn("th", F.coalesce(F.xxhash64("text"), F.lit(0)))
+    survey, texts = surveyed(src, window, phrase)
+    out = texts.join(covered(candidates(src, survey, texts, window), window, phrase), "uid", "left")
     copied = (F.col("copies") > 1) & (F.col("n_words") >= window)
     return out.select(
         "doc_id", "n_words",
