@@ -100,7 +100,7 @@ def test_forest_of_a_dense_group():
     assert (got == root).all()
 
 
-def test_phrase_dedup(spark, edge_docs, empty_docs, edge_rows):
+def test_phrase_dedup(spark, edge_docs, empty_docs, edge_rows, monkeypatch):
     seen = Counter()
     for r in edge_rows:
         w = words(r[1])
@@ -113,8 +113,9 @@ def test_phrase_dedup(spark, edge_docs, empty_docs, edge_rows):
             if seen[tuple(w[k : k + 35])] > 1:
                 gone[k : k + 35] = [True] * 35
         want.append((r[0], len(w), sum(gone), hashlib.sha256(b" ".join(x for x, g in zip(w, gone) if not g)).hexdigest()))
-    for hot in (phrase_dedup.HOT, 1):
-        got = [tuple(r) for r in phrase_dedup.deduplicated(edge_docs, hot=hot).collect()]
+    for size in (phrase_dedup.BLOCK_BYTES, 2000):
+        monkeypatch.setattr(phrase_dedup, "BLOCK_BYTES", size)
+        got = [tuple(r) for r in phrase_dedup.deduplicated(edge_docs).collect()]
         assert sorted(got, key=str) == sorted(want, key=str)
     assert phrase_dedup.deduplicated(empty_docs).count() == 0
 
@@ -188,9 +189,7 @@ def test_language_model(edge_docs, empty_docs, edge_rows):
     assert hpy_lm.scored(empty_docs).count() == 0
 
 
-def test_language_model_is_a_distribution(edge_docs):
-    lex, n, v = hpy_lm.lexicon(edge_docs.select("text", F.lit(False).alias("held")))
-    assert lex.where("c > 0").agg(F.sum(F.pow(F.lit(10.0), "lp"))).first()[0] < 1
+def test_spelling_is_a_distribution():
     spelling = hpy_lm.byte_restaurants(np.array([97 * 1, 97 * 256 + 98, (97 * 256 + 98) * 256]), np.array([5, 3, 2]), 1)
     for ctx in (0, 97, 97 * 256 + 98):
         p = spelling.back[ctx] * spelling.lower[ctx & 255]
@@ -200,6 +199,49 @@ def test_language_model_is_a_distribution(edge_docs):
         assert p.sum() == pytest.approx(1, abs=1e-6)
 
 
+def test_language_model_hears_the_order_of_words(spark):
+    rng = np.random.default_rng(4)
+    follow = rng.permutation(40)
+    rows = []
+    for i in range(400):
+        w = [int(rng.integers(40))]
+        while len(w) < 30:
+            w.append(int(follow[w[-1]]) if rng.random() < 0.8 else int(rng.integers(40)))
+        rows.append((i, " ".join(f"v{x}" for x in w)))
+    rows += [(1000 + k, " ".join(reversed(rows[k][1].split()))) for k in range(20)] + [(2000, "v1 neverseen v2"), (2001, "v1 neverseenatall v2")]
+    got = {r.doc_id: r for r in hpy_lm.scored(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    held = [k for k in range(400) if got[k].held_out]
+    assert sum(got[k].score for k in held) > sum(got[k].base_score for k in held)
+    assert sum(got[k].score for k in range(400) if not got[k].held_out) > sum(got[k].base_score for k in range(400) if not got[k].held_out)
+    assert sum(got[k].score - got[1000 + k].score for k in range(20)) > 20 * 5
+    assert got[2000].score > got[2001].score  # unseen words are spelled, longer ones are less likely
+
+
+def test_context_restaurants_by_brute_force(spark):
+    """Customers seated alone leave nothing to chance: the three levels by their formulas."""
+    width = 6
+    cells = {0: {0: 1, 1: 1, 5: 1}, 3: {1: 1, 2: 1}, hpy_lm._CONTEXTS - 1: {4: 1}}
+    table = spark.createDataFrame([(c, list(d), list(d.values())) for c, d in cells.items()], "context int, w array<int>, c array<long>")
+    base = np.array([0.3, 0.2, 0.2, 0.1, 0.1, 0.1])
+    got = 10.0 ** hpy_lm.context_model(table, base).astype(float)
+    assert got.sum(1) == pytest.approx(np.ones(len(got)), abs=1e-4)
+    k = np.zeros(width)
+    for d in cells.values():
+        for w in d:
+            k[w] += 1
+    discount = hpy_lm.rate(6, 0)
+    mean = np.zeros((2, width))
+    for tables in (1, 2):  # dish 1 has two customers: one or two tables
+        s = np.where(k == 2, tables, np.minimum(k, 1))
+        d0 = hpy_lm.rate((k == 1).sum(), (k == 2).sum())
+        root = (k - d0 * s + (1 + d0 * s.sum()) * base) / (1 + k.sum())
+        p = (1 + discount * 3) * root
+        p[[0, 1, 5]] += 1 - discount
+        mean[tables - 1] = p / (1 + 3)
+    low, high = mean.min(0) - 1e-4, mean.max(0) + 1e-4
+    assert ((got[0] >= low) & (got[0] <= high)).all()
+
+
 def test_quality_rules(edge_docs, empty_docs, edge_rows):
     want = []
     for r in edge_rows:
@@ -382,3 +424,17 @@ def test_held_out_accuracy(spark):
     got = ftrl_quality.op9_query(spark, sf).join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id").where("held_out and quality is not null")
     one = got.agg(F.avg((F.col("predicted") == F.col("quality")).cast("int")).alias("a"), F.count("*").alias("n")).first()
     assert one.n > 20 and one.a > 0.95
+
+
+def test_automaton_decides_what_goes():
+    """Windows are looked up where a phrase is located, and nowhere else."""
+    words = [f"w{k}".encode() for k in range(60)]
+    raw = np.frombuffer(b" ".join(words), np.uint8)
+    starts, ends, _ = phrase_dedup.word_spans(raw, np.array([0, len(raw)]))
+    h = phrase_dedup.run_hashes(phrase_dedup.word_hashes(raw, starts, ends), 35).view(np.int64)
+    phrase = " ".join(f"w{k}" for k in range(20, 28))
+    keys = np.full(3, 5, np.int64)
+    shard = phrase_dedup.Shard(keys, h[[2, 10, 20]], [(5, phrase)], 35, 8)
+    assert shard.confirmed(words).tolist() == [2, 10, 20]
+    assert phrase_dedup.Shard(keys, h[[2, 10, 20]], [], 35, 8).confirmed(words).tolist() == []
+    assert shard.confirmed(words[:21] + [b"other"] + words[21:]).tolist() == []
