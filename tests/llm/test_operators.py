@@ -438,3 +438,45 @@ def test_automaton_decides_what_goes():
     assert shard.confirmed(words).tolist() == [2, 10, 20]
     assert phrase_dedup.Shard(keys, h[[2, 10, 20]], [], 35, 8).confirmed(words).tolist() == []
     assert shard.confirmed(words[:21] + [b"other"] + words[21:]).tolist() == []
+
+
+def test_revealing_terms_by_brute_force(spark):
+    rng = np.random.default_rng(12)
+    vocab = [f"t{i}" for i in range(30)]
+    mails = [f"p{i}@x.org" for i in range(4)]
+    rows = []
+    for i in range(120):
+        w = list(rng.choice(vocab, int(rng.integers(5, 60))))
+        for m in range(4):
+            if rng.random() < 0.15:
+                at = int(rng.integers(len(w)))
+                w[at:at] = [f"near{m}", mails[m], str(rng.choice(vocab))]
+        rows.append((i, "".join(x + str(rng.choice([" ", " ", " ", "\n"])) for x in w)))
+    reach = 30
+    near = set()
+    count = Counter(x for _, t in rows for x in t.split())
+    n = sum(count.values())
+    for i, t in rows:
+        spots = [(m.start(), m.end(), m.group()) for m in re.finditer(r"\S+", t)]
+        hits = [s for s in spots if "@" in s[2]]
+        for a, b, e in hits:
+            for x, y, term in spots:
+                inside = a - reach <= x and y <= a or x >= b and y <= b + reach
+                if inside and "\n" not in t[min(x, a) : max(y, b)] and not any(x < q and p < y for p, q, _ in hits):
+                    near.add((i, e, term, x, y))
+    both, n_rows, n_e = Counter(), defaultdict(set), Counter()
+    for i, e, term, _, _ in near:
+        both[e, term] += 1
+        n_rows[e, term].add(i)
+        n_e[e] += 1
+    told = {k for k, v in both.items() if len(n_rows[k]) >= 2 and math.log2(v * n / (count[k[1]] * n_e[k[0]])) >= 0.8 * math.log2(n / n_e[k[0]])}
+    want = {(i, x, y) for i, e, term, x, y in near if (e, term) in told}
+    got = pii_sanitize.personal_spans(spark.createDataFrame(rows, "doc_id long, text string"), reach=reach).select("doc_id", F.explode("terms").alias("t")).collect()
+    assert len(want) > 10 and {(r.doc_id, r.t.start, r.t.end) for r in got} == want
+
+
+def test_a_long_line_of_entities_is_scanned_once(spark):
+    rng = np.random.default_rng(1)
+    line = " ".join(f"w{rng.integers(900)}" if k % 20 else f"u{k}@h{k}.org" for k in range(20_000))
+    got = pii_sanitize.personal_spans(spark.createDataFrame([(1, line), (2, line)], "doc_id long, text string")).select(F.size("found").alias("n")).collect()
+    assert [r.n for r in got] == [1000, 1000]
