@@ -1,9 +1,11 @@
 """Licence scans, in DataFrame functions only.
 
-Every line of a whole text that holds a cue word is a candidate notice. Its
-terms (runs of letters, digits and dots, lower-cased) are weighed against each
-template by the cosine of sparse TF-IDF vectors, the inverse document frequency
-being that of the templates; a file takes its best template at or above
+Texts that hold a cue word are scored in blocks: the whole text, every line with a
+cue, and the runs of two to five adjacent lines around it, so that notices wrapped
+over lines and whole licence files count as well as single lines. A block's terms
+(runs of letters, digits and dots, lower-cased) are weighed against each template
+by the cosine of sparse TF-IDF vectors, the inverse document frequency being that
+of the templates; a file takes the template of its best block at or above
 ``threshold``. Files whose notices make up most of the text, or that carry a
 licence file's name, speak for their directory: a file without a notice of its
 own inherits from the nearest ancestor directory that has one, found by joining
@@ -35,32 +37,36 @@ FILE_NAMES = r"(?i)^(licen[sc]e|copying|unlicense|notice)([-.].*)?$"
 
 #: Short public notices by licence name.
 TEMPLATES = {
-    "Apache-2.0": "licensed under the apache license version 2.0",
-    "BSD-3-Clause": "redistribution and use in source and binary forms with or without modification are permitted bsd license",
-    "CC-BY-4.0": "this work is licensed under a creative commons attribution 4.0 international license cc by 4.0",
-    "CC-BY-NC-4.0": "licensed under cc by nc 4.0",
-    "CC-BY-SA-4.0": "licensed under cc by sa 4.0 creative commons attribution sharealike",
-    "GPL-2.0": "this program is free software licensed under the gnu general public license version 2",
-    "GPL-3.0": "this work is licensed under the gnu general public license version 3",
-    "LGPL-3.0": "licensed under the gnu lesser general public license version 3",
-    "MIT": "released under the mit license",
-    "MPL-2.0": "this source code form is subject to the terms of the mozilla public license v. 2.0",
-    "Proprietary": "copyright all rights reserved",
+    "Apache-2.0": ["licensed under the apache license version 2.0", "apache license version 2.0 january 2004", "spdx license identifier apache 2.0"],
+    "BSD-2-Clause": ["bsd 2 clause license", "spdx license identifier bsd 2 clause"],
+    "BSD-3-Clause": ["redistribution and use in source and binary forms with or without modification are permitted bsd license", "bsd 3 clause license", "spdx license identifier bsd 3 clause"],
+    "CC-BY-4.0": ["this work is licensed under a creative commons attribution 4.0 international license cc by 4.0", "licensed under cc by 4.0"],
+    "CC-BY-NC-4.0": ["licensed under cc by nc 4.0", "creative commons attribution noncommercial 4.0 international license"],
+    "CC-BY-SA-4.0": ["licensed under cc by sa 4.0", "creative commons attribution sharealike 4.0 international license"],
+    "CC0-1.0": ["cc0 1.0 universal public domain dedication"],
+    "GPL-2.0": ["this program is free software licensed under the gnu general public license version 2", "gnu general public license version 2 june 1991", "spdx license identifier gpl 2.0"],
+    "GPL-3.0": ["this work is licensed under the gnu general public license version 3", "gnu general public license version 3 29 june 2007", "gnu general public license", "spdx license identifier gpl 3.0"],
+    "ISC": ["permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted", "spdx license identifier isc"],
+    "LGPL-3.0": ["licensed under the gnu lesser general public license version 3", "gnu lesser general public license version 3 29 june 2007", "spdx license identifier lgpl 3.0"],
+    "MIT": ["released under the mit license", "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files", "licensed under the mit license", "spdx license identifier mit"],
+    "MPL-2.0": ["this source code form is subject to the terms of the mozilla public license v. 2.0", "mozilla public license version 2.0", "spdx license identifier mpl 2.0"],
+    "Proprietary": ["copyright all rights reserved", "copyright c all rights reserved proprietary and confidential"],
+    "Unlicense": ["this is free and unencumbered software released into the public domain", "spdx license identifier unlicense"],
 }
-_CUE = r"(?i)licen[sc]e|copyright|all rights reserved|released under|redistribution"
+_CUE = r"(?i)licen[sc]e|copyright|rights reserved|released (?:under|into)|redistribution|permission|mozilla public|creative commons|public domain|spdx"
 _TERM = r"[a-z0-9]+(?:\.[0-9]+)*"
 
 
-def template_weights(templates: dict[str, str] | None = None) -> tuple[list[str], dict[str, list[int]], list[float]]:
-    """Licence names, term -> its idf and its weight in each template (integers), template norms."""
+def template_weights(templates: dict[str, list[str]] | None = None) -> tuple[list[str], dict[str, list[int]], list[float]]:
+    """The name of each template, term -> its idf and its weight in each template (integers), template norms."""
     templates = templates or TEMPLATES
-    names = sorted(templates)
-    bags = [{t: templates[n].split().count(t) for t in set(re.findall(_TERM, templates[n]))} for n in names]
+    rows = [(n, re.findall(_TERM, t)) for n in sorted(templates) for t in templates[n]]
+    bags = [{t: terms.count(t) for t in terms} for _, terms in rows]
     df = {t: sum(t in b for b in bags) for b in bags for t in b}
-    idf = {t: round(SCALE * (1 + math.log((1 + len(names)) / (1 + n)))) for t, n in df.items()}
+    idf = {t: round(SCALE * (1 + math.log((1 + len(rows)) / (1 + n)))) for t, n in df.items()}
     weights = {t: [idf[t], *(b.get(t, 0) * idf[t] for b in bags)] for t in idf}
-    norms = [math.sqrt(sum(w[i + 1] ** 2 for w in weights.values())) for i in range(len(names))]
-    return names, weights, norms
+    norms = [math.sqrt(sum(w[i + 1] ** 2 for w in weights.values())) for i in range(len(rows))]
+    return [n for n, _ in rows], weights, norms
 
 
 def unseen_weight(n_templates: int) -> int:
@@ -68,39 +74,56 @@ def unseen_weight(n_templates: int) -> int:
     return round(SCALE * (1 + math.log(1 + n_templates)))
 
 
-def notice_scores(line: Column, templates: dict[str, str] | None = None) -> Column:
-    """Best (score, name) of one line, as struct(minus, name)."""
+def notice_scores(block: Column, templates: dict[str, list[str]] | None = None) -> Column:
+    """Best (score, name) of one block, as struct(minus, name)."""
     names, weights, norms = template_weights(templates)
     terms = sorted(weights)
-    known = F.split(F.lit(" ".join(terms)), " ")
-    table = F.split(F.lit(" ".join(",".join(map(str, weights[t])) for t in terms)), " ")
+    known = F.array(*[F.lit(t) for t in terms])
+    idf = F.array(*[F.lit(weights[t][0]).cast("long") for t in terms])
+    products = F.array(*[F.array(*[F.lit(weights[t][0] * w).cast("long") for w in weights[t][1:]]) for t in terms])
+    long = lambda v: F.lit(v).cast("long")
+
+    def squared(run: Column, at: Column) -> Column:
+        part = run * F.when(at > 0, F.get(idf, at - 1)).otherwise(long(unseen_weight(len(names))))
+        return part * part
 
     def rate(words: Column) -> Column:
-        rows = F.transform(words, lambda w: F.struct(F.size(F.filter(words, lambda v: v == w)).alias("tf"), F.array_position(known, w).alias("at")))
-        first = F.filter(rows, lambda r, i: F.array_position(words, F.get(words, i)) == i + 1)
-        vectors = F.transform(first, lambda r: F.struct(r["tf"].cast("long").alias("tf"), F.when(r["at"] > 0, F.split(F.get(table, r["at"].cast("int") - 1), ",").cast("array<long>")).alias("w")))
+        # Equal terms are neighbours: their number is known when the next term begins.
+        def step(acc: Column, w: Column) -> Column:
+            same = w["term"] == acc["term"]
+            return F.struct(w["term"].alias("term"), w["at"].alias("at"), F.when(same, acc["run"] + 1).otherwise(long(1)).alias("run"), F.when(same, acc["sq"]).otherwise(acc["sq"] + squared(acc["run"], acc["at"])).alias("sq"))
+
+        start = F.struct(F.lit("").alias("term"), F.lit(0).alias("at"), long(0).alias("run"), long(0).alias("sq"))
+        norm = F.aggregate(words, start, step, lambda acc: F.sqrt((acc["sq"] + squared(acc["run"], acc["at"])).cast("double")))
+        dots = F.aggregate(F.filter(words, lambda w: w["at"] > 0), F.array_repeat(long(0), len(names)), lambda acc, w: F.zip_with(acc, F.get(products, w["at"] - 1), lambda a, b: a + b))
+        both = F.struct(norm.alias("norm"), dots.alias("dots"))
+        return let(both, lambda v: F.array_min(F.array(*[F.struct((-F.get(v["dots"], F.lit(i)).cast("double") / (v["norm"] * norms[i])).alias("minus"), F.lit(n).alias("name")) for i, n in enumerate(names)])))
 
-        def score(v: Column) -> Column:
-            norm = F.sqrt(F.aggregate(v, F.lit(0).cast("long"), lambda a, r: a + F.pow(r["tf"] * F.coalesce(F.get(r["w"], F.lit(0)), F.lit(unseen_weight(len(names)))), F.lit(2)).cast("long")).cast("double"))
-            return F.array_min(F.array(*[F.struct((-_dot(v, i).cast("double") / (norm * norms[i])).alias("minus"), F.lit(n).alias("name")) for i, n in enumerate(names)]))
+    words = F.transform(F.array_sort(F.regexp_extract_all(F.lower(block), F.lit(_TERM), F.lit(0))), lambda w: F.struct(w.alias("term"), F.array_position(known, w).cast("int").alias("at")))
+    return let(words, rate)
 
-        return let(vectors, score)
 
-    return let(F.regexp_extract_all(F.lower(line), F.lit(_TERM), F.lit(0)), rate)
+def blocks_of(text: Column, lines: Column) -> Column:
+    """The text and, around each line with a cue, the runs of one to five lines."""
 
+    def around(i: Column) -> Column:
+        run = lambda a, n: F.array_join(F.slice(lines, F.greatest(i + a, F.lit(0)) + 1, F.lit(n)), " ")
+        return F.array(run(0, 1), run(-1, 2), run(0, 2), run(-1, 3), run(-2, 5))
 
-def _dot(vectors: Column, i: int) -> Column:
-    return F.aggregate(vectors, F.lit(0).cast("long"), lambda a, r: a + r["tf"] * F.coalesce(F.get(r["w"], F.lit(0)) * F.get(r["w"], F.lit(i + 1)), F.lit(0)))
+    cued = F.filter(F.sequence(F.lit(0), F.size(lines) - 1), lambda i: F.rlike(F.get(lines, i), F.lit(_CUE)))
+    return F.array_distinct(F.concat(F.array(text), F.flatten(F.transform(cued, around))))
 
 
 def scan(files: DataFrame, threshold: float = THRESHOLD, path_col: str = "path", text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
     """doc_id, path, own, score, share (of words in notices) of every row."""
     src = files.select(F.col(id_col).alias("doc_id"), F.col(path_col).cast("string").alias("path"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t"))
-    lines = F.when(F.rlike("t", F.lit(_CUE)), F.filter(F.split("t", "\n", -1), lambda x: F.rlike(x, F.lit(_CUE)))).otherwise(F.array().cast("array<string>"))
-    cut = src.select("doc_id", "path", F.regexp_count("t", F.lit(r"[^\x20\x09-\x0D]+")).alias("words"), F.array_distinct(lines).alias("notices"))
-    rated = cut.select("doc_id", "path", "words", "notices", F.when(F.size("notices") > 0, F.array_min(F.transform("notices", lambda x: notice_scores(x)))).alias("best"))
+    cued = F.rlike("t", F.lit(_CUE))
+    blocks = F.when(cued, let(F.split("t", "\n", -1), lambda lines: blocks_of(F.col("t"), lines))).otherwise(F.array().cast("array<string>"))
+    notices = F.when(cued, F.filter(F.split("t", "\n", -1), lambda x: F.rlike(x, F.lit(_CUE)))).otherwise(F.array().cast("array<string>"))
+    cut = src.select("doc_id", "path", F.regexp_count("t", F.lit(r"[^\x20\x09-\x0D]+")).alias("words"), blocks.alias("blocks"), notices.alias("notices"))
+    rated = cut.select("doc_id", "path", "words", "notices", F.when(F.size("blocks") > 0, F.array_min(F.transform("blocks", lambda x: notice_scores(x)))).alias("best"))
     found = -F.col("best.minus") >= threshold
-    spoken = F.aggregate("notices", F.lit(0), lambda a, x: a + F.regexp_count(x, F.lit(r"[^\x20\x09-\x0D]+")))
+    spoken = F.aggregate(F.array_distinct("notices"), F.lit(0), lambda a, x: a + F.regexp_count(x, F.lit(r"[^\x20\x09-\x0D]+")))
     return rated.select("doc_id", "path", F.when(found, F.col("best.name")).alias("own"), F.coalesce(-F.col("best.minus"), F.lit(0.0)).alias("score"), (spoken / F.greatest("words", F.lit(1))).alias("share"))
 
 

@@ -480,3 +480,41 @@ def test_a_long_line_of_entities_is_scanned_once(spark):
     line = " ".join(f"w{rng.integers(900)}" if k % 20 else f"u{k}@h{k}.org" for k in range(20_000))
     got = pii_sanitize.personal_spans(spark.createDataFrame([(1, line), (2, line)], "doc_id long, text string")).select(F.size("found").alias("n")).collect()
     assert [r.n for r in got] == [1000, 1000]
+
+
+def brute_notice(text):
+    """Best (score, name) over all blocks of a text, by the definitions."""
+    term = re.compile(license_scan._TERM)
+    rows = [(n, term.findall(t)) for n, ts in license_scan.TEMPLATES.items() for t in ts]
+    idf = lambda t: round(1000 * (1 + math.log((1 + len(rows)) / (1 + sum(t in b for _, b in rows)))))
+    vec = lambda ts: {t: ts.count(t) * idf(t) for t in set(ts)}
+    norm = lambda v: math.sqrt(sum(x * x for x in v.values()))
+    lines = text.split("\n")
+    blocks = [text] if re.search(license_scan._CUE, text) else []
+    for i, x in enumerate(lines):
+        if re.search(license_scan._CUE, x):
+            blocks += [" ".join(lines[max(i + a, 0) :][:n]) for a, n in ((0, 1), (-1, 2), (0, 2), (-1, 3), (-2, 5))]
+    best = (0.0, None)
+    for b in blocks:
+        v = vec(term.findall(b.lower()))
+        for n, ts in rows:
+            w = vec(ts)
+            dot = sum(v.get(t, 0) * w[t] for t in w)
+            if dot and dot / norm(v) / norm(w) > best[0] + 1e-12:
+                best = (dot / norm(v) / norm(w), n)
+    return best
+
+
+def test_licence_blocks_by_brute_force(spark):
+    texts = [
+        "This Source Code Form is subject to the terms of the Mozilla Public\nLicense, v. 2.0. If a copy of it was not given, ask.", "// SPDX-License-Identifier: MIT\nint main() {}",
+        "# SPDX-License-Identifier: Apache-2.0", "GNU GENERAL PUBLIC LICENSE\nVersion 3, 29 June 2007\n\n" + "Everyone may copy this text. " * 30,
+        "This work is free; it is licensed under the terms of the GNU General\nPublic License\nversion 3 of it", "All rights reserved.", "no cue here", "license " * 400 + "x",
+        "some prose about a driving license " + "and other words " * 50, "Permission is hereby granted, free of charge,\nto any person obtaining a copy\nof this software and associated\ndocumentation files",
+    ]
+    docs = spark.createDataFrame([(i, "a/b.txt", t) for i, t in enumerate(texts)], "doc_id long, path string, text string")
+    got = {r.doc_id: r for r in license_scan.scan(docs).collect()}
+    for i, t in enumerate(texts):
+        score, name = brute_notice(t)
+        assert got[i].score == pytest.approx(score, abs=1e-9) and got[i].own == (name if score >= license_scan.THRESHOLD else None), t
+    assert [got[i].own for i in (0, 1, 2, 3, 6, 9)] == ["MPL-2.0", "MIT", "Apache-2.0", "GPL-3.0", None, "MIT"]
