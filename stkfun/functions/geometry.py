@@ -91,54 +91,66 @@ def l_ring(window: StudyWindow) -> list[tuple[float, float]]:
     return [(window.x0, window.y0), (window.x1, window.y0), (window.x1, my), (mx, my), (mx, window.y1), (window.x0, window.y1)]
 
 
+def ring_gaps(x: np.ndarray, y: np.ndarray, ring: np.ndarray, block: int = 1 << 20) -> np.ndarray:
+    """Distance of each place to the ring, each distinct place once."""
+    places, back = np.unique(x + 1j * y, return_inverse=True)
+    a, step = ring, np.roll(ring, -1, axis=0) - ring
+    size2 = np.maximum((step**2).sum(1), 1e-300)
+    out = np.empty(len(places))
+    rows = max(1, block // len(ring))
+    for lo in range(0, len(places), rows):
+        p = places[lo : lo + rows]
+        fx, fy = a[None, :, 0] - p.real[:, None], a[None, :, 1] - p.imag[:, None]
+        k = np.clip(-(fx * step[:, 0] + fy * step[:, 1]) / size2, 0, 1)
+        out[lo : lo + rows] = np.sqrt(((fx + k * step[:, 0]) ** 2 + (fy + k * step[:, 1]) ** 2).min(1))
+    return out[back.ravel()]
+
+
 def ring_weights(x: np.ndarray, y: np.ndarray, d: np.ndarray, ring: np.ndarray, early_exit: bool = True, block: int = 1 << 20) -> np.ndarray:
-    """1 / inside share of each circle in a simple polygon, vectorised over circles and edges."""
+    """1 / inside share of each circle in a simple polygon, vectorised over circles and edges.
+
+    ``early_exit`` leaves out circles that do not reach the ring. Crossings of the
+    others are few: only they are sorted and their arcs tested."""
     a, b = ring, np.roll(ring, -1, axis=0)
     step = b - a
     size2 = (step**2).sum(1)
     out = np.ones(len(x))
+    live = np.flatnonzero(d > 0)
+    if early_exit and len(live):
+        live = live[d[live] > ring_gaps(x[live], y[live], ring, block)]
     rows = max(1, block // len(ring))
-    for lo in range(0, len(x), rows):
-        px, py, r = x[lo : lo + rows], y[lo : lo + rows], d[lo : lo + rows]
+    for lo in range(0, len(live), rows):
+        at = live[lo : lo + rows]
+        px, py, r = x[at], y[at], d[at]
         fx, fy = a[None, :, 0] - px[:, None], a[None, :, 1] - py[:, None]
-        if early_exit:
-            k = np.clip(-(fx * step[:, 0] + fy * step[:, 1]) / size2, 0, 1)
-            near = np.sqrt(((fx + k * step[:, 0]) ** 2 + (fy + k * step[:, 1]) ** 2).min(1))
-            todo = np.flatnonzero((r > 0) & (r > near))
-        else:
-            todo = np.flatnonzero(r > 0)
-        if not len(todo):
-            continue
-        fx, fy, r_ = fx[todo], fy[todo], r[todo]
         half = fx * step[:, 0] + fy * step[:, 1]
-        disc = half**2 - size2 * (fx**2 + fy**2 - r_[:, None] ** 2)
-        root = np.sqrt(np.maximum(disc, 0))
-        angles = np.full((len(todo), 2 * len(ring)), np.nan)
-        for s, sign in enumerate((-1, 1)):
-            k = (-half + sign * root) / size2
-            ok = (disc > 0) & (k >= 0) & (k <= 1)
-            ang = np.arctan2(fy + k * step[:, 1], fx + k * step[:, 0])
-            angles[:, s * len(ring) : (s + 1) * len(ring)] = np.where(ok, ang, np.nan)
-        angles.sort(axis=1)
-        hits = (~np.isnan(angles)).sum(1)
-        angles = angles[:, : max(1, hits.max())]
-        first = np.where(hits > 0, angles[:, 0], 0.0)
-        ends = np.where(np.isnan(angles), np.nan, angles)
-        nxt = np.concatenate([ends[:, 1:], np.full((len(todo), 1), np.nan)], axis=1)
-        wrap = (first + 2 * np.pi)[:, None]
-        nxt = np.where(np.isnan(nxt), wrap, nxt)
-        arc = np.where(np.isnan(ends), 0.0, nxt - ends)
-        none = hits == 0
-        arc[none, 0], ends[none, 0] = 2 * np.pi, 0.0
-        mid = np.where(np.isnan(ends), 0.0, ends + arc / 2)
-        inside = np.zeros(arc.shape, bool)
-        for k in range(arc.shape[1]):
-            live = np.flatnonzero(arc[:, k] > 1e-12)
-            if len(live):
-                mx, my = px[todo][live] + r_[live] * np.cos(mid[live, k]), py[todo][live] + r_[live] * np.sin(mid[live, k])
-                inside[live, k] = inside_np(mx, my, ring)
-        f = (arc * inside).sum(1) / (2 * np.pi)
-        out[lo + todo] = np.where(f > 0, 1 / np.maximum(f, 1e-300), np.inf)
+        disc = half**2 - size2 * (fx**2 + fy**2 - r[:, None] ** 2)
+        i, e = np.nonzero(disc > 0)
+        root, mid = np.sqrt(disc[i, e]), -half[i, e]
+        pair, angle = [], []
+        for sign in (-1, 1):
+            k = (mid + sign * root) / size2[e]
+            ok = (k >= 0) & (k <= 1)
+            pair.append(i[ok])
+            angle.append(np.arctan2(fy[i[ok], e[ok]] + k[ok] * step[e[ok], 1], fx[i[ok], e[ok]] + k[ok] * step[e[ok], 0]))
+        pair, angle = np.concatenate(pair), np.concatenate(angle)
+        alone = np.setdiff1d(np.arange(len(at)), pair)
+        pair, angle = np.concatenate([pair, alone]), np.concatenate([angle, np.zeros(len(alone))])
+        order = np.lexsort((angle, pair))
+        pair, angle = pair[order], angle[order]
+        head = np.flatnonzero(np.concatenate([[True], pair[1:] != pair[:-1]]))
+        last = np.append(head[1:], len(pair)) - 1
+        after = np.append(angle[1:], 0.0)
+        after[last] = angle[head] + 2 * np.pi
+        arc = after - angle
+        wide = np.flatnonzero(arc > 1e-12)
+        turn = angle[wide] + arc[wide] / 2
+        inside = np.zeros(len(wide), bool)
+        for k in range(0, len(wide), rows):
+            w = wide[k : k + rows]
+            inside[k : k + rows] = inside_np(px[pair[w]] + r[pair[w]] * np.cos(turn[k : k + rows]), py[pair[w]] + r[pair[w]] * np.sin(turn[k : k + rows]), ring)
+        f = np.bincount(pair[wide], arc[wide] * inside, len(at)) / (2 * np.pi)
+        out[at] = np.where(f > 0, 1 / np.maximum(f, 1e-300), np.inf)
     return out
 
 

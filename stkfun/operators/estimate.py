@@ -31,13 +31,21 @@ def fixed(w: Column) -> Column:
     return F.round(w * FIXED).cast("long")
 
 
-def pair_weight(window: StudyWindow, correction: str = "isotropic", w_cap: float | None = None, **polygon) -> Column:
+def pair_weight(window: StudyWindow, correction: str = "isotropic", w_cap: float | None = None, end: str = "", **polygon) -> Column:
+    """The weight of a pair seen from its centre, or (``end`` = "2") from its neighbour."""
     if correction == "none":
         return F.lit(1.0)
     if correction == "translation":
         return w_translation(F.col("dx"), F.col("dy"), F.col("u"), window)
+    x, y, t = ("x2", "y2", "t2") if end else ("x", "y", "t0")
+    w = w_space(F.col(x), F.col(y), F.col("d"), window, **polygon)
+    return (F.least(w, F.lit(w_cap)) if w_cap else w) * w_time(F.col(t), F.col("u"), window)
+
+
+def guarded(pairs: DataFrame, window: StudyWindow, w_cap: float, **polygon) -> DataFrame:
+    """How many pairs the cap on spatial weights touches, and the largest weight."""
     w = w_space(F.col("x"), F.col("y"), F.col("d"), window, **polygon)
-    return (F.least(w, F.lit(w_cap)) if w_cap else w) * w_time(F.col("t0"), F.col("u"), window)
+    return pairs.select(w.alias("w")).agg(F.count("*").alias("pairs"), F.coalesce(F.count_if(F.col("w") > w_cap), F.lit(0)).alias("capped"), F.max("w").alias("largest"))
 
 
 def histogram(pairs: DataFrame, grid: DistanceGrid, weight: Column, keys: tuple[str, ...] = ()) -> DataFrame:
@@ -85,20 +93,29 @@ def norm_of(n: Column, norm: str) -> Column:
     return F.when(value > 0, value.cast("double"))
 
 
-def estimate_k(points: DataFrame, window: StudyWindow, grid: DistanceGrid, *, correction: str = "isotropic", norm: str = "n(n-1)", kind: str = "centred", include_zero: bool = False, w_cap: float | None = None, pairs: DataFrame | None = None, by: str | None = None, mult: str | None = None, **polygon) -> DataFrame:
+def estimate_k(points: DataFrame, window: StudyWindow, grid: DistanceGrid, *, correction: str = "isotropic", norm: str = "n(n-1)", kind: str = "centred", include_zero: bool = False, w_cap: float | None = None, pairs: DataFrame | None = None, cache=None, by: str | None = None, mult: str | None = None, salt: int = 1, **polygon) -> DataFrame:
     """The K and L surface, one for each value of ``by``.
 
-    ``pairs`` may come from any pair operator; ``mult`` counts coincident points."""
+    ``pairs`` may come from any pair operator, else each unordered pair is found
+    once and weighed from both ends; ``cache`` (a ``WeightCache``) looks the weights
+    of ordered pairs up; ``mult`` counts coincident points."""
     if correction == "border":
         return estimate_border(points, window, grid, kind=kind)
     keys = (by,) if by else ()
     carry = (mult,) if mult else ()
-    found = pairs if pairs is not None else pairs_cells(points, grid.s_max, grid.t_max, keys, carry, window)
-    weight = pair_weight(window, correction, w_cap, **polygon)
+    half = pairs is None and cache is None
+    found = pairs if pairs is not None else pairs_cells(points, grid.s_max, grid.t_max, keys, carry, window, salt, half=half, both=half)
     binned = bin_pairs(found, grid)
     times = F.col(f"c_{mult}").cast("long") * F.col(f"q_{mult}") if mult else F.lit(1).cast("long")
-    rows = binned.select(*keys, "si", "ti", times.alias("m"), fixed(weight).alias("w"))
-    hist = rows.groupBy(*keys, "si", "ti").agg(F.sum("m").alias("pairs"), F.sum(F.col("w") * F.col("m")).alias("wfix"))
+    if cache is not None:
+        binned = cache.applied(binned)
+        weight = fixed(F.least("w", F.lit(w_cap)) if w_cap else F.col("w"))
+    else:
+        weight = fixed(pair_weight(window, correction, w_cap, **polygon))
+        weight = weight + fixed(pair_weight(window, correction, w_cap, "2", **polygon)) if half else weight
+    rows = binned.select(*keys, "si", "ti", times.alias("m"), weight.alias("w"))
+    ends = 2 if half else 1
+    hist = rows.groupBy(*keys, "si", "ti").agg((F.sum("m") * ends).cast("long").alias("pairs"), F.sum(F.col("w") * F.col("m")).alias("wfix"))
     counts = points.groupBy(*keys).agg((F.sum(F.col(mult).cast("long")) if mult else F.count("*")).alias("n"), *([F.sum(F.col(mult).cast("long") * (F.col(mult) - 1)).alias("own")] if mult else []))
     if mult:
         own = counts.select(*keys, F.lit(0).alias("si"), F.lit(0).alias("ti"), F.col("own").alias("pairs"), (F.col("own") * FIXED).alias("wfix"))

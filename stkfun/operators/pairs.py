@@ -39,9 +39,11 @@ def gap(mode: str = "start") -> Column:
     return time_distance(F.col("c_t0"), F.col("c_t1"), F.col("q_t0"), F.col("q_t1"), mode)
 
 
-def finished(joined: DataFrame, keys: tuple[str, ...] = (), carry: tuple[str, ...] = (), mode: str = "start") -> DataFrame:
+def finished(joined: DataFrame, keys: tuple[str, ...] = (), carry: tuple[str, ...] = (), mode: str = "start", both: bool = False) -> DataFrame:
+    """The common pair columns; ``both`` adds the neighbour's place and time as x2, y2, t2."""
     base = [F.col(f"c_{k}").alias(k) for k in keys]
     extra = [F.col(f"{p}_{n}") for n in carry for p in ("c", "q")]
+    extra += [F.col(f"q_{n}").alias(a) for n, a in (("x", "x2"), ("y", "y2"), ("t0", "t2"))] if both else []
     return joined.select(*base, F.col("c_id").alias("i"), F.col("q_id").alias("j"), F.col("c_x").alias("x"), F.col("c_y").alias("y"), F.col("c_t0").alias("t0"), distance().alias("d"), gap(mode).alias("u"), (F.col("q_x") - F.col("c_x")).alias("dx"), (F.col("q_y") - F.col("c_y")).alias("dy"), *extra)
 
 
@@ -70,31 +72,55 @@ def _origin(window) -> int:
     return window.t_start if window is not None else 0
 
 
-def pairs_cells(points: DataFrame, s: float, t: int, keys=(), carry=(), window=None, salt: int = 1, half: bool = False, centres: DataFrame | None = None) -> DataFrame:
+def _steps(half: bool) -> Column:
+    """Offsets to the 27 cells around a cell; of each opposite two only one for ``half``."""
+    some = [o for o in product((-1, 0, 1), repeat=3) if not half or o >= (0, 0, 0)]
+    return F.array(*[F.struct(*[F.lit(v).cast("long").alias(n) for v, n in zip(o, "abe")]) for o in some])
+
+
+def pairs_cells(points: DataFrame, s: float, t: int, keys=(), carry=(), window=None, salt: int = 1, half: bool = False, both: bool = False, centres: DataFrame | None = None) -> DataFrame:
     """Equi-join on cells of side (s, t): a centre visits its 27 neighbour cells.
 
     ``salt`` deals the neighbours of a cell to so many buckets and repeats the
-    centres, for hot cells; ``half`` finds each unordered pair once (i < j);
-    ``centres``: other rows than the points themselves."""
+    centres, for hot cells; ``half`` finds each unordered pair once, from 14 cells
+    (the smaller id first within a cell); ``both`` adds the neighbour's place and
+    time; ``centres``: other rows than the points themselves."""
     c, q = sides(points, keys, carry)
     if centres is not None:
         c = sides(centres, keys, carry)[0]
     t = max(int(t), 1)
     place = lambda p: F.struct(cell(F.col(f"{p}_x"), s).alias("a"), cell(F.col(f"{p}_y"), s).alias("b"), time_cell(F.col(f"{p}_t0"), t, _origin(window)).alias("e"))
-    steps = [o for o in product((-1, 0, 1), repeat=3)]
-    offsets = F.array(*[F.struct(*[F.lit(v).cast("long").alias(n) for v, n in zip(o, "abe")]) for o in steps])
-    c = c.withColumn("cell", place("c")).withColumn("o", F.explode(offsets))
-    c = c.withColumn("k", F.struct(*[(F.col(f"cell.{n}") + F.col(f"o.{n}")).alias(n) for n in "abe"])).drop("cell", "o")
+    c = c.withColumn("cell", place("c")).withColumn("o", F.explode(_steps(half)))
+    own = (F.col("o.a") == 0) & (F.col("o.b") == 0) & (F.col("o.e") == 0)
+    c = c.withColumn("k", F.struct(*[(F.col(f"cell.{n}") + F.col(f"o.{n}")).alias(n) for n in "abe"])).withColumn("own", own).drop("cell", "o")
     q = q.withColumn("k", place("q"))
     if salt > 1:
         q = q.withColumn("salt", F.pmod(F.xxhash64("q_id"), F.lit(salt)).cast("int"))
         c = c.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salt - 1))))
     on = [c.k == q.k] + ([c.salt == q.salt] if salt > 1 else []) + [c[f"c_{k}"] == q[f"q_{k}"] for k in keys]
-    test = near(s, t) & (F.col("c_id") < F.col("q_id") if half else F.lit(True))
+    test = near(s, t) & (~F.col("own") | (F.col("c_id") < F.col("q_id")) if half else F.lit(True))
     cond = on[0]
     for o in on[1:]:
         cond = cond & o
-    return finished(c.join(q, cond & test), keys, carry)
+    return finished(c.join(q, cond & test), keys, carry, both=both)
+
+
+def pairs_intervals(points: DataFrame, s: float, t: int, keys=(), carry=(), window=None) -> DataFrame:
+    """Pairs of things that last from t0 to t1: u is the gap of the intervals, 0 where they overlap.
+
+    A neighbour lies in every time cell that it touches, a centre looks into every
+    cell within t of its interval; the first cell that both have gives the pair."""
+    c, q = sides(points, keys, carry)
+    size = max(int(t), 1)
+    around = F.array(*[F.struct(F.lit(i).cast("long").alias("a"), F.lit(j).cast("long").alias("b")) for i, j in product((-1, 0, 1), repeat=2)])
+    slice_ = lambda v: time_cell(v, size, _origin(window))
+    c = c.withColumn("c_first", slice_(F.col("c_t0") - t)).withColumn("e", F.explode(F.sequence("c_first", slice_(F.col("c_t1") + t)))).withColumn("o", F.explode(around))
+    c = c.withColumn("k", F.struct((cell(F.col("c_x"), s) + F.col("o.a")).alias("a"), (cell(F.col("c_y"), s) + F.col("o.b")).alias("b"), "e")).drop("o", "e")
+    q = q.withColumn("q_first", slice_(F.col("q_t0"))).withColumn("e", F.explode(F.sequence("q_first", slice_(F.col("q_t1")))))
+    q = q.withColumn("k", F.struct(cell(F.col("q_x"), s).alias("a"), cell(F.col("q_y"), s).alias("b"), "e")).drop("e")
+    once = F.col("k.e") == F.greatest("c_first", "q_first")
+    joined = c.join(q.withColumnRenamed("k", "k2"), (F.col("k") == F.col("k2")) & same(keys) & near(s, t, "interval") & once)
+    return finished(joined, keys, carry, "interval")
 
 
 def spread_bits(v: Column) -> Column:
@@ -144,26 +170,32 @@ def neighbour_count(points: DataFrame, s: float, t: int, window=None) -> DataFra
     return points.select("id").join(got, F.col("id") == F.col("i"), "left").select("id", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
 
 
-def knn(points: DataFrame, k: int, speed: float, start: float, rounds: int = 12) -> DataFrame:
+def knn(points: DataFrame, k: int, speed: float, start: float) -> DataFrame:
     """(i, j, r, rank): the k nearest in r = sqrt(d^2 + (speed * hours)^2), ties by id.
 
-    Searches a radius, doubles it for points that have not k neighbours inside it."""
+    Searches a radius, doubles it for points that have not k neighbours inside it,
+    until it covers all points: only then do points have fewer than k."""
     hour = 3_600_000_000
     cols = ["id", "x", "y", "t0", "t1"]
     points = points.select(*cols)
+    far = points.agg(*[(F.max(c) - F.min(c)).alias(c) for c in ("x", "y", "t0")]).first()
+    whole = ((far.x or 0) ** 2 + (far.y or 0) ** 2 + (speed * (far.t0 or 0) / hour) ** 2) ** 0.5 * (1 + 1e-9)
     todo, parts, radius = points, [], float(start)
-    for n in range(rounds):
-        last = n == rounds - 1
-        got = pairs_cells(points, radius, max(1, int(radius / speed * hour)), centres=todo)
+    while True:
+        last = radius >= whole
+        got = pairs_cells(points, radius, max(1, int(radius / speed * hour) + 1), centres=todo)
         r = F.sqrt(F.col("d") * F.col("d") + F.pow(F.lit(speed) * F.col("u") / float(hour), F.lit(2)))
         got = got.select("i", "j", r.alias("r")).where(F.col("r") <= radius)
         ranked = settle(got.withColumn("rank", F.row_number().over(Window.partitionBy("i").orderBy("r", "j"))).where(F.col("rank") <= k), "ranked")
+        if last:
+            parts.append(ranked)
+            break
         done = ranked.where(F.col("rank") == k).select(F.col("i").alias("id"))
-        parts.append(ranked if last else ranked.join(done.withColumnRenamed("id", "i"), "i", "left_semi"))
+        parts.append(ranked.join(done.withColumnRenamed("id", "i"), "i", "left_semi"))
         todo = settle(todo.join(done, "id", "left_anti").select(*cols), "unmet")
         if todo.limit(1).count() == 0:
             break
-        radius *= 2
+        radius = min(radius * 2, max(whole, radius))
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)

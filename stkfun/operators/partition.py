@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import product
 
 import numpy as np
 import pyarrow as pa
@@ -16,10 +17,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stkfun.config import StudyWindow
+from stkfun.operators.codec import decode_index, encode_index
 from stkfun.operators.local_index import BUILDERS, _tiles
-from stkfun.operators.pairs import finished, near, sides
+from stkfun.operators.pairs import cell, finished, near, same, sides, time_cell
 
 SAMPLE_CAP = 1_000_000
+_FAN = 8
 
 
 @dataclass
@@ -34,23 +37,51 @@ class Leaves:
     def __len__(self) -> int:
         return len(self.lo)
 
+    def _levels(self) -> list[tuple[np.ndarray, np.ndarray]]:
+        """Boxes of a tree over the leaves in their order, top first: each node covers the next ``_FAN`` below."""
+        out = [(self.lo, self.hi)]
+        while len(out[-1][0]) > _FAN:
+            lo, hi = out[-1]
+            cuts = np.arange(0, len(lo), _FAN)
+            out.append((np.minimum.reduceat(lo, cuts), np.maximum.reduceat(hi, cuts)))
+        return out[::-1]
+
+    def _descend(self, p: np.ndarray, meets) -> tuple[np.ndarray, np.ndarray]:
+        """(point, leaf) of the leaves reached through boxes that ``meets`` accepts; points in order."""
+        levels = self._levels()
+        top = len(levels[0][0])
+        who, node = np.repeat(np.arange(len(p)), top), np.tile(np.arange(top), len(p))
+        for depth, (lo, hi) in enumerate(levels):
+            ok = meets(lo[node], hi[node], p[who])
+            who, node = who[ok], node[ok]
+            if depth + 1 < len(levels):
+                many = np.minimum(_FAN, len(levels[depth + 1][0]) - node * _FAN)
+                node = np.repeat(node * _FAN - np.cumsum(many) + many, many) + np.arange(many.sum())
+                who = np.repeat(who, many)
+        return who, node
+
     def home(self, p: np.ndarray, top: np.ndarray) -> np.ndarray:
         """Home leaf of each point, -1 where no leaf covers it; faces at the top belong to the last box."""
         out = np.full(len(p), -1, np.int64)
         for a in range(0, len(p), 4096):
-            q = p[a : a + 4096, None, :]
-            inside = ((q >= self.lo) & ((q < self.hi) | ((self.hi >= top) & (q <= self.hi)))).all(2)
-            out[a : a + 4096] = np.where(inside.any(1), inside.argmax(1), -1)
+            who, leaf = self._descend(p[a : a + 4096], lambda lo, hi, q: ((q >= lo) & (q <= hi)).all(1))
+            q, lo, hi = p[a + who], self.lo[leaf], self.hi[leaf]
+            inside = ((q >= lo) & ((q < hi) | ((hi >= top) & (q <= hi)))).all(1)
+            first, at = np.unique(who[inside], return_index=True)
+            out[a + first] = leaf[inside][at]
         return out
 
     def meets(self, p: np.ndarray, s: float, t: float, ghost: bool) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """(point index, leaf) of every leaf that the point's cylinder, or its buffer box, meets."""
+
+        def near(lo: np.ndarray, hi: np.ndarray, q: np.ndarray) -> np.ndarray:
+            gap = np.maximum(np.maximum(lo - q, q - hi), 0)
+            space = (gap[:, 0] <= s) & (gap[:, 1] <= s) if ghost else gap[:, 0] ** 2 + gap[:, 1] ** 2 <= s * s
+            return space & (gap[:, 2] <= t)
+
         for a in range(0, len(p), 4096):
-            q = p[a : a + 4096]
-            gap = np.maximum(np.maximum(self.lo[None] - q[:, None], q[:, None] - self.hi[None]), 0)
-            space = (gap[..., 0] <= s) & (gap[..., 1] <= s) if ghost else gap[..., 0] ** 2 + gap[..., 1] ** 2 <= s * s
-            i, leaf = np.nonzero(space & (gap[..., 2] <= t))
-            yield i + a, leaf
+            who, leaf = self._descend(p[a : a + 4096], near)
+            yield who + a, leaf
 
 
 def _corner(window: StudyWindow) -> tuple[np.ndarray, np.ndarray]:
@@ -195,46 +226,68 @@ def spacetime_partition(points: DataFrame, window: StudyWindow, parts: int = 64,
     return placed, leaves
 
 
-def pairs_partitioned(points: DataFrame, window: StudyWindow, s: float, t: int, parts: int = 64, scheme: str = "domain", replication: str = "cylinder", local: str = "cells", capacity: int = 32) -> DataFrame:
-    """Pairs found leaf by leaf; ``local``: cells (equi-join) or rtree, octree, kdtree (Arrow)."""
-    placed, leaves = spacetime_partition(points, window, parts, scheme=scheme)
-    copies = replicate(points.select("id", "x", "y", "t0", "t1"), leaves, s, t, replication == "ghost")
-    home = placed.select("id", "x", "y", "t0", "t1", "leaf")
+def pairs_partitioned(points: DataFrame, window: StudyWindow, s: float, t: int, parts: int = 64, scheme: str = "domain", replication: str = "cylinder", local: str = "cells", capacity: int = 32, keys: tuple[str, ...] = (), compact: bool = False, placed: tuple[DataFrame, Leaves] | None = None) -> DataFrame:
+    """Pairs found leaf by leaf; ``local``: cells (equi-join) or rtree, octree, kdtree (Arrow).
+
+    ``compact`` passes each local index through its byte form; ``placed`` takes
+    points with their leaves from ``spacetime_partition`` instead of a new sample."""
+    placed, leaves = placed or spacetime_partition(points, window, parts, scheme=scheme)
+    copies = replicate(placed.select(*keys, "id", "x", "y", "t0", "t1"), leaves, s, t, replication == "ghost")
+    home = placed.select(*keys, "id", "x", "y", "t0", "t1", "leaf")
+    ghost = replication == "ghost"
     if local != "cells":
-        return _indexed(home, copies, s, t, local, replication == "ghost", capacity)
-    c, q = (home, copies) if replication == "ghost" else (copies, home)
-    c, q = sides(c, ("leaf",))[0], sides(q, ("leaf",))[1]
-    cell = lambda p, o: F.struct(F.floor(F.col(f"{p}_x") / s).alias("a"), (F.floor(F.col(f"{p}_y") / s) + o).alias("b"))
-    c = c.withColumn("k", F.explode(F.array(*[F.struct((F.floor(F.col("c_x") / s) + i).alias("a"), (F.floor(F.col("c_y") / s) + j).alias("b")) for i in (-1, 0, 1) for j in (-1, 0, 1)])))
-    q = q.withColumn("k", cell("q", 0))
-    return finished(c.join(q, (c.c_leaf == q.q_leaf) & (c.k == q.k) & near(s, t)))
-
-
-def _indexed(home: DataFrame, copies: DataFrame, s: float, t: int, kind: str, ghost: bool, capacity: int) -> DataFrame:
-    """A local index in each leaf over the side that is searched, probed by the other."""
-
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        base, ask = (right, left) if ghost else (left, right)
-        p = np.stack([base.column(n).to_numpy().astype(float) for n in ("x", "y", "t0")], 1) if base.num_rows else np.zeros((0, 3))
-        c = np.stack([ask.column(n).to_numpy().astype(float) for n in ("x", "y", "t0")], 1) if ask.num_rows else np.zeros((0, 3))
-        ids, who = (base.column("id").to_numpy(), ask.column("id").to_numpy()) if base.num_rows and ask.num_rows else (np.zeros(0, np.int64), np.zeros(0, np.int64))
-        ci, pi = [], []
-        if len(p) and len(c):
-            tree = BUILDERS[kind](p, capacity if kind != "kdtree" else 1)
-            for a, b in tree.query(p, c, s * (1 + 1e-12), float(t)):
-                keep = who[a] != ids[b]
-                ci.append(a[keep])
-                pi.append(b[keep])
-        a = np.concatenate(ci) if ci else np.zeros(0, np.int64)
-        b = np.concatenate(pi) if pi else np.zeros(0, np.int64)
-        cx, cy, ct = (c[a, k] for k in range(3)) if len(c) else (np.zeros(0),) * 3
-        px, py, pt = (p[b, k] for k in range(3)) if len(p) else (np.zeros(0),) * 3
-        d = np.sqrt((cx - px) * (cx - px) + (cy - py) * (cy - py))
-        ok = d <= s
-        arrays = [who[a], ids[b], cx, cy, ct.astype(np.int64), d, np.abs(ct - pt).astype(np.int64), px - cx, py - cy]
-        return pa.table([pa.array(v[ok]) for v in arrays], ["i", "j", "x", "y", "t0", "d", "u", "dx", "dy"])
-
-    return home.groupBy("leaf").cogroup(copies.groupBy("leaf")).applyInArrow(run, "i long, j long, x double, y double, t0 long, d double, u long, dx double, dy double")
+        return _indexed(copies if ghost else home, home if ghost else copies, s, t, local, capacity, keys, compact)
+    c, q = (home, copies) if ghost else (copies, home)
+    c, q = sides(c, ("leaf", *keys))[0], sides(q, ("leaf", *keys))[1]
+    size = max(int(t), 1)
+    place = lambda p, o: F.struct(*[(v + F.lit(k).cast("long")).alias(n) for v, k, n in zip((cell(F.col(f"{p}_x"), s), cell(F.col(f"{p}_y"), s), time_cell(F.col(f"{p}_t0"), size, window.t_start)), o, "abe")])
+    c = c.withColumn("k", F.explode(F.array(*[place("c", o) for o in product((-1, 0, 1), repeat=3)])))
+    q = q.withColumn("k", place("q", (0, 0, 0)))
+    return finished(c.join(q, (c.c_leaf == q.q_leaf) & (c.k == q.k) & same(keys) & near(s, t)), keys)
+
+
+def _indexed(base: DataFrame, ask: DataFrame, s: float, t: int, kind: str, capacity: int, keys: tuple[str, ...], compact: bool) -> DataFrame:
+    """A local index in each leaf over the side that is searched; the centres that ask
+    it stream by behind it, so a task holds the points of one leaf and a few hits."""
+    names = ["leaf", *keys]
+    rows = base.select(*names, F.lit(0).alias("kind"), "id", "x", "y", "t0").unionByName(ask.select(*names, F.lit(1).alias("kind"), "id", "x", "y", "t0"))
+    dealt = rows.repartition(*names).sortWithinPartitions(*names, "kind")
+    types = dict(rows.dtypes)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        group, held, tree = None, [], None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            col = {n: batch.column(n).to_numpy(zero_copy_only=False) for n in (*names, "kind", "id")}
+            xyz = np.stack([batch.column(n).to_numpy(zero_copy_only=False).astype(float) for n in ("x", "y", "t0")], 1)
+            new = np.zeros(batch.num_rows - 1, bool)
+            for n in (*names, "kind"):
+                new |= col[n][1:] != col[n][:-1]
+            cuts = [0, *(np.flatnonzero(new) + 1).tolist(), batch.num_rows]
+            for a, b in zip(cuts, cuts[1:]):
+                mine = tuple(col[n][a] for n in names)
+                if mine != group:
+                    group, held, tree = mine, [], None
+                if col["kind"][a] == 0:
+                    held.append((col["id"][a:b], xyz[a:b]))
+                    continue
+                if not held:
+                    continue
+                if tree is None:
+                    ids, points = (np.concatenate(v) for v in zip(*held))
+                    tree = BUILDERS[kind](points, capacity if kind != "kdtree" else 1)
+                    tree = decode_index(encode_index(tree)) if compact else tree
+                who, c = col["id"][a:b], xyz[a:b]
+                for i, j in tree.query(points, c, s * (1 + 1e-12), float(t)):
+                    d = np.sqrt((c[i, 0] - points[j, 0]) * (c[i, 0] - points[j, 0]) + (c[i, 1] - points[j, 1]) * (c[i, 1] - points[j, 1]))
+                    ok = (d <= s) & (who[i] != ids[j])
+                    i, j, d = i[ok], j[ok], d[ok]
+                    ends = [c[i, 0], c[i, 1], c[i, 2].astype(np.int64), d, np.abs(c[i, 2] - points[j, 2]).astype(np.int64), points[j, 0] - c[i, 0], points[j, 1] - c[i, 1]]
+                    yield pa.RecordBatch.from_arrays([*(pa.array(np.full(len(i), v, col[n].dtype)) for v, n in zip(group[1:], keys)), pa.array(who[i]), pa.array(ids[j]), *map(pa.array, ends)], [*keys, "i", "j", "x", "y", "t0", "d", "u", "dx", "dy"])
+
+    schema = ", ".join([*(f"{k} {types[k]}" for k in keys), "i long, j long, x double, y double, t0 long, d double, u long, dx double, dy double"])
+    return dealt.mapInArrow(run, schema)
 
 
 def partition_stats(points: DataFrame, window: StudyWindow, s: float, t: int, parts: int, scheme: str) -> DataFrame:

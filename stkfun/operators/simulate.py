@@ -31,24 +31,26 @@ def dense_index(points: DataFrame, name: str = "k") -> tuple[DataFrame, int]:
     return parts.withColumn("__r", local - 1).join(F.broadcast(table), "__p").withColumn(name, F.col("__o") + F.col("__r")).drop("__p", "__o", "__r"), at
 
 
-def bijection(k: Column, n: int, seed: int, sim: Column, rounds: int = 4) -> Column:
-    """A keyed permutation of 0 .. n-1: a balanced Feistel network on the least even-bit
-    domain, walked until the value falls below n."""
-    half = max(1, ((max(n - 1, 1)).bit_length() + 1) // 2)
-    mask = (1 << half) - 1
+def bijection(k: Column, n: int, seed: int, sim: Column, rounds: int = 6) -> Column:
+    """A keyed permutation of 0 .. n-1: a Feistel network on the least power of two
+    that holds n (rounds change the high and the low bits in turn), walked until the
+    value falls below n. At most half of the values lie above, so a walk of 256
+    steps ends but for one point in 10 ** 77."""
+    bits = max(2, (max(n - 1, 1)).bit_length())
+    low = bits // 2
+    masks = [(1 << low) - 1, (1 << (bits - low)) - 1]
+    bit_and = lambda v, m: v.bitwiseAND(F.lit(m).cast("long"))
 
     def once(v: Column) -> Column:
-        pair = F.struct(F.shiftright(v, half).alias("a"), v.bitwiseAND(F.lit(mask).cast("long")).alias("b"))
-
         def step(p: Column, r: Column) -> Column:
-            f = F.xxhash64(F.lit(seed), sim, r, p["b"]).bitwiseAND(F.lit(mask).cast("long"))
-            return F.struct(p["b"].alias("a"), p["a"].bitwiseXOR(f).alias("b"))
+            f = lambda half: F.xxhash64(F.lit(seed), sim, r, half)
+            high = F.struct(p["a"].bitwiseXOR(bit_and(f(p["b"]), masks[1])).alias("a"), p["b"].alias("b"))
+            return F.when(r % 2 == 1, high).otherwise(F.struct(p["a"].alias("a"), p["b"].bitwiseXOR(bit_and(f(p["a"]), masks[0])).alias("b")))
 
-        end = F.aggregate(F.sequence(F.lit(1), F.lit(rounds)), pair, step)
-        return F.element_at(F.transform(F.array(end), lambda p: F.shiftleft(p["a"], half).bitwiseOR(p["b"])), 1)
+        pair = F.struct(F.shiftright(v, low).alias("a"), bit_and(v, masks[0]).alias("b"))
+        return F.aggregate(F.sequence(F.lit(1), F.lit(rounds)), pair, step, lambda p: F.shiftleft(p["a"], low).bitwiseOR(p["b"]))
 
-    walked = F.aggregate(F.sequence(F.lit(1), F.lit(64)), once(k.cast("long")), lambda v, _: F.when(v < n, v).otherwise(once(v)))
-    return walked
+    return F.aggregate(F.sequence(F.lit(1), F.lit(256)), once(k.cast("long")), lambda v, _: F.when(v < n, v).otherwise(once(v)))
 
 
 def simulate_permutation(points: DataFrame, m: int, seed: int = 42, ordered: bool = False) -> DataFrame:
@@ -80,19 +82,38 @@ def simulate_bootstrap(points: DataFrame, m: int, seed: int = 42, ordered: bool
     return draws.join(indexed.withColumn("k", F.col("k").cast("long")), "k").drop("k", "id").withColumnRenamed("draw", "id")
 
 
-def simulate_cstr(spark, n: int, window: StudyWindow, m: int, seed: int = 42, rounds: int = 4) -> DataFrame:
-    """Uniform places and times; in a ring by rejection among ``rounds`` times as many candidates."""
-    many = n * (rounds if window.ring else 1)
-    base = spark.range(many).crossJoin(F.broadcast(sims(spark, m)))
-    key = F.concat_ws(":", F.lit(str(seed)), F.col("sim").cast("string"), F.col("id").cast("string"))
-    x = F.lit(window.x0) + (window.x1 - window.x0) * hash_uniform("x", key)
-    y = F.lit(window.y0) + (window.y1 - window.y0) * hash_uniform("y", key)
-    t = (F.lit(window.t_start) + F.floor(float(window.period) * hash_uniform("t", key))).cast("long")
-    out = base.select("sim", "id", x.alias("x"), y.alias("y"), t.alias("t0"), t.alias("t1"), F.lit(1).alias("mult"))
-    if window.ring:
-        inside = out.where(inside_ring(F.col("x"), F.col("y"), window.ring))
-        out = inside.withColumn("r", F.row_number().over(Window.partitionBy("sim").orderBy("id"))).where(F.col("r") <= n).drop("r")
-    return out
+_BLOCK = 1 << 16
+
+
+def simulate_cstr(spark, n: int, window: StudyWindow, m: int, seed: int = 42) -> DataFrame:
+    """Uniform places and times; in a ring the first n of each simulation that fall inside,
+    from as many candidates as that takes."""
+
+    def drawn(many: int) -> DataFrame:
+        base = spark.range(many).crossJoin(F.broadcast(sims(spark, m)))
+        key = F.concat_ws(":", F.lit(str(seed)), F.col("sim").cast("string"), F.col("id").cast("string"))
+        x = F.lit(window.x0) + (window.x1 - window.x0) * hash_uniform("x", key)
+        y = F.lit(window.y0) + (window.y1 - window.y0) * hash_uniform("y", key)
+        t = (F.lit(window.t_start) + F.floor(float(window.period) * hash_uniform("t", key))).cast("long")
+        return base.select("sim", "id", x.alias("x"), y.alias("y"), t.alias("t0"), t.alias("t1"), F.lit(1).alias("mult"))
+
+    if not window.ring:
+        return drawn(n)
+    share = window.area / ((window.x1 - window.x0) * (window.y1 - window.y0))
+    if share <= 0:
+        raise ValueError("the ring has no area")
+    many = int(n / share * 1.1) + 100
+    while True:
+        inside = settle(drawn(many).where(inside_ring(F.col("x"), F.col("y"), window.ring)).withColumn("block", F.shiftright("id", 16)), "inside")
+        counts = inside.groupBy("sim", "block").agg(F.count("*").alias("held"))
+        if n == 0 or (counts.groupBy("sim").agg(F.sum("held").alias("held")).where(F.col("held") >= n).count() == m):
+            break
+        many *= 2
+    # Ranks are prefix sums over blocks of ids; rows are numbered within a block only.
+    line = Window.partitionBy("sim").orderBy("block")
+    before = counts.withColumn("before", F.sum("held").over(line) - F.col("held")).where(F.col("before") < n).select("sim", "block", "before")
+    ranked = inside.join(before, ["sim", "block"]).withColumn("r", F.row_number().over(Window.partitionBy("sim", "block").orderBy("id")))
+    return ranked.where(F.col("before") + F.col("r") <= n).drop("block", "before", "r")
 
 
 def simulated(points: DataFrame, window: StudyWindow, method: str, m: int, seed: int = 42, ordered: bool = False, n: int | None = None) -> DataFrame:
@@ -113,16 +134,28 @@ def simulate_k(points: DataFrame, window: StudyWindow, grid: DistanceGrid, metho
     return estimate_k(sets, window, grid, by="sim", **options)
 
 
-def _static_pairs(points: DataFrame, window: StudyWindow, grid: DistanceGrid, m: int, seed: int, ordered: bool) -> DataFrame:
-    """Permutation moves times only: spatial pairs and weights are found once, times joined per simulation."""
+def _static_pairs(points: DataFrame, window: StudyWindow, grid: DistanceGrid, m: int, seed: int, ordered: bool, block: int = 32) -> DataFrame:
+    """Permutation moves times only: every spatial pair is found once for ``block``
+    simulations, each point carrying its times in all of them, and its two spatial
+    weights serve them all. Pairs are not kept, so there is no table of them.
+
+    Pays where a point has few spatial neighbours; else the cells of space and time
+    of each simulation are the smaller search."""
     flat = points.withColumns({"t0": F.lit(0).cast("long"), "t1": F.lit(0).cast("long")})
-    pairs = pairs_cells(flat, grid.s_max, 1).select("i", "j", "d", w_space(F.col("x"), F.col("y"), F.col("d"), window).alias("ws"))
-    pairs = settle(pairs, "spatialpairs")
-    times = simulate_permutation(points, m, seed, ordered).select("sim", "id", "t0")
-    timed = pairs.join(times.withColumnRenamed("id", "i"), "i").join(times.select("sim", F.col("id").alias("j"), F.col("t0").alias("tj")), ["sim", "j"])
-    timed = timed.withColumn("u", F.abs(F.col("t0") - F.col("tj"))).where(F.col("u") <= grid.t_max)
-    weight = F.col("ws") * w_time(F.col("t0"), F.col("u"), window)
-    hist = bin_pairs(timed, grid).groupBy("sim", "si", "ti").agg(F.count("*").alias("pairs"), F.sum(fixed(weight)).alias("wfix"))
+    moved = simulate_permutation(points, m, seed, ordered).select("sim", "id", "t0")
+    parts = []
+    for first in range(1, m + 1, block):
+        last = min(first + block - 1, m)
+        some = moved.where(F.col("sim").between(first, last)).groupBy("id").agg(F.sort_array(F.collect_list(F.struct("sim", "t0"))).alias("tt"))
+        found = pairs_cells(flat.join(some.select("id", F.col("tt.t0").alias("tt")), "id"), grid.s_max, 1, carry=("tt",), half=True, both=True)
+        ws = [w_space(F.col(x), F.col(y), F.col("d"), window) for x, y in (("x", "y"), ("x2", "y2"))]
+        timed = found.select("d", ws[0].alias("w1"), ws[1].alias("w2"), F.posexplode(F.arrays_zip("c_tt", "q_tt")).alias("k", "z"))
+        timed = timed.select((F.col("k") + first).cast("int").alias("sim"), "d", "w1", "w2", F.col("z.c_tt").alias("ta"), F.col("z.q_tt").alias("tb")).withColumn("u", F.abs(F.col("ta") - F.col("tb"))).where(F.col("u") <= grid.t_max)
+        weight = fixed(F.col("w1") * w_time(F.col("ta"), F.col("u"), window)) + fixed(F.col("w2") * w_time(F.col("tb"), F.col("u"), window))
+        parts.append(bin_pairs(timed, grid).groupBy("sim", "si", "ti").agg((F.count("*") * 2).alias("pairs"), F.sum(weight).alias("wfix")))
+    hist = parts[0]
+    for p in parts[1:]:
+        hist = hist.unionByName(p)
     cum = cumulate(hist, grid, sims(points.sparkSession, m), ("sim",))
     n = points.agg(F.count("*").alias("n"))
     return surface(cum.crossJoin(F.broadcast(n)), grid, F.lit(window.area * window.hours) / norm_of(F.col("n"), "n(n-1)"), ("sim",))

@@ -30,6 +30,10 @@ class WeightCache:
     coord_tol: float | None = None
     dist_tol: float | None = None
 
+    def applied(self, pairs: DataFrame) -> DataFrame:
+        """``pairs`` with w: looked up where the key is there, computed elsewhere."""
+        return looked_up(pairs, self)
+
     def keyed(self, pairs: DataFrame) -> DataFrame:
         return keyed(pairs, self.coord_tol, self.dist_tol)
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import uuid
 from itertools import product
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -67,22 +68,24 @@ def incremental_bins(points: DataFrame, grid: DistanceGrid) -> DataFrame:
     spread = spread.select("id", "x", "y", "t", "ts", (F.floor(F.col("x") / s) + F.col("o.i")).alias("a"), (F.floor(F.col("y") / s) + F.col("o.j")).alias("b"), ((F.col("o.i") == 0) & (F.col("o.j") == 0)).alias("home"))
 
     def step(key, batches, state):
-        ids, xs, ys, ts = (list(v) for v in state.get) if state.exists else ([], [], [], [])
-        arrivals = pd.concat(list(batches)).sort_values(["t", "id"])
-        out = {}
-        for r in arrivals.itertuples():
-            for k in range(len(ids)):
-                d = ((xs[k] - r.x) ** 2 + (ys[k] - r.y) ** 2) ** 0.5
-                u = abs(ts[k] - r.t)
-                if ids[k] != r.id and d <= s and u <= tmax:
-                    si, ti = int(-(-d // sstep)), -(-u // tstep)
-                    if si <= cs and ti <= ct:
-                        out[si, ti] = out.get((si, ti), 0) + 1
-            if r.home:
-                ids.append(r.id), xs.append(r.x), ys.append(r.y), ts.append(r.t)
-        low = state.getCurrentWatermarkMs() * 1000 - tmax
-        live = [k for k in range(len(ids)) if ts[k] >= low]
-        state.update(([ids[k] for k in live], [xs[k] for k in live], [ys[k] for k in live], [ts[k] for k in live]))
-        yield pd.DataFrame([(a, b, n) for (a, b), n in out.items()], columns=["si", "ti", "n"]).astype({"si": "int32", "ti": "int32", "n": "int64"})
+        old = [np.array(v, dtype=k) for v, k in zip(state.get, ("i8", "f8", "f8", "i8"))] if state.exists else [np.zeros(0, k) for k in ("i8", "f8", "f8", "i8")]
+        new = pd.concat(list(batches)).sort_values(["t", "id"])
+        home = new["home"].to_numpy(bool)
+        come = [new[c].to_numpy() for c in ("id", "x", "y", "t")]
+        # What an arrival meets: the state, and arrivals before it whose home is here.
+        ids, xs, ys, ts = (np.concatenate([o, c[home]]) for o, c in zip(old, come))
+        until = len(old[0]) + np.cumsum(home) - home
+        found = np.zeros((cs + 1, ct + 1), np.int64)
+        for a in range(0, len(new), max(1, 2_000_000 // max(1, len(ids)))):
+            i, x, y, t = (c[a : a + max(1, 2_000_000 // max(1, len(ids)))][:, None] for c in come)
+            d, u = np.sqrt((xs - x) ** 2 + (ys - y) ** 2), np.abs(ts - t)
+            ok = (np.arange(len(ids)) < until[a : a + len(i), None]) & (ids != i) & (d <= s) & (u <= tmax)
+            si, ti = np.ceil(d[ok] / sstep).astype(int), -(-u[ok] // tstep)
+            few = (si <= cs) & (ti <= ct)
+            np.add.at(found, (si[few], ti[few]), 1)
+        live = ts >= state.getCurrentWatermarkMs() * 1000 - tmax
+        state.update(tuple(v[live].tolist() for v in (ids, xs, ys, ts)))
+        si, ti = np.nonzero(found)
+        yield pd.DataFrame({"si": si.astype("int32"), "ti": ti.astype("int32"), "n": found[si, ti]})
 
     return spread.groupBy("a", "b").applyInPandasWithState(step, "si int, ti int, n long", "ids array<long>, xs array<double>, ys array<double>, ts array<long>", "append", "NoTimeout")

@@ -112,11 +112,38 @@ def test_permutation_is_a_bijection(spark):
     assert boot.count() == p.count() and all((r.x, r.y, r.t0) in rows for r in boot.collect())
 
 
+def test_bijection_of_every_size(spark):
+    for n in (1, 2, 3, 5, 64, 65, 1000):
+        got = spark.range(n).select(sim.bijection(F.col("id"), n, 7, F.lit(1)).alias("v")).collect()
+        assert sorted(r.v for r in got) == list(range(n))
+
+
+def test_intervals(spark):
+    rows = [(1, 5, 5, 0, 10), (2, 6, 5, 8, 9), (3, 5, 6, 14, 40), (4, 5, 5, 100, 101), (5, 9, 9, 0, 200)]
+    p = spark.createDataFrame([(i, float(x), float(y), a, b, 1, None, "m") for i, x, y, a, b in rows], src.SCHEMA)
+    for t in (0, 3, 4, 5, 60, 1000):
+        assert sorted((r.i, r.j, r.u) for r in pr.pairs_intervals(p, 2.0, t).collect()) == sorted((r.i, r.j, r.u) for r in pr.pairs_bruteforce(p, 2.0, t, mode="interval").collect())
+
+
+def test_half_pairs_give_the_same_surface(spark):
+    p = src.events_skewed(spark, SF)
+    g = DistanceGrid(2.0, 3, 20 * HOUR, 3)
+    for ring in ((), tuple(ellipse_ring(30, rx=320.0, ry=70.0))):
+        w = W_EVENTS.with_ring(ring)
+        for correction in ("isotropic", "translation", "none"):
+            a = est.estimate_k(p, w, g, correction=correction)
+            b = est.estimate_k(p, w, g, correction=correction, pairs=pr.pairs_bruteforce(p, g.s_max, g.t_max))
+            assert sorted(map(tuple, a.select("si", "ti", "pairs", "k").collect())) == sorted(map(tuple, b.select("si", "ti", "pairs", "k").collect()))
+    assert est.guarded(pr.pairs_cells(p, 5.0, 20 * HOUR), W_EVENTS, 1.5).first().capped > 0
+
+
 def test_cstr_in_a_ring_has_n_points_inside(spark):
     w = W_EVENTS.with_ring(ellipse_ring(20))
-    got = sim.simulate_cstr(spark, 500, w, 2)
-    assert got.groupBy("sim").count().collect()[0]["count"] == 500
-    assert src.clip(got, w).count() == 1000
+    thin = W_EVENTS.with_ring([(0.0, 0.0), (600.0, 99.0), (600.0, 100.0), (0.0, 1.0)])
+    for ring, n in ((w, 500), (thin, 1000), (w, 0)):
+        got = sim.simulate_cstr(spark, n, ring, 2)
+        assert {r["count"] for r in got.groupBy("sim").count().collect()} == ({n} if n else set())
+        assert src.clip(got, ring).count() == 2 * n
 
 
 def test_cache_is_read_only_and_equal(spark):
@@ -138,6 +165,8 @@ def test_knn_and_neighbours(spark):
     p = make(spark, [(1, 1, 1, 0), (2, 2, 1, 0), (3, 4, 1, 0), (4, 9, 9, HOUR)])
     got = {(r.i, r.rank): r.j for r in pr.knn(p, 2, 1.0, 0.5).collect()}
     assert got[1, 1] == 2 and got[1, 2] == 3 and got[4, 1] == 3 and len(got) == 8
+    apart = make(spark, [(1, 0, 0, 0), (2, 1, 0, 0), (3, 9, 9, 0), (4, 9.5, 9, 99 * HOUR)])
+    assert pr.knn(apart, 3, 1.0, 5.0).count() == 12 and pr.knn(apart, 5, 1.0, 60.0).count() == 12
     counts = {r.id: r.n for r in pr.neighbour_count(p, 1.5, HOUR).collect()}
     assert counts == {1: 1, 2: 1, 3: 0, 4: 0}
 
