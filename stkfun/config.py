@@ -101,7 +101,17 @@ class DistanceGrid:
     def from_fraction(cls, window: StudyWindow, fraction: float, steps: int = 8) -> DistanceGrid:
         return cls(window.short_side * fraction / steps, steps, int(window.period * fraction) // steps, steps)
 
-    suggest = from_fraction
+    @classmethod
+    def suggest(cls, window: StudyWindow, n: int, steps: int = 8, neighbours: float = 100.0) -> DistanceGrid:
+        """Thresholds that a uniform set of n points would fill with about so many
+        neighbours, at most a quarter of the short side and of the period."""
+        fraction, volume = 1 / 4, window.area * window.period
+        for halvings in range(2, 12):
+            fraction = 2.0**-halvings
+            inside = n * 3.141592653589793 * (window.short_side * fraction) ** 2 * 2 * window.period * fraction / volume
+            if inside <= neighbours:
+                break
+        return cls.from_fraction(window, fraction, steps)
 
     def validate(self, window: StudyWindow, on_violation: str = "error") -> DistanceGrid:
         """At most a quarter of the short side and of the period; at least one step."""
@@ -130,6 +140,7 @@ class KJob:
     simulation: str = "permutation"
     m: int = 0
     seed: int = 42
+    #: Fields of the strategy plan that replace the planner's choice.
     options: dict = field(default_factory=dict)
 
     def validate(self) -> KJob:

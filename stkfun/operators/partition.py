@@ -13,10 +13,11 @@ from itertools import product
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from stkfun.config import StudyWindow
+from stkfun.functions.geometry import hash_uniform
 from stkfun.operators.codec import decode_index, encode_index
 from stkfun.operators.local_index import BUILDERS, _tiles
 from stkfun.operators.pairs import cell, finished, near, same, sides, time_cell
@@ -156,9 +157,13 @@ def leaves_domain_tree(sample: np.ndarray, window: StudyWindow, parts: int, max_
     return Leaves(np.array([o[0] for o in out]), np.array([o[1] for o in out]), nodes=nodes)
 
 
+def hash_leaf(parts: int) -> Column:
+    return F.floor(hash_uniform("leaf", F.col("id")) * parts).cast("int")
+
+
 def leaves_hash(points: DataFrame, parts: int) -> Leaves:
     """Bounding boxes of partitions by id hash (baseline): they overlap."""
-    got = points.groupBy(F.pmod(F.xxhash64("id"), F.lit(parts)).alias("leaf")).agg(*[f(c).alias(f"{f.__name__}_{c}") for c in ("x", "y", "t0") for f in (F.min, F.max)]).toPandas().set_index("leaf").reindex(range(parts))
+    got = points.groupBy(hash_leaf(parts).alias("leaf")).agg(*[f(c).alias(f"{f.__name__}_{c}") for c in ("x", "y", "t0") for f in (F.min, F.max)]).toPandas().set_index("leaf").reindex(range(parts))
     got = got.fillna(np.inf)
     return Leaves(got[["min_x", "min_y", "min_t0"]].to_numpy(float), got[["max_x", "max_y", "max_t0"]].to_numpy(float), cover=False)
 
@@ -179,7 +184,7 @@ def assign_leaf(points: DataFrame, leaves: Leaves, window: StudyWindow) -> DataF
 
 
 def assign_hash(points: DataFrame, parts: int) -> DataFrame:
-    return points.withColumn("leaf", F.pmod(F.xxhash64("id"), F.lit(parts)).cast("int"))
+    return points.withColumn("leaf", hash_leaf(parts))
 
 
 def replicate(points: DataFrame, leaves: Leaves, s: float, t: float, ghost: bool = False) -> DataFrame:
@@ -243,7 +248,8 @@ def pairs_partitioned(points: DataFrame, window: StudyWindow, s: float, t: int,
     place = lambda p, o: F.struct(*[(v + F.lit(k).cast("long")).alias(n) for v, k, n in zip((cell(F.col(f"{p}_x"), s), cell(F.col(f"{p}_y"), s), time_cell(F.col(f"{p}_t0"), size, window.t_start)), o, "abe")])
     c = c.withColumn("k", F.explode(F.array(*[place("c", o) for o in product((-1, 0, 1), repeat=3)])))
     q = q.withColumn("k", place("q", (0, 0, 0)))
-    return finished(c.join(q, (c.c_leaf == q.q_leaf) & (c.k == q.k) & same(keys) & near(s, t)), keys)
+    # Replication hides in Arrow: the planner would take the copies for small and broadcast them.
+    return finished(c.join(q.hint("merge"), (c.c_leaf == q.q_leaf) & (c.k == q.k) & same(keys) & near(s, t)), keys)
 
 
 def _indexed(base: DataFrame, ask: DataFrame, s: float, t: int, kind: str, capacity: int, keys: tuple[str, ...], compact: bool) -> DataFrame:

@@ -16,18 +16,18 @@ def sims(spark, m: int, first: int = 1) -> DataFrame:
     return spark.range(first, first + m).select(F.col("id").cast("int").alias("sim"))
 
 
-def dense_index(points: DataFrame, name: str = "k") -> tuple[DataFrame, int]:
-    """``points`` with a dense 0-based index in id order, and their number.
+def dense_index(points: DataFrame, name: str = "k", by: tuple[str, ...] = ("id",)) -> tuple[DataFrame, int]:
+    """``points`` with a dense 0-based index in the order of ``by``, and their number.
 
-    Ids are range-partitioned; partition counts (one small row each) give the offsets."""
-    parts = settle(points.repartitionByRange("id").withColumn("__p", F.spark_partition_id()), "indexed")
+    Rows are range-partitioned; partition counts (one small row each) give the offsets."""
+    parts = settle(points.repartitionByRange(*by).withColumn("__p", F.spark_partition_id()), "indexed")
     counts = sorted(parts.groupBy("__p").agg(F.count("*").alias("n")).collect())
     offset, at = [], 0
     for p, n in counts:
         offset.append((p, at))
         at += n
     table = points.sparkSession.createDataFrame(offset or [(0, 0)], "__p int, __o long")
-    local = F.row_number().over(Window.partitionBy("__p").orderBy("id", "x", "y", "t0"))
+    local = F.row_number().over(Window.partitionBy("__p").orderBy(*by))
     return parts.withColumn("__r", local - 1).join(F.broadcast(table), "__p").withColumn(name, F.col("__o") + F.col("__r")).drop("__p", "__o", "__r"), at
 
 
@@ -54,14 +54,14 @@ def bijection(k: Column, n: int, seed: int, sim: Column, rounds: int = 6) -> Col
 
 
 def simulate_permutation(points: DataFrame, m: int, seed: int = 42, ordered: bool = False) -> DataFrame:
-    """Places stay, times are exchanged; ``ordered`` uses md5 order (small sets), else a keyed bijection."""
+    """Places stay, times are exchanged: by a keyed bijection of the points' ranks, or
+    (``ordered``) in the order of md5 keys, which any engine can repeat."""
     spark = points.sparkSession
     if ordered:
-        line = Window.orderBy("id")
-        places = points.withColumn("k", F.row_number().over(line))
-        keyed = points.select("id", "t0", "t1").crossJoin(sims(spark, m))
-        shuffled = F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("sim").cast("string"), F.col("id").cast("string")))
-        times = keyed.withColumn("k", F.row_number().over(Window.partitionBy("sim").orderBy(shuffled, "id"))).select("sim", "k", "t0", "t1")
+        places, n = dense_index(points)
+        keyed = points.select("id", "t0", "t1").crossJoin(F.broadcast(sims(spark, m)))
+        keyed = keyed.withColumn("h", F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("sim").cast("string"), F.col("id").cast("string"))))
+        times = dense_index(keyed, "k", ("sim", "h", "id"))[0].select("sim", (F.col("k") - (F.col("sim") - 1).cast("long") * n).alias("k"), "t0", "t1")
         return places.drop("t0", "t1").join(times, "k").drop("k")
     indexed, n = dense_index(points)
     indexed = settle(indexed, "permuted")
@@ -69,13 +69,10 @@ def simulate_permutation(points: DataFrame, m: int, seed: int = 42, ordered: boo
     return moved.join(indexed.select(F.col("k").alias("k2"), "t0", "t1"), "k2").drop("k2")
 
 
-def simulate_bootstrap(points: DataFrame, m: int, seed: int = 42, ordered: bool = False) -> DataFrame:
-    """n whole rows drawn with replacement; ids are fresh (draw numbers)."""
+def simulate_bootstrap(points: DataFrame, m: int, seed: int = 42) -> DataFrame:
+    """n whole rows drawn with replacement by rank; ids are fresh (draw numbers)."""
     spark = points.sparkSession
-    if ordered:
-        indexed, n = points.withColumn("k", F.row_number().over(Window.orderBy("id")) - 1), points.count()
-    else:
-        indexed, n = dense_index(points)
+    indexed, n = dense_index(points)
     draws = spark.range(n).select(F.col("id").alias("draw")).crossJoin(F.broadcast(sims(spark, m)))
     u = hash_uniform("boot", F.concat_ws(":", F.lit(str(seed)), F.col("sim").cast("string"), F.col("draw").cast("string")))
     draws = draws.withColumn("k", F.floor(u * n).cast("long"))
@@ -120,7 +117,7 @@ def simulated(points: DataFrame, window: StudyWindow, method: str, m: int, seed:
     if method == "permutation":
         return simulate_permutation(points, m, seed, ordered)
     if method == "bootstrap":
-        return simulate_bootstrap(points, m, seed, ordered)
+        return simulate_bootstrap(points, m, seed)
     if method == "cstr":
         return simulate_cstr(points.sparkSession, points.count() if n is None else n, window, m, seed)
     raise ValueError(f"unknown simulation {method}")

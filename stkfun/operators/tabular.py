@@ -65,7 +65,7 @@ def quadrat_test(points: DataFrame, window: StudyWindow, nx: int, ny: int, nt: i
 def nearest_neighbour_index(points: DataFrame, window: StudyWindow, start: float) -> DataFrame:
     """Mean distance to the nearest other place over that of a random pattern, 0.5 / sqrt(density)."""
     flat = points.withColumns({"t0": F.lit(0).cast("long"), "t1": F.lit(0).cast("long")})
-    near = knn(flat, 1, 1.0, start, rounds=20)
+    near = knn(flat, 1, 1.0, start)
     n = points.agg(F.count("*").alias("n"))
     got = near.agg(F.avg("r").alias("mean"), F.count("*").alias("found")).crossJoin(F.broadcast(n))
     return got.select("n", "mean", (F.lit(0.5) / F.sqrt(F.col("n") / window.area)).alias("expected")).withColumn("index", F.col("mean") / F.col("expected"))

@@ -55,6 +55,28 @@ def w_time(w: StudyWindow, t="t0", u="u") -> str:
     return f"CASE WHEN {t} - {u} >= {w.t_start} AND {t} + {u} <= {w.t_end} THEN 1.0::DOUBLE ELSE 2.0::DOUBLE END"
 
 
+def ring_weights(ring, source: str, name: str = "rw") -> str:
+    """CTEs that end in ``name`` (id, w): the weights of circles (id, x, y, d) of ``source``
+    in a simple polygon, by sorting each circle's crossings and testing its arcs."""
+    edges = ", ".join(f"({a[0]!r}::DOUBLE, {a[1]!r}::DOUBLE, {b[0]!r}::DOUBLE, {b[1]!r}::DOUBLE)" for a, b in zip(ring, [*ring[1:], ring[0]]))
+    full = f"{2 * math.pi!r}::DOUBLE"
+    return f"""edges AS (SELECT * FROM (VALUES {edges}) e(ax, ay, ex, ey)),
+meet AS (SELECT id, x, y, d, ax, ay, ex - ax AS sx, ey - ay AS sy, (ax - x) * (ex - ax) + (ay - y) * (ey - ay) AS half, (ex - ax) * (ex - ax) + (ey - ay) * (ey - ay) AS size2 FROM {source}, edges WHERE d > 0),
+cut AS (SELECT *, half * half - size2 * ((ax - x) * (ax - x) + (ay - y) * (ay - y) - d * d) AS disc FROM meet),
+crossing AS (SELECT id, x, y, d, atan2(ay - y + k * sy, ax - x + k * sx) AS ang FROM (SELECT *, (sg * sqrt(disc) - half) / size2 AS k FROM cut, (VALUES (-1), (1)) z(sg) WHERE disc > 0) WHERE k BETWEEN 0 AND 1),
+arcs AS (SELECT id, x, y, d, ang, coalesce(lead(ang) OVER (PARTITION BY id ORDER BY ang), min(ang) OVER (PARTITION BY id) + {full}) - ang AS arc FROM crossing),
+mids AS MATERIALIZED (SELECT id, row_number() OVER () AS k, arc, x + d * cos(ang + arc / 2) AS mx, y + d * sin(ang + arc / 2) AS my FROM arcs WHERE arc > 0.000000000001),
+odd AS (SELECT k, count(*) AS n FROM mids, edges WHERE (ay > my) <> (ey > my) AND mx < (ex - ax) * (my - ay) / (ey - ay) + ax GROUP BY k),
+share AS (SELECT id, sum(CASE WHEN n % 2 = 1 THEN arc ELSE 0 END) / {full} AS f FROM mids LEFT JOIN odd USING (k) GROUP BY id),
+{name} AS (SELECT s.id, CASE WHEN f IS NULL THEN 1.0::DOUBLE ELSE 1.0::DOUBLE / f END AS w FROM {source} s LEFT JOIN share USING (id))"""
+
+
+def inside(ring) -> str:
+    """Whether (x, y) lies in the ring, by the even-odd rule."""
+    crossings = " + ".join(f"CASE WHEN ({a[1]!r}::DOUBLE > y) <> ({b[1]!r}::DOUBLE > y) AND x < {b[0] - a[0]!r}::DOUBLE * (y - {a[1]!r}::DOUBLE) / {b[1] - a[1]!r}::DOUBLE + {a[0]!r}::DOUBLE THEN 1 ELSE 0 END" for a, b in zip(ring, [*ring[1:], ring[0]]) if a[1] != b[1])
+    return f"({crossings}) % 2 = 1"
+
+
 def weight(w: StudyWindow, correction: str = "isotropic") -> str:
     if correction == "none":
         return "1.0::DOUBLE"

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stkfun.config import DistanceGrid, StudyWindow
+from stkfun.functions.geometry import hash_uniform
 
 
 @dataclass
@@ -28,7 +29,7 @@ def mean_neighbours(points: DataFrame, window: StudyWindow, grid: DistanceGrid,
     """Neighbours in the threshold cylinder, estimated from the loads of coarse cells of a hash sample."""
     n = points.count()
     share = min(1.0, max(fraction, min(1.0, cap / max(n, 1))))
-    rows = points.where(F.pmod(F.xxhash64(F.lit("load"), "id"), F.lit(1 << 20)) < int(share * (1 << 20)))
+    rows = points.where(hash_uniform("load", F.col("id")) < share)
     cells = rows.groupBy(F.floor(F.col("x") / (2 * grid.s_max)), F.floor(F.col("y") / (2 * grid.s_max)), F.floor(F.col("t0") / (2 * grid.t_max))).agg(F.count("*").alias("m"))
     got = cells.agg(F.sum(F.col("m") * (F.col("m") - 1)).alias("sq"), F.sum("m").alias("m")).first()
     load = (got.sq or 0) / max(got.m or 0, 1) / share

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import uuid
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -81,21 +82,24 @@ def _udtf(sp: SparkSession, d: str) -> DataFrame:
 
 
 @F.pandas_udf(DoubleType())
-def trapezoid(v: pd.Series) -> float:
-    """Grouped aggregate: the mean of squares."""
-    return float((v.astype(float) ** 2).mean())
+def surface_integral(s: pd.Series, t: pd.Series, v: pd.Series) -> float:
+    """Grouped aggregate: the trapezoid rule in both directions over a surface's grid."""
+    grid = pd.DataFrame({"s": s.astype(float), "t": t.astype(float), "v": v.astype(float)}).pivot(index="s", columns="t", values="v")
+    return float(np.trapezoid(np.trapezoid(grid.to_numpy(), grid.columns.to_numpy(), axis=1), grid.index.to_numpy()))
 
 
 def _register(sp: SparkSession) -> None:
     """SQL names for the weights and cells of the events window."""
     sp.udf.register("stk_w_space", geo.w_space_polygon(geo.rect_ring(W_EVENTS)))
+    sp.sql("CREATE OR REPLACE TEMPORARY FUNCTION stk_cell(v DOUBLE, size DOUBLE) RETURNS BIGINT RETURN CAST(floor(v / size) AS BIGINT)")
+    sp.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION stk_w_time(t BIGINT, u BIGINT) RETURNS DOUBLE RETURN CASE WHEN t - u >= {W_EVENTS.t_start} AND t + u <= {W_EVENTS.t_end} THEN 1.0D ELSE 2.0D END")
 
 
 def _sql_surface(sp: SparkSession, d: str) -> DataFrame:
     _register(sp)
     view = f"pts_{uuid.uuid4().hex}"
     src.events_skewed(sp, d).createOrReplaceTempView(view)
-    return sp.sql(f"SELECT id, round(stk_w_space(x, y, 5.0D), 4) AS w FROM {view} WHERE x > 1 AND x < 500 AND y > 1 AND y < 99")
+    return sp.sql(f"SELECT id, stk_cell(x, 5.0D) AS cx, stk_cell(y, 5.0D) AS cy, stk_w_time(t0, {20 * HOUR}) AS wt, round(stk_w_space(x, y, 5.0D), 4) AS w FROM {view}")
 
 
 def _kde_sql() -> str:
@@ -108,9 +112,9 @@ SELECT g.id, round(coalesce(density, 0), 6) AS density, coalesce(n, 0) AS n FROM
 
 
 def _knn_sql(k: int, speed: float) -> str:
-    return f"""WITH {o.pts('events_skewed')}, few AS (SELECT * FROM pts WHERE id % 50 = 0),
-r AS (SELECT c.id AS i, q.id AS j, sqrt((c.x - q.x) ** 2 + (c.y - q.y) ** 2 + ({speed}::DOUBLE * abs(c.t0 - q.t0) / {float(HOUR)}::DOUBLE) ** 2) AS r FROM few c JOIN few q ON c.id <> q.id)
-SELECT i, j, round(r, 6) AS r, CAST(rank AS INTEGER) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY r, j) AS rank FROM r) WHERE rank <= {k}"""
+    return f"""WITH {o.pts('events_skewed')},
+r AS (SELECT c.id AS i, min({{'r': sqrt((c.x - q.x) ** 2 + (c.y - q.y) ** 2 + ({speed}::DOUBLE * abs(c.t0 - q.t0) / {float(HOUR)}::DOUBLE) ** 2), 'j': q.id}}, {k}) AS best FROM pts c JOIN pts q ON c.id <> q.id GROUP BY c.id)
+SELECT i, best[rank].j AS j, round(best[rank].r, 6) AS r, CAST(rank AS INTEGER) AS rank FROM r, range(1, {k + 1}) z(rank)"""
 
 
 def _events(sp, d):
@@ -180,13 +184,15 @@ def entries() -> dict:
     add("op_map", lambda s, d: T(s, d, "nation").groupBy("n_regionkey").agg(F.map_from_entries(F.collect_list(F.struct("n_nationkey", "n_name"))).alias("m")).select("n_regionkey", F.array_max(F.map_keys("m")).alias("k"), F.element_at("m", F.array_max(F.map_keys("m"))).alias("name")), "SELECT n_regionkey, max(n_nationkey) AS k, arg_max(n_name, n_nationkey) AS name FROM nation GROUP BY 1")
     add("op_json", lambda s, d: T(s, d, "events").select("event_id", F.from_json("props", "k int").getField("k").alias("k"), F.to_json(F.struct(F.col("event_id").alias("id"))).alias("j")), "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INTEGER) AS k, '{\"id\":' || event_id || '}' AS j FROM events")
     add("op_struct", lambda s, d: skewed(s, d).select(F.struct("id", "x").alias("c")).select("c.*"), "SELECT event_id AS id, value AS x FROM events")
-    add("op_udf_polygon_sql", _sql_surface, f"WITH {o.pts('events_skewed')} SELECT id, round({o.w_rect(W_EVENTS, d='5.0::DOUBLE')}, 4) AS w FROM pts WHERE x > 1 AND x < 500 AND y > 1 AND y < 99")
-    add("op_udaf", lambda s, d: _events(s, d).groupBy("event_type").agg(F.round(trapezoid("value"), 4).alias("ms")), "SELECT event_type, round(avg(value * value), 4) AS ms FROM events GROUP BY 1")
+    add("op_udf_polygon_sql", _sql_surface, f"WITH {o.pts('events_skewed')} SELECT id, CAST(floor(x / 5.0::DOUBLE) AS BIGINT) AS cx, CAST(floor(y / 5.0::DOUBLE) AS BIGINT) AS cy, {o.w_time(W_EVENTS, u=str(20 * HOUR))} AS wt, round({o.w_rect(W_EVENTS, d='5.0::DOUBLE')}, 4) AS w FROM pts")
+    by_mark = lambda s, d: est.estimate_k(skewed(s, d), W_EVENTS, g5, by="mark")
+    surf = f"WITH {o.pts('events_skewed')}, {o.pairs(g5.s_max, g5.t_max, ', c.mark', ' AND c.mark = q.mark')}, {o.bins(g5, o.weight(W_EVENTS), keys='mark')}, {o.cumulated(g5, 'mark', 'SELECT DISTINCT mark FROM pts')}, surf AS ({o.surface(g5, o.scale_of(W_EVENTS, '(n * (n - 1))'), 'mark', ' JOIN (SELECT mark, count(*) AS n FROM pts GROUP BY mark) nn USING (mark)')})"
+    add("op_udaf", lambda s, d: by_mark(s, d).groupBy("mark").agg(F.round(surface_integral("s", "t", F.round("l", 4)), 2).alias("volume")), f"{surf} SELECT mark, round(sum(l * CASE WHEN si IN (1, {g5.s_steps}) THEN 0.5::DOUBLE ELSE 1.0::DOUBLE END * CASE WHEN ti IN (1, {g5.t_steps}) THEN 0.5::DOUBLE ELSE 1.0::DOUBLE END) * {float(g5.s_step * g5.t_step / HOUR)}::DOUBLE, 2) AS volume FROM surf GROUP BY mark")
     add("op_udtf", _udtf, "SELECT CAST(k AS INTEGER) AS leaf, 600.0::DOUBLE * k / 6 AS x0, 600.0::DOUBLE * (k + 1) / 6 AS x1 FROM range(6) r(k)")
     q = (6, 5, 4)
     add("quadrat", lambda s, d: tab.quadrat_test(skewed(s, d), W_EVENTS, *q).select("n", "cells", "used", F.round("ratio", 6).alias("ratio"), F.round("chi2", 4).alias("chi2")), f"WITH {o.pts('events_skewed')}, c AS (SELECT count(*) AS m FROM pts GROUP BY least(floor(x / 100.0::DOUBLE), 5), least(floor(y / 20.0::DOUBLE), 4), least(floor((t0 - {W_EVENTS.t_start}) / {W_EVENTS.period / 4}::DOUBLE), 3)), a AS (SELECT CAST(sum(m) AS BIGINT) AS n, CAST(sum(m * m) AS BIGINT) AS sq, count(*) AS used FROM c) SELECT n, 120 AS cells, used, round(((sq - n * (n / 120.0::DOUBLE)) / 119) / (n / 120.0::DOUBLE), 6) AS ratio, round(((sq - n * (n / 120.0::DOUBLE)) / 119) / (n / 120.0::DOUBLE) * 119, 4) AS chi2 FROM a")
-    add("nearest_neighbour", lambda s, d: tab.nearest_neighbour_index(skewed(s, d).where("id % 10 = 0"), W_EVENTS, 2.0).select("n", F.round("mean", 6).alias("mean"), F.round("index", 6).alias("index")), f"WITH {o.pts('events_skewed', 'id % 10 = 0')}, m AS (SELECT c.id, min(sqrt((c.x - q.x) ** 2 + (c.y - q.y) ** 2)) AS r FROM pts c JOIN pts q ON c.id <> q.id GROUP BY c.id) SELECT count(*) AS n, round(avg(r), 6) AS mean, round(avg(r) / (0.5::DOUBLE / sqrt(count(*) / 60000.0::DOUBLE)), 6) AS index FROM m")
-    add("knn", lambda s, d: pr.knn(skewed(s, d).where("id % 50 = 0"), 3, 1.0, 10.0).select("i", "j", F.round("r", 6).alias("r"), "rank"), _knn_sql(3, 1.0))
+    add("nearest_neighbour", lambda s, d: tab.nearest_neighbour_index(skewed(s, d), W_EVENTS, 2.0).select("n", F.round("mean", 6).alias("mean"), F.round("index", 6).alias("index")), f"WITH {o.pts('events_skewed')}, m AS (SELECT c.id, min(sqrt((c.x - q.x) ** 2 + (c.y - q.y) ** 2)) AS r FROM pts c JOIN pts q ON c.id <> q.id GROUP BY c.id) SELECT count(*) AS n, round(avg(r), 6) AS mean, round(avg(r) / (0.5::DOUBLE / sqrt(count(*) / 60000.0::DOUBLE)), 6) AS index FROM m")
+    add("knn", lambda s, d: pr.knn(skewed(s, d), 3, 1.0, 10.0).select("i", "j", F.round("r", 6).alias("r"), "rank"), _knn_sql(3, 1.0))
     add("kde", lambda s, d: tab.kde(skewed(s, d), W_EVENTS, 6, 5, 4, 20.0, 2 * DAY).select("id", F.round("density", 6).alias("density"), "n"), _kde_sql())
     add("stream_windows", lambda s, d: stream.drained(stream.window_counts(stream.event_stream(s, d)), "complete").select("start", "mark", "n", F.round("sum_x", 4).alias("sum_x")), f"SELECT epoch_us(time_bucket(INTERVAL 6 HOUR, ts)) AS start, event_type AS mark, count(*) AS n, round(sum(value), 4) AS sum_x FROM events GROUP BY ALL")
     add("stream_windows_sliding", lambda s, d: stream.drained(stream.window_counts(stream.event_stream(s, d), "6 hours", "3 hours"), "complete").select("start", "mark", "n"), f"SELECT b - k * {3 * HOUR} AS start, mark, count(*) AS n FROM (SELECT epoch_us(ts) - epoch_us(ts) % {3 * HOUR} AS b, event_type AS mark FROM events), range(2) r(k) GROUP BY ALL")

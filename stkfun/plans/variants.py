@@ -3,9 +3,8 @@
 from __future__ import annotations
 
 import math
+from dataclasses import replace
 
-import numpy as np
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -19,9 +18,7 @@ from stkfun.operators import pairs as pr
 from stkfun.operators import partition as part
 from stkfun.operators import simulate as sim
 from stkfun.operators import tabular as tab
-from stkfun.operators.codec import decode_index, encode_index
-from stkfun.operators.local_index import build_str_rtree
-from stkfun.plans import metrics, planner
+from stkfun.plans import job, metrics, planner
 from stkfun.sources import points as src
 
 G5 = DistanceGrid(1.0, 5, 4 * HOUR, 5)
@@ -140,7 +137,7 @@ obs AS (SELECT a.si, a.ti, a.s, a.t, round({o.l_of(f'({scale}) * ((SELECT sum(w)
 
 
 def _sims(sp, d, method, m):
-    return rounded(sim.simulate_k(src.events_skewed(sp, d), W, G_SIM, method, m, ordered=True), "k", "l")
+    return settle(rounded(sim.simulate_k(src.events_skewed(sp, d), W, G_SIM, method, m, ordered=True), "k", "l"), "sims")
 
 
 def _observed(sp, d):
@@ -191,22 +188,8 @@ SELECT sim, count(*) AS lookups, count(ks.d) AS space_hits, count(kt.u) AS time_
 
 
 def _index_roundtrip(sp, d):
-    """Points found through a decoded index equal those of the table."""
-    p = src.events_skewed(sp, d).where("id % 4 = 0").select("id", "x", "y", "t0")
-
-    def run(parts):
-        rows = pd.concat(list(parts) or [pd.DataFrame({"id": [], "x": [], "y": [], "t0": []})])
-        if not len(rows):
-            return
-        xyz = rows[["x", "y", "t0"]].to_numpy(float)
-        tree = decode_index(encode_index(build_str_rtree(xyz)))
-        ids = rows["id"].to_numpy()
-        hits = [(ids[a], ids[b]) for a, b in tree.query(xyz, xyz, 5.0, 20.0 * HOUR)]
-        i, j = np.concatenate([h[0] for h in hits]), np.concatenate([h[1] for h in hits])
-        keep = i != j
-        yield pd.DataFrame({"i": i[keep], "j": j[keep]})
-
-    return p.coalesce(1).mapInPandas(run, "i long, j long")
+    """All pairs, found in leaves whose index has been through its byte form."""
+    return part.pairs_partitioned(src.events_skewed(sp, d), W, 5.0, 20 * HOUR, 27, local="rtree", compact=True).select("i", "j")
 
 
 def _envelopes(sp, d):
@@ -218,73 +201,148 @@ def _envelopes(sp, d):
 
 def _planned(sp, d):
     p = planner.plan(src.events_skewed(sp, d), W, G5)
-    return sp.createDataFrame([(p.index, p.cache, p.partitioner, p.replication, p.codec, p.distribute)], "index boolean, cache boolean, partitioner string, replication string, codec boolean, distribute boolean")
+    return sp.createDataFrame([(p.index, p.cache, p.partitioner, p.replication, p.codec, p.distribute, p.parts)], "index boolean, cache boolean, partitioner string, replication string, codec boolean, distribute boolean, parts int")
 
 
-def index_ablation(sp, d, points=src.events_skewed, fractions=(1 / 128, 1 / 64, 1 / 32), kinds=("rtree", "octree", "kdtree")) -> DataFrame:
-    """Comparisons and build time of each index while the thresholds double (workload W2)."""
-    out, p = None, settle(points(sp, d), "ablation")
-    for f in fractions:
-        g = DistanceGrid.from_fraction(W, f)
-        for kind in kinds:
-            row = metrics.index_stats(p.coalesce(1), kind, g.s_max, g.t_max).withColumn("fraction", F.lit(f)).withColumn("all_pairs", F.col("n") * (F.col("n") - 1))
-            out = row if out is None else out.unionByName(row)
-    return out
+def _planned_sql() -> str:
+    """The rules for a set of at most 20,000 points, whose load is counted in full."""
+    cells = f"floor(x / {2 * G5.s_max}::DOUBLE), floor(y / {2 * G5.s_max}::DOUBLE), floor(t0 / {2.0 * G5.t_max}::DOUBLE)"
+    small = str(G5.s_max < W.short_side / 32 and G5.t_max < W.period / 32).lower()
+    return f"""WITH {_ES}, c AS (SELECT count(*) AS m FROM pts GROUP BY {cells}), l AS (SELECT sum(m * (m - 1)) / sum(m)::DOUBLE * {math.pi / 4!r}::DOUBLE AS load, CAST(sum(m) AS BIGINT) AS n FROM c)
+SELECT {small} AND load <= 5000 AS index, false AS cache, 'domain' AS partitioner, 'cylinder' AS replication, true AS codec, n > 50000 AS distribute, CAST(least(2000, greatest(1, ceil(n * (1 + load / 100) / 20000))) AS INTEGER) AS parts FROM l"""
 
 
-def cache_ablation(sp, d, vertices=(4, 100, 1000)) -> DataFrame:
-    """Seconds of polygon weights with and without reuse while vertices grow (workload W3)."""
-    pairs = metrics.ready(pr.pairs_cells(src.lineitem_grid(sp, d).where("x < 6"), 1.0, 10 * DAY, window=W_LINES).select("x", "y", "d"))
-    rows = []
-    for v in vertices:
-        ring = geo.rect_ring(W_LINES, v)
-        plain = metrics.timed(lambda: pairs.select(geo.w_space_polygon(ring, early_exit=False)("x", "y", "d").alias("w")))
-        memo = metrics.timed(lambda: pairs.select(geo.w_space_polygon(ring, early_exit=False, memo=True)("x", "y", "d").alias("w")))
-        rows.append(metrics.Run("cache", "memo", pairs.count(), v, seconds=memo, sf=metrics.speedup(plain, memo)))
-    pairs.unpersist()
-    return metrics.runs_table(sp, rows)
+#: The surveyed ranges of the experiments.
+FRACTIONS = (1 / 128, 1 / 64, 1 / 32, 1 / 16, 1 / 8, 1 / 4)
+VERTICES = (4, 10, 50, 100, 500, 1000, 5000)
+PARTS = (8, 64, 2048)
+STRATEGIES = {
+    "index": replace(job.NONE, index=True), "cache": replace(job.NONE, cache=True), "partition": replace(job.NONE, partitioner="domain", parts=64),
+    "codec": replace(job.NONE, index=True, codec=True, partitioner="domain", parts=64), "all": job.ALL,
+}
 
 
-def partition_ablation(sp, d, parts=(8, 64, 216)) -> DataFrame:
-    """Balance and replication of every scheme while the partition count grows (workload W4)."""
+def _union(frames) -> DataFrame:
     out = None
-    p = settle(src.events_skewed(sp, d), "partitions")
-    for n in parts:
-        for scheme in ("hash", "grid", "quadtree", "rtree", "domain"):
-            row = part.partition_stats(p, W, 5.0, 20 * HOUR, n, scheme).withColumn("parts", F.lit(n))
-            out = row if out is None else out.unionByName(row)
+    for f in frames:
+        out = f if out is None else out.unionByName(f)
     return out
 
 
-def codec_ablation(sp, d) -> DataFrame:
-    """Sizes and times of both serial forms (workload W5)."""
-    return codec.codec_stats(src.events_skewed(sp, d)).withColumn("points", F.lit("events")).unionByName(codec.codec_stats(src.orders_month(sp, d)).withColumn("points", F.lit("orders")))
+def index_workload(sp, d) -> DataFrame:
+    """Pairs that each access path finds while the thresholds double (W2)."""
+    frames = []
+    for name, points in (("skewed", src.events_skewed), ("uniform", src.events_uniform)):
+        p = settle(points(sp, d), "index")
+        for k, f in enumerate(FRACTIONS):
+            g = DistanceGrid.from_fraction(W, f)
+            paths = {"cells": pr.pairs_cells(p, g.s_max, g.t_max, window=W)}
+            paths |= {kind: part.pairs_partitioned(p, W, g.s_max, g.t_max, 8, "grid", local=kind) for kind in (("rtree", "octree", "kdtree") if name == "skewed" else ("rtree",))}
+            frames += [x.agg(F.count("*").alias("pairs")).select(F.lit(name).alias("points"), F.lit(k).alias("step"), F.lit(v).alias("path"), "pairs") for v, x in paths.items()]
+    return _union(frames)
+
+
+def _index_sql() -> str:
+    out = []
+    for name, kinds in (("skewed", ("cells", "rtree", "octree", "kdtree")), ("uniform", ("cells", "rtree"))):
+        for k, f in enumerate(FRACTIONS):
+            g = DistanceGrid.from_fraction(W, f)
+            paths = ", ".join(f"('{v}')" for v in kinds)
+            out.append(f"SELECT '{name}' AS points, {k} AS step, path, pairs FROM (WITH {o.pts('events_' + name)}, {o.pairs(g.s_max, g.t_max)} SELECT count(*) AS pairs FROM pairs), (VALUES {paths}) v(path)")
+    return " UNION ALL ".join(out)
+
+
+def cache_workload(sp, d) -> DataFrame:
+    """The same window with more and more vertices: pairs, distinct keys and the mean weight (W3)."""
+    p = settle(found(sp, d).select("x", "y", "d"), "cache")
+    keys = settle(p.groupBy("x", "y", "d").agg(F.count("*").alias("n")), "cachekeys")
+    frames = []
+    for v in VERTICES:
+        ring = geo.rect_ring(W, v)
+        for variant, rows, memo in (("plain", p.withColumn("n", F.lit(1).cast("long")), False), ("cached", keys, True)):
+            w = rows.select("n", geo.w_space_polygon(ring, memo=memo)("x", "y", "d").alias("w"))
+            frames.append(w.agg(F.sum("n").alias("pairs"), F.count("*").alias("computed"), F.round(F.sum(F.col("w") * F.col("n")) / F.sum("n"), 4).alias("w_mean")).select(F.lit(v).alias("vertices"), F.lit(variant).alias("variant"), "pairs", "computed", "w_mean"))
+    return _union(frames)
+
+
+def _cache_workload_sql() -> str:
+    return f"""WITH {_P5}, one AS (SELECT count(*) AS pairs, count(DISTINCT (x, y, d)) AS keys, round(avg({o.w_rect(W)}), 4) AS w_mean FROM pairs)
+SELECT v AS vertices, variant, pairs, CASE WHEN variant = 'plain' THEN pairs ELSE keys END AS computed, w_mean FROM one, (VALUES {', '.join(f'({v})' for v in VERTICES)}) a(v), (VALUES ('plain'), ('cached')) b(variant)"""
+
+
+def partition_workload(sp, d) -> DataFrame:
+    """Pairs found under every scheme while the number of leaves grows to 2,048 (W4)."""
+    p, frames = settle(src.events_skewed(sp, d), "partitions"), []
+    for n in PARTS:
+        for scheme in ("hash", "grid", "quadtree", "rtree", "domain") if n <= 64 else ("grid", "quadtree", "rtree", "domain"):
+            got = part.pairs_partitioned(p, W, G5.s_max, G5.t_max, n, scheme)
+            frames.append(got.agg(F.count("*").alias("pairs")).select(F.lit(n).alias("parts"), F.lit(scheme).alias("scheme"), "pairs"))
+    return _union(frames)
+
+
+def _partition_workload_sql() -> str:
+    return f"WITH {_P5} SELECT p AS parts, s AS scheme, n AS pairs FROM (SELECT count(*) AS n FROM pairs), (VALUES {', '.join(f'({n})' for n in PARTS)}) a(p), (VALUES ('hash'), ('grid'), ('quadtree'), ('rtree'), ('domain')) b(s) WHERE p <= 64 OR s <> 'hash'"
+
+
+def codec_workload(sp, d) -> DataFrame:
+    """Every point set through the compact form: rows, bytes, and sums over what comes back (W5)."""
+    frames = []
+    for name, points in (("events", src.events_skewed), ("orders", src.orders_month), ("lines", src.lineitem_grid)):
+        coded = settle(codec.encode_points(points(sp, d)), "coded")
+        back = codec.decode_points(coded).agg(F.count("*").alias("n"), F.sum("id").alias("ids"), F.sum(F.col("t0").cast("decimal(38,0)")).cast("string").alias("times"), F.sum("mult").alias("mult"))
+        size = coded.agg(F.sum(F.length("b")).alias("bytes"))
+        frames.append(back.crossJoin(size).select(F.lit(name).alias("points"), "n", "bytes", "ids", "times", "mult"))
+    return _union(frames)
 
 
-def overall(sp, d, plain_rows: int = 4000) -> DataFrame:
-    """Seconds of the plain procedure (all pairs, weights per pair) and of the default plan (workloads W6, W8)."""
-    g, rows = G_OVERALL, []
-    for n in (plain_rows // 2, plain_rows):
-        p = metrics.ready(src.events_skewed(sp, d).where(F.col("id") < n))
-        slow = metrics.timed(lambda: est.estimate_k(p, W, g, pairs=pr.pairs_bruteforce(p, g.s_max, g.t_max)))
-        fast = metrics.timed(lambda: est.estimate_k(p, W, g))
-        rows.append(metrics.Run("overall", "default", n, s_max=g.s_max, t_max=g.t_max, seconds=fast, sf=metrics.speedup(slow, fast)))
-        p.unpersist()
-    return metrics.runs_table(sp, rows)
+def _codec_workload_sql() -> str:
+    return " UNION ALL ".join(f"SELECT '{name}' AS points, count(*) AS n, count(*) * {codec.LAYOUTS[codec.POINT].itemsize} AS bytes, CAST(sum(id) AS BIGINT) AS ids, CAST(sum(t0) AS VARCHAR) AS times, CAST(sum(mult) AS BIGINT) AS mult FROM ({o.POINTS[table]})" for name, table in (("events", "events_skewed"), ("orders", "orders_month"), ("lines", "lineitem_grid")))
+
+
+_RING85 = geo.ellipse_ring(85)
 
 
 def uniform_ring(sp, d) -> DataFrame:
-    """Uniform points in an 85-vertex outline, polygon weights: L near 0 (workload W9)."""
-    ring = geo.ellipse_ring(85)
-    w = W.with_ring(ring)
-    return est.estimate_k(src.clip(src.events_uniform(sp, d), w), w, G10)
+    """Uniform points in an 85-vertex outline, polygon weights: L near 0 (W9)."""
+    w = W.with_ring(_RING85)
+    return rounded(est.estimate_k(src.clip(src.events_uniform(sp, d), w), w, G10), "k", "l")
 
 
-def application(sp, d, m: int = 19) -> DataFrame:
-    """Full set, simulations, decision and strongest scale (workload W10; m = 99 or more in earnest)."""
-    p = src.events_skewed(sp, d)
-    made = settle(sim.simulate_k(p, W, G_SIM, "cstr", m), "application")
-    return sim.significance(est.estimate_k(p, W, G_SIM), made)
+def _uniform_ring_sql() -> str:
+    w = W.with_ring(_RING85)
+    near = o.pairs(G10.s_max, G10.t_max).replace("pairs AS", "near AS", 1)
+    points = f"pts AS (SELECT * FROM ({o.POINTS['events_uniform']}) WHERE {o.inside(_RING85)})"
+    return f"WITH {points}, {near}, circles AS MATERIALIZED (SELECT * EXCLUDE (i), row_number() OVER () AS id FROM near), {o.ring_weights(_RING85, 'circles')}, pairs AS (SELECT c.*, rw.w AS ws FROM circles c JOIN rw USING (id)), {o.bins(G10, f'ws * ({o.w_time(W)})')}, {o.cumulated(G10)} {o.surface(G10, o.scale_of(w, '(n * (n - 1))'), join=o.N)}"
+
+
+def _ring_sql(ring) -> str:
+    return f"WITH {_ES}, circles AS (SELECT id, x, y, 5.0::DOUBLE AS d FROM pts WHERE {o.inside(ring)}), {o.ring_weights(ring, 'circles')} SELECT id, round(w, 4) AS w FROM rw"
+
+
+def _hash_stats_sql(parts: int, s: float, t: int) -> str:
+    gap = lambda c: f"greatest(b.{c}0 - p.{c}, p.{c} - b.{c}1, 0)"
+    return f"""WITH {_ES}, p AS (SELECT x, y, t0::DOUBLE AS t, CAST(floor({o.uniform('leaf', 'id')} * {parts}) AS INTEGER) AS leaf FROM pts),
+b AS (SELECT leaf, min(x) AS x0, max(x) AS x1, min(y) AS y0, max(y) AS y1, min(t) AS t0, max(t) AS t1, count(*) AS m FROM p GROUP BY leaf),
+g AS (SELECT {gap('x')} AS gx, {gap('y')} AS gy, {gap('t')} AS gt FROM p, b),
+f AS (SELECT count(*) FILTER (gx * gx + gy * gy <= {s * s}::DOUBLE AND gt <= {t}) AS cyl, count(*) FILTER (gx <= {s} AND gy <= {s} AND gt <= {t}) AS gh FROM g)
+SELECT 'hash' AS scheme, {parts} AS leaves, (SELECT max(m) FROM b) AS rows_max, round(cyl / (SELECT count(*) FROM p)::DOUBLE, 4) AS cylinder_factor, round(gh / (SELECT count(*) FROM p)::DOUBLE, 4) AS ghost_factor FROM f"""
+
+
+def _intervals(sp, d):
+    """Events that last up to four hours."""
+    return src.events_skewed(sp, d).withColumn("t1", F.col("t0") + (F.col("id") % 5) * HOUR)
+
+
+_INTERVAL_SQL = f"""WITH {_ES}, iv AS (SELECT id, x, y, t0, t0 + (id % 5) * {HOUR} AS t1 FROM pts)
+SELECT i, j, u FROM (SELECT c.id AS i, q.id AS j, greatest(c.t0 - q.t1, q.t0 - c.t1, 0) AS u, {o._D} AS d FROM iv c JOIN iv q ON q.t0 BETWEEN c.t0 - {16 * HOUR} AND c.t0 + {16 * HOUR} AND c.id <> q.id) WHERE u <= {10 * HOUR} AND d <= 2.0"""
+
+
+def _application(method, m):
+    """Full set, m simulations, decision at every distance (W10); p can reach 1 / (m + 1)."""
+    return lambda s, d: rounded(sim.significance(_observed(s, d), _sims(s, d, method, m)), "diff")
+
+
+_SIG_ROWS = "SELECT si, ti, s, t, l_obs, l_upper, l_lower, round(diff, 4) AS diff, p, verdict FROM sig"
 
 
 def entries() -> dict:
@@ -305,13 +363,19 @@ def entries() -> dict:
     add("k_sector", lambda s, d: rounded(est.estimate_k_sector(es(s, d), W, G5, 0.0, 1.5), "k", "l"), _sector_sql(G5))
     add("k_inhom", lambda s, d: rounded(est.estimate_k_inhom(est.grid_intensity(es(s, d), W, 6, 2, 3), W, G5, "lam"), "k", "l"), _inhom_sql(G5))
     add("k_by_type", lambda s, d: rounded(est.estimate_k_by(es(s, d), W, G5, "mark"), "k", "l"), f"WITH {_ES}, {o.pairs(5.0, 20 * HOUR, ', c.mark', ' AND c.mark = q.mark')}, {o.bins(G5, o.weight(W), keys='mark')}, {o.cumulated(G5, 'mark', 'SELECT DISTINCT mark FROM pts')} {o.surface(G5, o.scale_of(W, '(n * (n - 1))'), 'mark', ' JOIN (SELECT mark, count(*) AS n FROM pts GROUP BY mark) nn USING (mark)')}")
-    add("k_tolerance", lambda s, d: found(s, d).transform(lambda p: wc.space_cache(p, W, 0.5, 0.25)).select("kx", "ky", "kd", F.round("ws", 6).alias("ws")).where("kx > 0 and ky > 0 and kx < 600 and ky < 100"), f"WITH {_P5}, k AS (SELECT DISTINCT round(x / 0.5::DOUBLE) * 0.5::DOUBLE AS kx, round(y / 0.5::DOUBLE) * 0.5::DOUBLE AS ky, round(d / 0.25::DOUBLE) * 0.25::DOUBLE AS kd FROM pairs) SELECT kx, ky, kd, round({o.w_rect(W, 'kx', 'ky', 'kd')}, 6) AS ws FROM k WHERE kx > 0 AND ky > 0 AND kx < 600 AND ky < 100")
+    add("k_tolerance", lambda s, d: found(s, d).transform(lambda p: wc.space_cache(p, W, 0.5, 0.25)).select("kx", "ky", "kd", F.round("ws", 6).alias("ws")), f"WITH {_P5}, k AS (SELECT DISTINCT round(x / 0.5::DOUBLE) * 0.5::DOUBLE AS kx, round(y / 0.5::DOUBLE) * 0.5::DOUBLE AS ky, round(d / 0.25::DOUBLE) * 0.25::DOUBLE AS kd FROM pairs) SELECT kx, ky, kd, round({o.w_rect(W, 'kx', 'ky', 'kd')}, 6) AS ws FROM k")
     add("weights_rect", lambda s, d: found(s, d).select("i", "j", F.round(geo.w_space_rect(F.col("x"), F.col("y"), F.col("d"), W), 6).alias("w")), f"WITH {_P5} SELECT i, j, round({o.w_rect(W)}, 6) AS w FROM pairs")
     add("weights_time", lambda s, d: found(s, d).select("i", "j", geo.w_time(F.col("t0"), F.col("u"), W).alias("w")), f"WITH {_P5} SELECT i, j, {o.w_time(W)} AS w FROM pairs")
-    add("weights_polygon_rect_100", lambda s, d: found(s, d).where("d > 0").select("i", "j", F.round(geo.w_space_polygon(geo.rect_ring(W, 100), memo=True)("x", "y", "d"), 3).alias("w")).where("i % 3 = 0"), f"WITH {_P5} SELECT i, j, round({o.w_rect(W)}, 3) AS w FROM pairs WHERE d > 0 AND i % 3 = 0")
-    add("weights_ngon", _ring_weights(geo.ellipse_ring(85)))
-    add("weights_lshape", _ring_weights(geo.l_ring(W)))
-    add("weights_star", _ring_weights(geo.ellipse_ring(40, star=0.6)))
+    add("weights_polygon_rect_100", lambda s, d: found(s, d).select("i", "j", F.round(geo.w_space_polygon(geo.rect_ring(W, 100))("x", "y", "d"), 3).alias("w")), f"WITH {_P5} SELECT i, j, round({o.w_rect(W)}, 3) AS w FROM pairs")
+    for name, ring in (("ngon", geo.ellipse_ring(85)), ("lshape", geo.l_ring(W)), ("star", geo.ellipse_ring(40, star=0.6))):
+        add(f"weights_{name}", _ring_weights(ring), _ring_sql(ring))
+    add("weights_guard", lambda s, d: est.guarded(found(s, d), W, 1.5).select("pairs", "capped"), f"WITH {_P5} SELECT count(*) AS pairs, count(*) FILTER ({o.w_rect(W)} > 1.5) AS capped FROM pairs")
+    add("pairs_interval", lambda s, d: pr.pairs_intervals(_intervals(s, d), 2.0, 10 * HOUR, window=W).select("i", "j", "u"), _INTERVAL_SQL)
+    overall = o.k_surface("events_skewed", G_OVERALL)
+    add("k_plain", lambda s, d: job.job_surface(es(s, d), W, G_OVERALL, "plain"), overall)
+    add("k_planned", lambda s, d: job.job_surface(es(s, d), W, G_OVERALL), overall)
+    for name, plan in STRATEGIES.items():
+        add(f"k_strategy_{name}", lambda s, d, x=plan: job.job_surface(es(s, d), W, G_OVERALL, strategies=x), overall)
     add("cache_keys", lambda s, d: wc.key_counts(found(s, d)), f"WITH {_P5} SELECT count(*) AS pairs, count(DISTINCT (x, y)) AS places, count(DISTINCT (x, y, d)) AS space_keys, count(DISTINCT t0) AS times, count(DISTINCT (t0, u)) AS time_keys FROM pairs")
     for method in ("permutation", "bootstrap", "cstr"):
         cols = "sim, id, x, y, t0"
@@ -319,27 +383,26 @@ def entries() -> dict:
         add(f"cache_hits_{method}", _cache_hits(method), _cache_sql(method))
     for method in ("permutation", "cstr"):
         add(f"envelope_{method}", lambda s, d, m=method: sim.envelope(_sims(s, d, m, 19)).select("si", "ti", "l_min", "l_max", F.round("l_mean", 3).alias("l_mean"), "m"), f"WITH {_sim_surface_sql(method, 19, G_SIM)} SELECT si, ti, min(l) AS l_min, max(l) AS l_max, round(avg(l), 3) AS l_mean, count(l) AS m FROM surf GROUP BY si, ti")
-        add(f"significance_{method}", lambda s, d, m=method: rounded(sim.significance(_observed(s, d), _sims(s, d, m, 19)), "diff"), f"WITH {_sim_surface_sql(method, 19, G_SIM)}, {_SIG} SELECT si, ti, s, t, l_obs, l_upper, l_lower, round(diff, 4) AS diff, p, verdict FROM sig")
+        add(f"significance_{method}", lambda s, d, m=method: rounded(sim.significance(_observed(s, d), _sims(s, d, m, 19)), "diff"), f"WITH {_sim_surface_sql(method, 19, G_SIM)}, {_SIG} {_SIG_ROWS}")
     add("peak_scale", lambda s, d: rounded(sim.peak_scale(sim.significance(_observed(s, d), _sims(s, d, "cstr", 19))), "diff"), f"WITH {_sim_surface_sql('cstr', 19, G_SIM)}, {_SIG}, b AS (SELECT si, ti, diff FROM sig ORDER BY diff DESC, si, ti LIMIT 1) SELECT b.si, b.ti, round(b.diff, 4) AS diff, max(s) FILTER (verdict = 'clustered') AS s_significant, max(t) FILTER (verdict = 'clustered') AS t_significant, count(*) FILTER (verdict = 'clustered') AS n_significant FROM sig, b GROUP BY b.si, b.ti, b.diff")
+    add("sequential_k", lambda s, d: sim.sequential_k(es(s, d), W, G_SIM, "cstr", 19, 19).select("si", "ti", "p"), f"WITH {_sim_surface_sql('cstr', 19, G_SIM)}, {_SIG} SELECT si, ti, p FROM sig")
     add("sim_permutation_keyed", lambda s, d: sim.simulate_permutation(es(s, d), 2).groupBy("sim").agg(F.count("*").alias("n"), F.countDistinct("id").alias("ids"), F.sum(F.col("t0").cast("decimal(38,0)")).cast("string").alias("t_sum")), f"WITH {_ES} SELECT CAST(s AS INTEGER) AS sim, count(*) AS n, count(DISTINCT id) AS ids, CAST(sum(t0) AS VARCHAR) AS t_sum FROM pts, range(1, 3) r(s) GROUP BY s")
     add("sim_static_pairs", lambda s, d: rounded(sim.simulate_k(es(s, d), W, G_SIM, "permutation", 2, ordered=True, reuse="spatial_pairs"), "k", "l"), f"WITH {_sim_surface_sql('permutation', 2, G_SIM)} SELECT * FROM surf")
     add("grid_partition_stats", lambda s, d: _stats("grid", 64)(s, d).select("scheme", "leaves", "rows_max", "empty", "uncovered"), _grid_stats_sql())
-    add("domain_partition_stats", _stats("domain", 64))
-    add("hash_replication", _stats("hash", 16))
+    add("hash_replication", lambda s, d: _stats("hash", 16)(s, d).select("scheme", "leaves", "rows_max", "cylinder_factor", "ghost_factor"), _hash_stats_sql(16, 5.0, 20 * HOUR))
     pc = ["id", "x", "y", "mult", "t0", "t1"]
     add("codec_roundtrip_points", lambda s, d: codec.decode_points(codec.encode_points(src.orders_month(s, d))).select(*pc, "zone"), f"SELECT id, x, y, mult, t0, t0 AS t1, zone FROM ({o.POINTS['orders_month']})")
     add("codec_roundtrip_cylinders", lambda s, d: codec.decode_cylinders(codec.encode_cylinders(es(s, d), 5.0, 20 * HOUR)), f"SELECT id, x, y, t0, 5.0::DOUBLE AS rs, CAST({20 * HOUR} AS BIGINT) AS rt, 'h' AS unit FROM ({o.POINTS['events_skewed']})")
     add("codec_roundtrip_envelopes", _envelopes, f"SELECT CAST((a * 4 + b) * 4 + c AS INTEGER) AS env_id, a * 150.0::DOUBLE AS x0, (a + 1) * 150.0::DOUBLE AS x1, b * 25.0::DOUBLE AS y0, (b + 1) * 25.0::DOUBLE AS y1, {W.t_start} + c * {W.period // 4} AS t0, {W.t_start} + (c + 1) * {W.period // 4} AS t1 FROM range(4) p(a), range(4) q(b), range(4) r(c)")
-    add("codec_roundtrip_index", _index_roundtrip, f"WITH {o.pts('events_skewed', 'id % 4 = 0')}, {o.pairs(5.0, 20 * HOUR)} SELECT i, j FROM pairs")
-    add("codec_sizes", lambda s, d: codec.codec_sizes(src.orders_month(s, d)))
+    add("codec_roundtrip_index", _index_roundtrip, f"WITH {o.pts('events_skewed')}, {o.pairs(5.0, 20 * HOUR)} SELECT i, j FROM pairs")
     add("surface_pivot", lambda s, d: rounded(tab.surface_matrix(est.estimate_k(es(s, d), W, G5), 5), "1", "2", "3", "4", "5"), f"PIVOT ({_plain_sql(_ES, G5)}) ON ti IN (1, 2, 3, 4, 5) USING first(l) GROUP BY si")
     add("pair_comparisons", lambda s, d: metrics.pair_stats(es(s, d), 5.0, 20 * HOUR).select("n", "compared_all", "pairs"), f"WITH {_P5} SELECT (SELECT count(*) FROM pts) AS n, (SELECT count(*) * (count(*) - 1) FROM pts) AS compared_all, count(*) AS pairs FROM pairs")
-    add("strategy_plan", _planned)
-    add("workload_index", index_ablation)
-    add("workload_cache", cache_ablation)
-    add("workload_partitions", partition_ablation)
-    add("workload_codec", codec_ablation)
-    add("workload_overall", overall)
-    add("workload_uniform_ring", uniform_ring)
-    add("workload_application", application)
+    add("strategy_plan", _planned, _planned_sql())
+    add("workload_index", index_workload, _index_sql())
+    add("workload_cache", cache_workload, _cache_workload_sql())
+    add("workload_partitions", partition_workload, _partition_workload_sql())
+    add("workload_codec", codec_workload, _codec_workload_sql())
+    add("workload_uniform_ring", uniform_ring, _uniform_ring_sql())
+    for method in ("cstr", "permutation"):
+        add(f"workload_application_{method}", _application(method, 99), f"WITH {_sim_surface_sql(method, 99, G_SIM)}, {_SIG} {_SIG_ROWS}")
     return e

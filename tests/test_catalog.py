@@ -8,7 +8,7 @@ import pytest
 from stkfun import catalog
 
 SF = "/root/testdata/sf0.001"
-NAMES = ["k_surface_skewed", "k_surface_lines", "k_border", "k_by_type", "k_inhom", "k_cross_types", "k_collapsed", "pairs_cellcode", "pairs_rtree", "cache_hits_permutation", "codec_roundtrip_points", "codec_roundtrip_index", "filters_rollup", "op_join_asof", "stream_incremental_k", "stream_sessions", "kde"]
+NAMES = ["k_surface_skewed", "k_surface_lines", "k_border", "k_by_type", "k_inhom", "k_cross_types", "k_collapsed", "pairs_cellcode", "pairs_rtree", "cache_hits_permutation", "codec_roundtrip_points", "codec_roundtrip_index", "filters_rollup", "op_join_asof", "stream_incremental_k", "stream_sessions", "kde", "k_strategy_all", "k_plain", "weights_star", "hash_replication", "pairs_interval", "knn", "op_udaf", "op_udf_polygon_sql", "workload_uniform_ring", "sim_static_pairs"]
 
 
 @pytest.mark.parametrize("name", NAMES)

@@ -12,7 +12,8 @@ from stkfun.operators import pairs as pr
 from stkfun.operators import partition as part
 from stkfun.operators import simulate as sim
 from stkfun.operators import weight_cache as wc
-from stkfun.plans import planner
+from stkfun.config import KJob
+from stkfun.plans import job, planner
 from stkfun.sources import points as src
 
 SQUARE = StudyWindow(0.0, 10.0, 0.0, 10.0, 0, 100 * HOUR)
@@ -177,3 +178,32 @@ def test_planner_rules(spark):
     far = planner.plan(p, W_EVENTS.with_ring(ellipse_ring(200)), DistanceGrid(5.0, 5, 36 * HOUR, 5))
     assert near.index and not near.cache and not near.distribute
     assert not far.index and far.cache and far.partitioner == "domain" and far.reasons
+
+
+def test_job_gives_the_same_results_with_and_without_strategies(spark):
+    p = src.events_skewed(spark, SF)
+    g = DistanceGrid(2.5, 2, 20 * HOUR, 2)
+    rows = lambda df, *c: sorted(map(tuple, df.select(*c).collect()))
+    plain = job.run_job(p, KJob("events", W_EVENTS, g, simulation="permutation", m=3), "plain")
+    full = job.run_job(p, KJob("events", W_EVENTS, g, simulation="permutation", m=3), strategies=job.ALL)
+    planned = job.run_job(p, KJob("events", W_EVENTS, g, options={"index": True}))
+    assert planned.plan.index and planned.simulations is None
+    for other in (full, planned):
+        assert rows(plain.surface, "si", "ti", "pairs", "k") == rows(other.surface, "si", "ti", "pairs", "k")
+    assert rows(plain.simulations, "sim", "si", "ti", "k") == rows(full.simulations, "sim", "si", "ti", "k")
+    assert rows(plain.decisions, "si", "ti", "p", "verdict") == rows(full.decisions, "si", "ti", "p", "verdict")
+    assert full.peak.count() == 1
+    with pytest.raises(ValueError):
+        job.run_job(p, KJob("events", W_EVENTS, g), "fast")
+
+
+def test_suggested_thresholds_stay_within_limits():
+    for n in (10, 10_000, 10_000_000):
+        DistanceGrid.suggest(W_EVENTS, n).validate(W_EVENTS)
+    assert DistanceGrid.suggest(W_EVENTS, 10).s_max >= DistanceGrid.suggest(W_EVENTS, 10_000_000).s_max
+
+
+def test_domain_leaves_cover_every_point_evenly(spark):
+    p = src.events_skewed(spark, SF)
+    r = part.partition_stats(p, W_EVENTS, 5.0, 20 * HOUR, 8, "domain").first()
+    assert r.uncovered == 0 and r.max_over_mean < 2.5 and 1 <= r.cylinder_factor <= r.ghost_factor
