@@ -13,7 +13,7 @@ from pyspark.sql.types import DoubleType, IntegerType, StructField, StructType
 from stkfun import oracle as o
 from stkfun.config import DAY, HOUR, W_EVENTS, DistanceGrid
 from stkfun.functions import geometry as geo
-from stkfun.functions.shared import shared_root
+from stkfun.functions.shared import scratch
 from stkfun.operators import estimate as est
 from stkfun.operators import pairs as pr
 from stkfun.operators import tabular as tab
@@ -34,7 +34,7 @@ _ORDERS = "orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nation
 
 def _files(sp: SparkSession, d: str, fmt: str) -> DataFrame:
     """Points written in one format and read back."""
-    path = f"{shared_root(sp)}/stkfun/points-{uuid.uuid4().hex}"
+    path = scratch(sp, "points")
     p = src.events_skewed(sp, d).select(*src.COLUMNS)
     (p.write.option("header", True).csv(path) if fmt == "csv" else p.write.format(fmt).save(path))
     return src.read_points(sp, path, fmt).select("id", "x", "y", "t0", "mark")
@@ -44,13 +44,13 @@ _POINTS_BACK = f"SELECT id, x, y, t0, mark FROM ({o.POINTS['events_skewed']})"
 
 
 def _partitioned_sink(sp: SparkSession, d: str) -> DataFrame:
-    path = f"{shared_root(sp)}/stkfun/marks-{uuid.uuid4().hex}"
+    path = scratch(sp, "marks")
     src.events_skewed(sp, d).write.partitionBy("mark").parquet(path)
     return sp.read.parquet(path).where("mark = 'click'").groupBy("mark").agg(F.count("*").alias("n"), F.min("t0").alias("t_min"))
 
 
 def _exported(sp: SparkSession, d: str) -> DataFrame:
-    path = f"{shared_root(sp)}/stkfun/map-{uuid.uuid4().hex}"
+    path = scratch(sp, "map")
     tab.export_surface(tab.heat_map(src.events_skewed(sp, d), W_EVENTS, 12, 10), path, "json")
     return sp.read.schema("gx int, gy int, n long").json(path)
 

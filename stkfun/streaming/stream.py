@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from itertools import product
 
 import numpy as np
@@ -11,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from stkfun.config import DistanceGrid
-from stkfun.functions.shared import shared_root
+from stkfun.functions.shared import scratch
 
 
 def event_stream(spark: SparkSession, sf_dir: str, delay: str = "1 day", name: str = "events") -> DataFrame:
@@ -25,8 +24,7 @@ def event_stream(spark: SparkSession, sf_dir: str, delay: str = "1 day", name: s
 def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Run to the end of what is there and return the result as a table."""
     spark = stream.sparkSession
-    name, root = f"s{uuid.uuid4().hex}", shared_root(spark)
-    out = f"{root}/stkfun/{name}"
+    out = scratch(spark, "stream")
     if mode == "append":
         q = stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", f"{out}-log").trigger(availableNow=True).start()
     else:
