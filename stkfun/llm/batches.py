@@ -132,15 +132,15 @@ def gram_hashes(h: np.ndarray, n: int) -> np.ndarray:
 _ODD_INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
 
 
-def run_hashes(h: np.ndarray, n: int) -> np.ndarray:
-    """The same for long runs: differences of prefix sums, shifted to one place."""
-    if len(h) < n:
+def span_hashes(h: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """Hash of any runs of words: differences of prefix sums, shifted to one place."""
+    if not len(starts):
         return np.zeros(0, np.uint64)
-    powers = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(len(h) - 1, _ODD, np.uint64)]))
-    back = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(len(h) - 1, _ODD_INVERSE, np.uint64)]))
+    n = len(h)
+    powers = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(n - 1, _ODD, np.uint64)]))
+    back = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(n - 1, _ODD_INVERSE, np.uint64)]))
     sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(h * powers, dtype=np.uint64)])
-    k = len(h) - n + 1
-    return mixed((sums[n:] - sums[:k]) * back[:k])
+    return mixed((sums[starts + sizes] - sums[starts]) * back[starts] + np.asarray(sizes, np.uint64))
 
 
 def sliding(values: np.ndarray, width: int, best=np.minimum) -> np.ndarray:

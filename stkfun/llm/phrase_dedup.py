@@ -7,17 +7,21 @@ so equal windows meet at equal phrases.
 
 1. All texts list their key phrases (as hashes) with the stretch of windows that
    each one rules; phrases that occur once cannot belong to a repeated window.
-2. Passages are confirmed: the windows of stretches ruled by recurring phrases
-   are counted by (key phrase, hash of all words); those that start at least twice
-   anywhere are confirmed.
+2. Passages are confirmed. A stretch is a passage of one key phrase; equal ones
+   (by key phrase and a hash of all words) are counted, and those that start at
+   least twice are confirmed with all their windows. The windows of all different
+   stretches are counted in the same way, weighed by their stretches' numbers: that
+   confirms what stretches that occur once share with others.
 3. Texts are dealt in blocks of bounded size. A block's shard is an Aho-Corasick
-   automaton of the phrases that rule confirmed windows of its texts. All texts of
-   the block stream through it; around every located phrase the windows that hold
-   it are looked up among the confirmed ones, and those found cover their words.
+   automaton of its texts' confirmed key phrases, with the passages and windows
+   that each of them stands for. All texts of the block stream through it; around
+   every located phrase the words are held against those passages and windows, and
+   what agrees goes.
 
-Counting aggregates before it shuffles, the join with counts has one row for each
-(block, window), and a block is all that a task holds, so no phrase, passage or
-group of copies gathers anywhere, however many texts share it.
+Counting aggregates before it shuffles, a join with counts has one row for each
+(block, stretch) or each window of a stretch that occurs once, and a block is all
+that a task holds, so no phrase, passage or group of copies gathers anywhere,
+however many texts share it.
 
 Whole texts that occur more than once are settled by their count, one of them
 takes part in the search.
@@ -43,7 +47,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stkfun.functions.shared import settle
-from stkfun.llm.batches import gram_hashes, run_hashes, sliding, small_batches, text_bytes, word_hashes, word_spans
+from stkfun.llm.batches import gram_hashes, mixed, sliding, small_batches, span_hashes, text_bytes, word_hashes, word_spans
 
 WINDOW = 35
 PHRASE = 8
@@ -115,51 +119,71 @@ def spread(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
     return np.repeat(starts - np.cumsum(counts) + counts, counts) + np.arange(counts.sum())
 
 
-_MARK = pa.schema([("block", pa.int64()), ("key", pa.int64()), ("h", pa.int64()), ("n", pa.int64()), ("phrase", pa.string())])
+_MARK = pa.schema([("block", pa.int64()), ("key", pa.int64()), ("d", pa.int64()), ("off", pa.int32()), ("many", pa.int32()), ("n", pa.int64()), ("hs", pa.list_(pa.int64())), ("phrase", pa.string())])
+
+
+def passage_hashes(words: np.ndarray, starts: np.ndarray, many: np.ndarray, off: np.ndarray, window: int) -> np.ndarray:
+    """Stands for the words of stretches of ``many`` windows and the place of the phrase in them."""
+    return mixed(span_hashes(words, starts, many + window - 1) + off.astype(np.uint64))
 
 
 def _marker(window: int, phrase: int):
-    """Windows of recurring phrases (block, key, h, n), and the phrases (block, key, phrase)."""
+    """Stretches of recurring phrases (block, key, d, off, many, n, hs) and the phrases (block, key, phrase)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in small_batches(batches, "text", 2 << 20):
+        for batch in small_batches(batches, "text", BLOCK_BYTES):
             raw, off = text_bytes(batch.column("text"))
             starts, ends, first = word_spans(raw, off)
             words = word_hashes(raw, starts, ends)
             runs = batch.column("runs")
-            many = runs.value_lengths().to_numpy(zero_copy_only=False)
             flat = runs.flatten()
-            key, s0, n = (flat.field(k).to_numpy(zero_copy_only=False) for k in range(3))
-            owner = np.repeat(np.arange(batch.num_rows), many)
-            at = spread(first[owner] + s0, n.astype(np.int64))
-            hashed = run_hashes(words, window)[at].view(np.int64)
-            block, copies = batch.column("block").to_numpy(), batch.column("copies").to_numpy()
-            rows = np.stack([np.repeat(x, n) for x in (block[owner], key)] + [hashed], 1)
-            order = np.lexsort(rows.T)
-            rows, weight = rows[order], np.repeat(copies[owner], n)[order]
-            new = np.flatnonzero(np.concatenate([[True], (rows[1:] != rows[:-1]).any(1)]))
-            cols = rows[new].T
-            yield pa.RecordBatch.from_arrays([*(pa.array(np.ascontiguousarray(c)) for c in cols), pa.array(np.add.reduceat(weight, new)), pa.nulls(len(new), pa.string())], schema=_MARK)
+            key, s0, many = (flat.field(k).to_numpy(zero_copy_only=False) for k in range(3))
+            owner = np.repeat(np.arange(batch.num_rows), runs.value_lengths().to_numpy(zero_copy_only=False))
+            head, many = first[owner] + s0, many.astype(np.int64)
             # The phrase of a stretch lies in its first window, where its hash is.
             grams, span = gram_hashes(words, phrase).view(np.int64), np.arange(window - phrase + 1)
-            head = first[owner] + s0
-            place = head + (grams[head[:, None] + span] == key[:, None]).argmax(1)
+            place = (grams[head[:, None] + span] == key[:, None]).argmax(1)
+            d = passage_hashes(words, head, many, place, window).view(np.int64)
+            block, copies = batch.column("block").to_numpy()[owner], batch.column("copies").to_numpy()[owner]
+            order = np.lexsort((block, d, key))
+            new = np.concatenate([[True], (key[order][1:] != key[order][:-1]) | (d[order][1:] != d[order][:-1]) | (block[order][1:] != block[order][:-1])]) if len(order) else np.zeros(0, bool)
+            at, n = order[new], np.add.reduceat(copies[order], np.flatnonzero(new)) if len(order) else np.zeros(0, np.int64)
+            hashed = span_hashes(words, spread(head[at], many[at]), np.full(many[at].sum(), window)).view(np.int64)
+            cuts = np.concatenate([[0], np.cumsum(many[at])]).astype(np.int32)
+            columns = [pa.array(block[at]), pa.array(key[at]), pa.array(d[at]), pa.array(place[at].astype(np.int32)), pa.array(many[at].astype(np.int32)), pa.array(n), pa.ListArray.from_arrays(pa.array(cuts), pa.array(hashed))]
+            yield pa.RecordBatch.from_arrays([*columns, pa.nulls(len(at), pa.string())], schema=_MARK)
             seen, text = {}, raw.tobytes()
-            for b, k, p in zip(block[owner].tolist(), key.tolist(), place.tolist()):
+            for b, k, p in zip(block[at].tolist(), key[at].tolist(), (head + place)[at].tolist()):
                 if (b, k) not in seen:
                     seen[b, k] = b" ".join(text[i:j] for i, j in zip(starts[p : p + phrase], ends[p : p + phrase])).decode()
-            yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in seen], pa.int64()), pa.array([k for _, k in seen], pa.int64()), pa.nulls(len(seen), pa.int64()), pa.nulls(len(seen), pa.int64()), pa.array(list(seen.values()), pa.string())], schema=_MARK)
+            rest = [pa.nulls(len(seen), f.type) for f in _MARK][2:-1]
+            yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in seen], pa.int64()), pa.array([k for _, k in seen], pa.int64()), *rest, pa.array(list(seen.values()), pa.string())], schema=_MARK)
 
     return run
 
 
+class Found:
+    """Values by key, looked up for many keys together."""
+
+    def __init__(self, keys: np.ndarray, *values: np.ndarray):
+        order = np.argsort(keys, kind="stable")
+        self.keys, self.values = keys[order], [v[order] for v in values]
+
+    def pairs(self, asked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(index asked, index here) of all equal keys."""
+        low, high = np.searchsorted(self.keys, asked, "left"), np.searchsorted(self.keys, asked, "right")
+        return np.repeat(np.arange(len(asked)), high - low), spread(low, high - low)
+
+
 class Shard:
-    """The automaton of one block's confirmed phrases and the windows that they rule."""
+    """The automaton of one block's confirmed phrases, and what they stand for.
 
-    def __init__(self, keys: np.ndarray, hashes: np.ndarray, phrases: list[tuple[int, str]], window: int, phrase: int):
-        order = np.argsort(hashes, kind="stable")
-        self.keys, self.hashes, self.window, self.phrase = keys[order], hashes[order], window, phrase
-        wanted = set(keys.tolist())
+    ``windows``: key, hash; ``passages``: key, hash, off, many (windows)."""
+
+    def __init__(self, windows: tuple, passages: tuple, phrases: list[tuple[int, str]], window: int, phrase: int):
+        self.windows, self.passages, self.window, self.phrase = Found(windows[1], windows[0]), Found(*passages), window, phrase
+        wanted = set(windows[0].tolist()) | set(passages[0].tolist())
+        self.loose = np.unique(windows[0])
         # One character for each byte, so that places are byte offsets.
         needles = {" " + p.encode().decode("latin-1") + " ": k for k, p in phrases if k in wanted}
         self.machine = ahocorasick.Automaton()
@@ -169,61 +193,72 @@ class Shard:
             self.machine.make_automaton()
 
     def confirmed(self, words: list[bytes]) -> np.ndarray:
-        """Starts of confirmed windows of a text, one by one as phrases are located."""
+        """Whether each word of a text is covered, as phrases are located in it."""
+        edge = np.zeros(len(words) + 1, np.int64)
         last = len(words) - self.window
-        if last < 0 or not len(self.machine):
-            return np.zeros(0, np.int64)
-        flat = b" ".join(words)
-        found = list(self.machine.iter(" " + flat.decode("latin-1") + " "))
-        if not found:
-            return np.zeros(0, np.int64)
-        raw = np.frombuffer(flat, np.uint8)
-        starts, ends, _ = word_spans(raw, np.array([0, len(raw)]))
-        place = np.searchsorted(ends, np.array([e for e, _ in found]) - 1, "right") - self.phrase
+        if last >= 0 and len(self.machine):
+            flat = b" ".join(words)
+            found = list(self.machine.iter(" " + flat.decode("latin-1") + " "))
+            if found:
+                raw = np.frombuffer(flat, np.uint8)
+                starts, ends, _ = word_spans(raw, np.array([0, len(raw)]))
+                h = word_hashes(raw, starts, ends)
+                place = np.searchsorted(ends, np.array([e for e, _ in found]) - 1, "right") - self.phrase
+                key = np.array([k for _, k in found], np.int64)
+                for a, size in (self._passages(h, place, key), self._windows(h, place, key, last)):
+                    np.add.at(edge, a, 1)
+                    np.add.at(edge, a + size, -1)
+        return np.cumsum(edge)[:-1] > 0
+
+    def _passages(self, h: np.ndarray, place: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        i, j = self.passages.pairs(key)
+        d, off, many = (v[j] for v in self.passages.values)
+        a = place[i] - off
+        fits = (a >= 0) & (a + many + self.window - 1 <= len(h))
+        a, d, off, many = a[fits], d[fits], off[fits], many[fits]
+        same = passage_hashes(h, a, many, off, self.window).view(np.int64) == d
+        return a[same], many[same] + self.window - 1
+
+    def _windows(self, h: np.ndarray, place: np.ndarray, key: np.ndarray, last: int) -> tuple[np.ndarray, int]:
+        some = np.isin(key, self.loose)
+        place, key = place[some], key[some]
         low = np.maximum(place - self.window + self.phrase, 0)
         many = np.maximum(np.minimum(place, last) - low + 1, 0)
-        at, key = spread(low, many), np.repeat(np.array([k for _, k in found]), many)
-        h = run_hashes(word_hashes(raw, starts, ends), self.window).view(np.int64)[at]
-        hit, k = np.zeros(len(at), bool), np.searchsorted(self.hashes, h)
-        alive = np.flatnonzero(k < len(self.hashes))
-        while len(alive):
-            same = self.hashes[k[alive]] == h[alive]
-            hit[alive[same & (self.keys[np.minimum(k[alive], len(self.keys) - 1)] == key[alive])]] = True
-            alive = alive[same]
-            k[alive] += 1
-            alive = alive[k[alive] < len(self.hashes)]
-        return np.unique(at[hit])
+        at, key = spread(low, many), np.repeat(key, many)
+        i, j = self.windows.pairs(span_hashes(h, at, np.full(len(at), self.window)).view(np.int64))
+        return np.unique(at[i[self.windows.values[0][j] == key[i]]]), self.window
 
 
 def _streamer(window: int, phrase: int):
-    """By block: confirmed windows, then phrases, then texts, which are streamed."""
+    """By block: confirmed windows, passages and phrases, then texts, which are streamed."""
+
+    def gathered(parts: list[tuple], width: int) -> tuple:
+        return tuple(np.concatenate([p[k] for p in parts]) if parts else np.zeros(0, np.int64) for k in range(width))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        block, shard, windows, phrases = None, None, [], []
+        block, shard, windows, passages, phrases = None, None, [], [], []
         for batch in batches:
             blocks, kinds = batch.column("block").to_numpy(), batch.column("kind").to_numpy()
             cuts = [0, *(np.flatnonzero((np.diff(blocks) != 0) | (np.diff(kinds) != 0)) + 1).tolist(), len(blocks)] if len(blocks) else []
             uids, gone, kept = [], [], []
             for a, b in zip(cuts, cuts[1:]):
                 if blocks[a] != block:
-                    block, shard, windows, phrases = blocks[a], None, [], []
+                    block, shard, windows, passages, phrases = blocks[a], None, [], [], []
                 part = batch.slice(a, b - a)
+                numbers = lambda *names: tuple(part.column(n).to_numpy(zero_copy_only=False).astype(np.int64) for n in names)  # noqa: B023, E731
                 if kinds[a] == 0:
-                    windows.append((part.column("key").to_numpy(), part.column("h").to_numpy(zero_copy_only=False)))
+                    windows.append(numbers("key", "h"))
                 elif kinds[a] == 1:
+                    passages.append(numbers("key", "h", "off", "many"))
+                elif kinds[a] == 2:
                     phrases += zip(part.column("key").to_pylist(), part.column("text").to_pylist())
                 else:
                     if shard is None:
-                        keys, hashes = (np.concatenate([w[k] for w in windows]) if windows else np.zeros(0, np.int64) for k in (0, 1))
-                        shard = Shard(keys, hashes, phrases, window, phrase)
+                        shard = Shard(gathered(windows, 2), gathered(passages, 4), phrases, window, phrase)
                     for uid, text in zip(part.column("key").to_pylist(), part.column("text").to_pylist()):
                         words = text.encode().split()
-                        at = shard.confirmed(words)
-                        if len(at):
-                            edge = np.zeros(len(words) + 1, np.int64)
-                            edge[at] += 1
-                            edge[at + window] -= 1
-                            out = np.cumsum(edge)[:-1] > 0
+                        out = shard.confirmed(words)
+                        if out.any():
                             uids.append(uid)
                             gone.append(int(out.sum()))
                             kept.append(hashlib.sha256(b" ".join(w for w, g in zip(words, out.tolist()) if not g)).hexdigest())
@@ -274,14 +309,21 @@ def candidates(src: DataFrame, survey: DataFrame, texts: DataFrame, window: int)
 
 def covered(hits: DataFrame, window: int, phrase: int) -> DataFrame:
     """uid, gone, kept: what is left of the texts of ``hits`` that have no copy."""
-    marks = settle(hits.mapInArrow(_marker(window, phrase), "block long, key long, h long, n long, phrase string"), "windows")
-    windows = marks.where("phrase is null").select("block", "key", "h", "n")
-    again = windows.groupBy("key", "h").agg(F.sum("n").alias("n")).where("n > 1").select("key", "h")
-    none = F.lit(None).cast("string")
-    confirmed = windows.select("block", "key", "h").join(again, ["key", "h"]).select("block", F.lit(0).alias("kind"), "key", "h", none.alias("text"))
-    phrases = marks.where("phrase is not null").select("block", F.lit(1).alias("kind"), "key", F.lit(None).cast("long").alias("h"), F.col("phrase").alias("text"))
-    texts = hits.where("copies = 1").select("block", F.lit(2).alias("kind"), F.col("uid").alias("key"), F.lit(None).cast("long").alias("h"), "text")
-    dealt = confirmed.unionByName(phrases).unionByName(texts).repartition("block").sortWithinPartitions("block", "kind")
+    schema = "block long, key long, d long, off int, many int, n long, hs array<long>, phrase string"
+    marks = settle(hits.mapInArrow(_marker(window, phrase), schema), "stretches")
+    stretches = marks.where("phrase is null")
+    counts = settle(stretches.groupBy("key", "d").agg(F.sum("n").alias("n"), F.min("block").alias("block")), "passages")
+    # Each different stretch's windows once: those of one that occurs once carry its block.
+    one = stretches.join(counts.withColumnRenamed("n", "total"), ["key", "d", "block"]).select("block", "key", "total", F.explode("hs").alias("h"))
+    one = settle(one, "windows")
+    again = one.groupBy("key", "h").agg(F.sum("total").alias("total")).where("total > 1").select("key", "h")
+    none, number = F.lit(None).cast("string").alias("text"), lambda n: F.lit(None).cast("int").alias(n)
+    row = lambda kind: ["block", F.lit(kind).alias("kind")]
+    loose = one.where("total = 1").select("block", "key", "h").join(again, ["key", "h"]).select(*row(0), "key", "h", number("off"), number("many"), none)
+    whole = stretches.join(counts.where("n > 1").select("key", "d"), ["key", "d"]).select(*row(1), "key", F.col("d").alias("h"), "off", "many", none)
+    phrases = marks.where("phrase is not null").select(*row(2), "key", F.lit(None).cast("long").alias("h"), number("off"), number("many"), F.col("phrase").alias("text"))
+    texts = hits.where("copies = 1").select(*row(3), F.col("uid").alias("key"), F.lit(None).cast("long").alias("h"), number("off"), number("many"), "text")
+    dealt = loose.unionByName(whole).unionByName(phrases).unionByName(texts).repartition("block").sortWithinPartitions("block", "kind")
     return settle(dealt.mapInArrow(_streamer(window, phrase), "uid long, gone long, kept string"), "removed")
 
 

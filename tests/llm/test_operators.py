@@ -427,17 +427,23 @@ def test_held_out_accuracy(spark):
 
 
 def test_automaton_decides_what_goes():
-    """Windows are looked up where a phrase is located, and nowhere else."""
+    """Passages and windows are held against the words where a phrase is located, and nowhere else."""
     words = [f"w{k}".encode() for k in range(60)]
     raw = np.frombuffer(b" ".join(words), np.uint8)
     starts, ends, _ = phrase_dedup.word_spans(raw, np.array([0, len(raw)]))
-    h = phrase_dedup.run_hashes(phrase_dedup.word_hashes(raw, starts, ends), 35).view(np.int64)
+    h = phrase_dedup.word_hashes(raw, starts, ends)
     phrase = " ".join(f"w{k}" for k in range(20, 28))
-    keys = np.full(3, 5, np.int64)
-    shard = phrase_dedup.Shard(keys, h[[2, 10, 20]], [(5, phrase)], 35, 8)
-    assert shard.confirmed(words).tolist() == [2, 10, 20]
-    assert phrase_dedup.Shard(keys, h[[2, 10, 20]], [], 35, 8).confirmed(words).tolist() == []
-    assert shard.confirmed(words[:21] + [b"other"] + words[21:]).tolist() == []
+    none, key = np.zeros(0, np.int64), np.array([5], np.int64)
+    covered = lambda shard, text: np.flatnonzero(shard.confirmed(text)).tolist()
+    one = phrase_dedup.span_hashes(h, np.array([2]), np.array([35])).view(np.int64)
+    loose = phrase_dedup.Shard((key, one), (none,) * 4, [(5, phrase)], 35, 8)
+    assert covered(loose, words) == list(range(2, 37)) and covered(loose, [b"x"] * 3 + words) == list(range(5, 40))
+    assert covered(loose, words[:21] + [b"other"] + words[21:]) == []
+    at, many, off = np.array([10]), np.array([4]), np.array([10])
+    d = phrase_dedup.passage_hashes(h, at, many, off, 35).view(np.int64)
+    whole = phrase_dedup.Shard((none, none), (key, d, off, many), [(5, phrase)], 35, 8)
+    assert covered(whole, words) == list(range(10, 48)) and covered(whole, words[:40]) == []
+    assert covered(phrase_dedup.Shard((key, one), (key, d, off, many), [], 35, 8), words) == []
 
 
 def test_revealing_terms_by_brute_force(spark):
