@@ -75,7 +75,7 @@ def split_of(doc_id: Column, parts: int) -> Column:
 
 def _featurizer(slots: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in small_batches(batches, "text"):
+        for batch in small_batches(batches, "text", 2 << 20):
             raw, off = text_bytes(batch.column("text"))
             doc, slot, value = hashed_features(raw, off, slots)
             cell, back = np.unique(doc * slots + slot, return_inverse=True)
@@ -152,7 +152,7 @@ def _scorer(weights: np.ndarray, bias: float):
     slots = len(weights)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in small_batches(batches, "text"):
+        for batch in small_batches(batches, "text", 2 << 20):
             raw, off = text_bytes(batch.column("text"))
             doc, slot, value = hashed_features(raw, off, slots)
             dot = np.bincount(doc, weights[slot] * value, batch.num_rows) if len(doc) else np.zeros(batch.num_rows)
@@ -174,7 +174,7 @@ def _keeper(weights: np.ndarray, bias: float, threshold: float, text_at: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in small_batches([batch], batch.schema.names[text_at]):
+            for part in small_batches([batch], batch.schema.names[text_at], 2 << 20):
                 raw, off = text_bytes(part.column(text_at))
                 doc, slot, value = hashed_features(raw, off, slots)
                 dot = np.bincount(doc, weights[slot] * value, part.num_rows) if len(doc) else np.zeros(part.num_rows)

@@ -315,7 +315,7 @@ def forest(fps: np.ndarray, pivots: np.ndarray, max_bits: int) -> np.ndarray:
 def _linker(max_bits: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pivots = pivot_values()
-        held_k, held_f = np.zeros(0, np.int64), np.zeros(0, np.uint64)
+        held: list[tuple[np.ndarray, np.ndarray]] = []
 
         def edges(key: np.ndarray, fps: np.ndarray) -> pa.RecordBatch:
             found = []
@@ -341,16 +341,19 @@ def _linker(max_bits: int):
             return pa.RecordBatch.from_arrays([pa.array(out[:, 0].copy().view(np.int64)), pa.array(out[:, 1].copy().view(np.int64))], ["u", "v"])
 
         for batch in batches:
-            key = np.concatenate([held_k, batch.column("key").to_numpy(zero_copy_only=False)])
-            fps = np.concatenate([held_f, batch.column("fp").to_numpy(zero_copy_only=False).view(np.uint64)])
+            key = batch.column("key").to_numpy(zero_copy_only=False)
+            fps = batch.column("fp").to_numpy(zero_copy_only=False).view(np.uint64)
             if not len(key):
                 continue
+            # All but the last bucket, which may go on, is whole; parts of it are only gathered.
             cut = int(np.flatnonzero(key != key[-1])[-1]) + 1 if (key != key[-1]).any() else 0
-            if cut:
-                yield edges(key[:cut], fps[:cut])
-            held_k, held_f = key[cut:], fps[cut:]
-        if len(held_k):
-            yield edges(held_k, held_f)
+            if cut or held and held[-1][0][-1] != key[0]:
+                held.append((key[:cut], fps[:cut]))
+                yield edges(*(np.concatenate(v) for v in zip(*held)))
+                held = []
+            held.append((key[cut:], fps[cut:]))
+        if held:
+            yield edges(*(np.concatenate(v) for v in zip(*held)))
 
     return run
 
