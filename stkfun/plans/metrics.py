@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable
 from dataclasses import asdict, dataclass
 
@@ -52,6 +53,25 @@ def timed(run: Callable[[], DataFrame]) -> float:
     return time.perf_counter() - begin
 
 
+def measured(spark, run: Callable[[], DataFrame]) -> dict:
+    """``timed``, with what its stages shuffled, spilled and held at once (MB)."""
+    sc, group = spark.sparkContext, uuid.uuid4().hex
+    sc.setJobGroup(group, "measured")
+    try:
+        seconds = timed(run)
+    finally:
+        sc.setLocalProperty("spark.jobGroup.id", None)
+    sc._jsc.sc().listenerBus().waitUntilEmpty()
+    tracker, store = sc.statusTracker(), sc._jsc.sc().statusStore()
+    stages = {i for j in tracker.getJobIdsForGroup(group) for i in tracker.getJobInfo(j).stageIds}
+    ran = [x for x in (store.lastStageAttempt(i) for i in stages) if x.numCompleteTasks()]
+    total = lambda name: sum(getattr(x, name)() for x in ran) / 1e6
+    return {
+        "seconds": seconds, "stages": len(ran), "shuffle_write_mb": total("shuffleWriteBytes"), "shuffle_read_mb": total("shuffleReadBytes"),
+        "spill_mb": total("diskBytesSpilled"), "peak_execution_mb": max((x.peakExecutionMemory() for x in ran), default=0) / 1e6,
+    }
+
+
 def speedup(original: float, optimised: float) -> float:
     return original / optimised
 

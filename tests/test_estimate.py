@@ -13,7 +13,7 @@ from stkfun.operators import partition as part
 from stkfun.operators import simulate as sim
 from stkfun.operators import weight_cache as wc
 from stkfun.config import KJob
-from stkfun.plans import job, planner
+from stkfun.plans import job, metrics, planner
 from stkfun.sources import points as src
 
 SQUARE = StudyWindow(0.0, 10.0, 0.0, 10.0, 0, 100 * HOUR)
@@ -207,3 +207,10 @@ def test_domain_leaves_cover_every_point_evenly(spark):
     p = src.events_skewed(spark, SF)
     r = part.partition_stats(p, W_EVENTS, 5.0, 20 * HOUR, 8, "domain").first()
     assert r.uncovered == 0 and r.max_over_mean < 2.5 and 1 <= r.cylinder_factor <= r.ghost_factor
+
+
+def test_shuffle_and_memory_are_measured(spark):
+    got = metrics.measured(spark, lambda: spark.range(100_000).groupBy((F.col("id") % 1000).alias("k")).count())
+    assert got["shuffle_write_mb"] > 0 and got["shuffle_read_mb"] > 0 and got["stages"] >= 1 and got["spill_mb"] == 0
+    assert metrics.measured(spark, lambda: spark.range(10))["shuffle_write_mb"] == 0
+    assert metrics.acceleration(6.0, 2.0) == 3.0
