@@ -37,6 +37,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from itertools import islice
 
 import ahocorasick
 import numpy as np
@@ -53,6 +54,7 @@ WINDOW = 35
 PHRASE = 8
 BLOCK_BYTES = 1 << 20
 _SALTS = 64
+_HITS = 20_000
 
 
 def key_phrases(hashes: np.ndarray, first: np.ndarray, window: int, phrase: int) -> tuple[np.ndarray, ...]:
@@ -163,16 +165,21 @@ def _marker(window: int, phrase: int):
 
 
 class Found:
-    """Values by key, looked up for many keys together."""
+    """Distinct rows of integers, looked up by the first of them for many values together."""
 
-    def __init__(self, keys: np.ndarray, *values: np.ndarray):
-        order = np.argsort(keys, kind="stable")
-        self.keys, self.values = keys[order], [v[order] for v in values]
+    def __init__(self, *columns: np.ndarray):
+        rows = np.unique(np.stack(columns, 1), axis=0) if len(columns[0]) else np.zeros((0, len(columns)), np.int64)
+        self.columns = [np.ascontiguousarray(c) for c in rows.T]
 
-    def pairs(self, asked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(index asked, index here) of all equal keys."""
-        low, high = np.searchsorted(self.keys, asked, "left"), np.searchsorted(self.keys, asked, "right")
-        return np.repeat(np.arange(len(asked)), high - low), spread(low, high - low)
+    def pairs(self, asked: np.ndarray, most: int = 500_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(index asked, row here) of all equal values, about ``most`` at a time."""
+        low, high = np.searchsorted(self.columns[0], asked, "left"), np.searchsorted(self.columns[0], asked, "right")
+        upto, at = np.cumsum(high - low), 0
+        while at < len(asked):
+            to = max(at + 1, int(np.searchsorted(upto, (upto[at - 1] if at else 0) + most, "right")))
+            many = high[at:to] - low[at:to]
+            yield np.repeat(np.arange(at, to), many), spread(low[at:to], many)
+            at = to
 
 
 class Shard:
@@ -198,35 +205,40 @@ class Shard:
         last = len(words) - self.window
         if last >= 0 and len(self.machine):
             flat = b" ".join(words)
-            found = list(self.machine.iter(" " + flat.decode("latin-1") + " "))
-            if found:
-                raw = np.frombuffer(flat, np.uint8)
-                starts, ends, _ = word_spans(raw, np.array([0, len(raw)]))
-                h = word_hashes(raw, starts, ends)
+            hits, h = self.machine.iter(" " + flat.decode("latin-1") + " "), None
+            while found := list(islice(hits, _HITS)):
+                if h is None:
+                    raw = np.frombuffer(flat, np.uint8)
+                    starts, ends, _ = word_spans(raw, np.array([0, len(raw)]))
+                    h = word_hashes(raw, starts, ends)
+                    each = span_hashes(h, np.arange(last + 1), np.full(last + 1, self.window)).view(np.int64) if len(self.loose) else None
                 place = np.searchsorted(ends, np.array([e for e, _ in found]) - 1, "right") - self.phrase
                 key = np.array([k for _, k in found], np.int64)
-                for a, size in (self._passages(h, place, key), self._windows(h, place, key, last)):
-                    np.add.at(edge, a, 1)
-                    np.add.at(edge, a + size, -1)
+                self._passages(h, place, key, edge)
+                if each is not None:
+                    self._windows(each, place, key, edge)
         return np.cumsum(edge)[:-1] > 0
 
-    def _passages(self, h: np.ndarray, place: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        i, j = self.passages.pairs(key)
-        d, off, many = (v[j] for v in self.passages.values)
-        a = place[i] - off
-        fits = (a >= 0) & (a + many + self.window - 1 <= len(h))
-        a, d, off, many = a[fits], d[fits], off[fits], many[fits]
-        same = passage_hashes(h, a, many, off, self.window).view(np.int64) == d
-        return a[same], many[same] + self.window - 1
-
-    def _windows(self, h: np.ndarray, place: np.ndarray, key: np.ndarray, last: int) -> tuple[np.ndarray, int]:
+    def _passages(self, h: np.ndarray, place: np.ndarray, key: np.ndarray, edge: np.ndarray) -> None:
+        for i, j in self.passages.pairs(key):
+            d, off, many = (c[j] for c in self.passages.columns[1:])
+            a, size = place[i] - off, many + self.window - 1
+            fits = (a >= 0) & (a + size <= len(h))
+            a, size, d, off, many = a[fits], size[fits], d[fits], off[fits], many[fits]
+            same = passage_hashes(h, a, many, off, self.window).view(np.int64) == d
+            np.add.at(edge, a[same], 1)
+            np.add.at(edge, (a + size)[same], -1)
+
+    def _windows(self, each: np.ndarray, place: np.ndarray, key: np.ndarray, edge: np.ndarray) -> None:
         some = np.isin(key, self.loose)
         place, key = place[some], key[some]
         low = np.maximum(place - self.window + self.phrase, 0)
-        many = np.maximum(np.minimum(place, last) - low + 1, 0)
+        many = np.maximum(np.minimum(place, len(each) - 1) - low + 1, 0)
         at, key = spread(low, many), np.repeat(key, many)
-        i, j = self.windows.pairs(span_hashes(h, at, np.full(len(at), self.window)).view(np.int64))
-        return np.unique(at[i[self.windows.values[0][j] == key[i]]]), self.window
+        for i, j in self.windows.pairs(each[at]):
+            a = np.unique(at[i[self.windows.columns[1][j] == key[i]]])
+            edge[a] += 1
+            edge[a + self.window] -= 1
 
 
 def _streamer(window: int, phrase: int):
