@@ -78,9 +78,11 @@ def notice_scores(block: Column, templates: dict[str, list[str]] | None = None)
     """Best (score, name) of one block, as struct(minus, name)."""
     names, weights, norms = template_weights(templates)
     terms = sorted(weights)
-    known = F.array(*[F.lit(t) for t in terms])
-    idf = F.array(*[F.lit(weights[t][0]).cast("long") for t in terms])
-    products = F.array(*[F.array(*[F.lit(weights[t][0] * w).cast("long") for w in weights[t][1:]]) for t in terms])
+    # Constants that the optimizer folds; products hold one run of weights for each term.
+    known = F.split(F.lit(" ".join(terms)), " ")
+    numbers = lambda values: F.split(F.lit(" ".join(map(str, values))), " ").cast("array<long>")
+    idf = numbers(weights[t][0] for t in terms)
+    products = numbers(weights[t][0] * w for t in terms for w in weights[t][1:])
     long = lambda v: F.lit(v).cast("long")
 
     def squared(run: Column, at: Column) -> Column:
@@ -95,7 +97,7 @@ def notice_scores(block: Column, templates: dict[str, list[str]] | None = None)
 
         start = F.struct(F.lit("").alias("term"), F.lit(0).alias("at"), long(0).alias("run"), long(0).alias("sq"))
         norm = F.aggregate(words, start, step, lambda acc: F.sqrt((acc["sq"] + squared(acc["run"], acc["at"])).cast("double")))
-        dots = F.aggregate(F.filter(words, lambda w: w["at"] > 0), F.array_repeat(long(0), len(names)), lambda acc, w: F.zip_with(acc, F.get(products, w["at"] - 1), lambda a, b: a + b))
+        dots = F.aggregate(F.filter(words, lambda w: w["at"] > 0), F.array_repeat(long(0), len(names)), lambda acc, w: F.zip_with(acc, F.slice(products, (w["at"] - 1) * len(names) + 1, F.lit(len(names))), lambda a, b: a + b))
         both = F.struct(norm.alias("norm"), dots.alias("dots"))
         return let(both, lambda v: F.array_min(F.array(*[F.struct((-F.get(v["dots"], F.lit(i)).cast("double") / (v["norm"] * norms[i])).alias("minus"), F.lit(n).alias("name")) for i, n in enumerate(names)])))
 
