@@ -524,3 +524,10 @@ def test_licence_blocks_by_brute_force(spark):
         score, name = brute_notice(t)
         assert got[i].score == pytest.approx(score, abs=1e-9) and got[i].own == (name if score >= license_scan.THRESHOLD else None), t
     assert [got[i].own for i in (0, 1, 2, 3, 6, 9)] == ["MPL-2.0", "MIT", "Apache-2.0", "GPL-3.0", None, "MIT"]
+
+
+def test_periodic_texts_lose_all_words(spark):
+    """Every window of them recurs, at each of very many located phrases."""
+    rows = [(1, "a " * 60_000), (2, "a " * 50), (3, "b c " * 20_000), (4, "d " * 35), (5, "e " * 36)]
+    got = {r.doc_id: (r.n_words, r.n_removed) for r in phrase_dedup.deduplicated(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: (60_000, 60_000), 2: (50, 50), 3: (40_000, 40_000), 4: (35, 0), 5: (36, 36)}
