@@ -328,7 +328,8 @@ def covered(hits: DataFrame, window: int, phrase: int) -> DataFrame:
     # Each different stretch's windows once: those of one that occurs once carry its block.
     one = stretches.join(counts.withColumnRenamed("n", "total"), ["key", "d", "block"]).select("block", "key", "total", F.explode("hs").alias("h"))
     one = settle(one, "windows")
-    again = one.groupBy("key", "h").agg(F.sum("total").alias("total")).where("total > 1").select("key", "h")
+    # Written, so that the join shuffles both sides anew and a hot window's rows can be split.
+    again = settle(one.groupBy("key", "h").agg(F.sum("total").alias("total")).where("total > 1").select("key", "h"), "again")
     none, number = F.lit(None).cast("string").alias("text"), lambda n: F.lit(None).cast("int").alias(n)
     row = lambda kind: ["block", F.lit(kind).alias("kind")]
     loose = one.where("total = 1").select("block", "key", "h").join(again, ["key", "h"]).select(*row(0), "key", "h", number("off"), number("many"), none)
