@@ -305,7 +305,7 @@ _RING85 = geo.ellipse_ring(85)
 def uniform_ring(sp, d) -> DataFrame:
     """Uniform points in an 85-vertex outline, polygon weights: L near 0 (W9)."""
     w = W.with_ring(_RING85)
-    return rounded(est.estimate_k(src.clip(src.events_uniform(sp, d), w), w, G10), "k", "l")
+    return rounded(est.estimate_k(settle(src.clip(src.events_uniform(sp, d), w), "ring"), w, G10), "k", "l")
 
 
 def _uniform_ring_sql() -> str:
