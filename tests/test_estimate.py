@@ -214,3 +214,16 @@ def test_shuffle_and_memory_are_measured(spark):
     assert got["shuffle_write_mb"] > 0 and got["shuffle_read_mb"] > 0 and got["stages"] >= 1 and got["spill_mb"] == 0
     assert metrics.measured(spark, lambda: spark.range(10))["shuffle_write_mb"] == 0
     assert metrics.acceleration(6.0, 2.0) == 3.0
+
+
+def test_pair_searches_broadcast_no_side_of_points(spark):
+    """A centre side that visits 27 cells is as large as its files only in the planner's eyes."""
+    p = src.events_skewed(spark, SF)
+    a = (p, 5.0, 20 * HOUR)
+    found = [pr.pairs_cells(*a, window=W_EVENTS), pr.pairs_cells(*a, window=W_EVENTS, half=True, salt=3), pr.pairs_cellcode(*a, W_EVENTS), pr.pairs_sweep(*a, window=W_EVENTS), pr.pairs_intervals(*a, window=W_EVENTS)]
+    for df in found:
+        df.collect()
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert "SortMergeJoin" in plan and "BroadcastExchange" not in plan
+    line = est.estimate_k_time(p, W_EVENTS, DistanceGrid(1.0, 5, 4 * HOUR, 5))
+    assert "SortMergeJoin [slice" in line._jdf.queryExecution().executedPlan().toString()
