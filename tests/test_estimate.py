@@ -227,3 +227,15 @@ def test_pair_searches_broadcast_no_side_of_points(spark):
         assert "SortMergeJoin" in plan and "BroadcastExchange" not in plan
     line = est.estimate_k_time(p, W_EVENTS, DistanceGrid(1.0, 5, 4 * HOUR, 5))
     assert "SortMergeJoin [slice" in line._jdf.queryExecution().executedPlan().toString()
+
+
+def test_points_beyond_the_window_have_a_leaf(spark):
+    """They are counted in the leaf of the nearest face, and no pair of theirs is lost."""
+    p = make(spark, [(1, 1, 1, HOUR), (2, 9, 9, HOUR), (3, 10.5, 9, HOUR), (4, 12.4, 9, HOUR), (5, -3, 1, 2 * HOUR), (6, -2, 2, 101 * HOUR)])
+    got = part.partition_stats(p, SQUARE, 2.0, 20 * HOUR, 8, "grid").first()
+    assert (got.leaves, got.rows_max, got.empty, got.uncovered) == (8, 3, 5, 0)
+    want = keyset(pr.pairs_cells(p, 2.0, 20 * HOUR))
+    assert (3, 4) in want
+    for scheme in ("grid", "quadtree", "domain"):
+        for replication in ("cylinder", "ghost"):
+            assert keyset(part.pairs_partitioned(p, SQUARE, 2.0, 20 * HOUR, 8, scheme, replication)) == want
