@@ -100,3 +100,13 @@ def test_grids_and_jobs():
         KJob("events", W_EVENTS, g, correction="?").validate()
     assert ring_from_wkt("POLYGON ((0 0, 4 0, 4 3, 0 0))") == ((0, 0), (4, 0), (4, 3))
     assert StudyWindow.from_ring([(0, 0), (4, 0), (4, 3)], "2024-01-01", "2024-01-02").area == 6
+
+
+def test_rectangle_outline_equals_its_formula_outside_and_where_circles_touch(spark):
+    from stkfun.config import W_EVENTS
+    from stkfun.functions import geometry as geo
+
+    rows = spark.createDataFrame([(3.22, 95.0, 5.0), (601.5, 50.0, 5.0), (604.0, 3.0, 5.0), (700.0, 50.0, 5.0), (5.0, 50.0, 5.0), (1.0, 1.0, 0.0)], "x double, y double, d double")
+    for memo in (False, True):
+        got = rows.select(geo.w_space_polygon(geo.rect_ring(W_EVENTS, 9), memo=memo, rect=W_EVENTS)("x", "y", "d").alias("w"), geo.w_space_rect(rows.x, rows.y, rows.d, W_EVENTS).alias("v")).collect()
+        assert all(abs(r.w - r.v) < 1e-9 for r in got), got
