@@ -8,7 +8,7 @@ import pytest
 from stkfun import catalog
 
 SF = "/root/testdata/sf0.001"
-NAMES = ["k_surface_skewed", "k_surface_lines", "k_border", "k_by_type", "k_inhom", "k_cross_types", "k_collapsed", "pairs_cellcode", "pairs_rtree", "cache_hits_permutation", "codec_roundtrip_points", "codec_roundtrip_index", "filters_rollup", "op_join_asof", "stream_incremental_k", "stream_sessions", "kde", "k_strategy_all", "k_plain", "weights_star", "hash_replication", "pairs_interval", "knn", "op_udaf", "op_udf_polygon_sql", "workload_uniform_ring", "sim_static_pairs"]
+NAMES = ["k_surface_skewed", "k_surface_lines", "k_border", "k_by_type", "k_inhom", "k_cross_types", "k_collapsed", "pairs_cellcode", "pairs_rtree", "cache_hits_permutation", "codec_roundtrip_points", "codec_roundtrip_index", "filters_rollup", "op_join_asof", "stream_incremental_k", "stream_sessions", "kde", "k_strategy_all", "k_plain", "weights_star", "hash_replication", "pairs_interval", "knn", "op_udaf", "op_udf_polygon_sql", "workload_uniform_ring", "sim_static_pairs", "codec_roundtrip_envelopes", "op_join_cross_grid", "op_source_generated", "op_udtf"]
 
 
 @pytest.mark.parametrize("name", NAMES)
@@ -25,6 +25,12 @@ def test_query_equals_sql(spark, name):
         assert ((a[c] == b[c]) | (a[c].isna() & b[c].isna())).all(), c
 
 
+@pytest.mark.parametrize("name", ["codec_roundtrip_envelopes", "op_join_cross_grid", "op_source_generated", "op_udtf"])
+def test_query_reads_a_given_table(spark, name):
+    plan = catalog.queries()[name](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
+    assert "parquet" in plan
+
+
 def test_every_sql_has_a_query():
     assert set(catalog.oracle_sql()) <= set(catalog.queries())
 
