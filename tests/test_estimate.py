@@ -239,3 +239,52 @@ def test_points_beyond_the_window_have_a_leaf(spark):
     for scheme in ("grid", "quadtree", "domain"):
         for replication in ("cylinder", "ghost"):
             assert keyset(part.pairs_partitioned(p, SQUARE, 2.0, 20 * HOUR, 8, scheme, replication)) == want
+
+
+def test_time_only_counts_equal_pairs(spark):
+    """Also of equal times, and of points at and beyond the period's ends; the weight sum may exceed a long."""
+    hours = [0, 0, 0, 1, 3, 7.5, 7.5, 40, 59, 61, 96, 99, 99.5, 100, 103, -2, 30, 30.25]
+    p = make(spark, [(i, 1, 1, int(h * HOUR)) for i, h in enumerate(hours)])
+    grid = DistanceGrid(1.0, 1, 5 * HOUR, 4)
+    got = {r.ti: (r.pairs, r.k) for r in est.estimate_k_time(p, SQUARE, grid).collect()}
+    plain = {r.ti: r.k for r in est.estimate_k_time(p, SQUARE, grid, corrected=False).collect()}
+    ts = [int(h * HOUR) for h in hours]
+    for ti in range(1, 5):
+        near = [(a, abs(a - b)) for i, a in enumerate(ts) for j, b in enumerate(ts) if i != j and abs(a - b) <= ti * grid.t_step]
+        w = sum(1 if a - u >= 0 and a + u <= SQUARE.t_end else 2 for a, u in near)
+        pairs = len(ts) * (len(ts) - 1)
+        assert got[ti][0] == len(near) and math.isclose(got[ti][1], 100 / pairs * w) and math.isclose(plain[ti], 100 / pairs * len(near))
+    same = make(spark, [(0, 1, 1, 50 * HOUR)]).drop("id").crossJoin(spark.range(200_000))
+    line = est.estimate_k_time(same, SQUARE, grid).first()
+    assert line.pairs == 200_000 * 199_999 and math.isclose(line.k, 100.0)
+    assert est.estimate_k_time(p.limit(0), SQUARE, grid).where("pairs = 0 and k is null").count() == 4
+
+
+def test_space_only_counts_each_pair_from_both_ends(spark):
+    p = make(spark, [(i, (i * 7) % 11, (i * 5) % 9, i * HOUR) for i in range(40)])
+    got = {r.si: (r.pairs, r.k) for r in est.estimate_k_space(p, StudyWindow(0.0, 10.0, 0.0, 8.0), DistanceGrid(1.0, 3, HOUR, 1), corrected=False).collect()}
+    xy = [((i * 7) % 11, (i * 5) % 9) for i in range(40)]
+    for si in (1, 2, 3):
+        near = sum(math.dist(a, b) <= si for i, a in enumerate(xy) for j, b in enumerate(xy) if i != j)
+        assert got[si][0] == near and math.isclose(got[si][1], 80 / (40 * 39) * near)
+
+
+def test_wide_sums_exceed_a_long(spark):
+    got = spark.range(5).select((F.lit(2**62) - F.col("id")).alias("w"), (-F.col("id")).alias("v")).agg(est.wide_sum(F.col("w")).alias("w"), est.wide_sum(F.col("v")).alias("v")).first()
+    assert (int(got.w), int(got.v)) == (5 * 2**62 - 10, -10)
+
+
+def test_nearest_neighbours_start_where_few_pairs_are_ranked(spark):
+    """Dense places begin with a small radius; those apart are reached by doubling, ties go by id."""
+    rows = [(i, (i % 40) * 0.01, (i // 40) * 0.01, 0) for i in range(1600)] + [(1600, 2, 1, 0), (1601, 2, 1, 0), (1602, 1, 1, HOUR)]
+    p = make(spark, rows)
+    assert pr.first_radius(p, 3, 1.0, 10.0) < 0.05
+    assert pr.first_radius(make(spark, [(i, 1, 1, 0) for i in range(50)]), 3, 1.0, 10.0) == 10.0
+    assert pr.first_radius(p.limit(0), 3, 1.0, 10.0) == 10.0
+    got = {(r.i, r.rank): (r.j, r.r) for r in pr.knn(p, 3, 1.0, 10.0).collect()}
+    assert len(got) == 3 * 1603
+    for i in (0, 41, 820, 1599, 1600, 1602):
+        a = rows[i]
+        want = sorted((math.sqrt((a[1] - b[1]) ** 2 + (a[2] - b[2]) ** 2 + ((a[3] - b[3]) / HOUR) ** 2), b[0]) for b in rows if b[0] != i)[:3]
+        for rank, (r, _) in enumerate(want, 1):
+            assert math.isclose(got[i, rank][1], r, abs_tol=1e-9)
