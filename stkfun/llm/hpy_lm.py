@@ -1,11 +1,15 @@
 """Language-model scores by a hierarchical Pitman-Yor model.
 
-Three levels of restaurants, each the base of the one above:
+Four levels of restaurants, each the base of the one above:
 
-* contexts: one restaurant for each of the ``OWN`` most frequent preceding words,
+* pairs: one restaurant for every preceding word and one for the beginning of a
+  text, whatever their number; their dishes are all words. The parent is the
+  restaurant of the preceding word's class.
+* classes: one restaurant for each of the ``OWN`` most frequent preceding words,
   one for the beginning of a text, and one for each class (a hash) of all other
   preceding words; their dishes are the ``DISHES`` most frequent words and one
-  dish for all others. They share the root restaurant as parent.
+  dish for all others. Their customers are the tables of the pairs. They share the
+  root restaurant as parent.
 * the root, over the same dishes. A word of the shared dish is told apart by the
   lexicon.
 * the lexicon, one restaurant over all words, whose base spells a word byte by
@@ -17,14 +21,19 @@ A text's end is the empty word. Tables are sampled by Gibbs sweeps: the customer
 of a dish leave (with their tables, as the parent's customers) and are seated
 again one after the other, in growing groups once there are many; the restaurants
 of a level are swept side by side against the parent of the last sweep. The first
-sweeps are left out; predictive probabilities are averaged over the others.
-
-Word and pair counts come from all training texts. Pairs are counted by context
-and dish, so the table of pairs has at most (OWN + CLASSES + 1) * (DISHES + 1)
-cells (8.4 million, whatever the input), and as many 4-byte probabilities reach
-the executors; of the lexicon only byte cells (at most 2 ** 24 by construction)
-and ``HOT_WORDS`` words reach the driver. Rarer words meet their probabilities in
-a join. Random numbers are hashes of the word and the sweep, so reruns agree.
+sweeps are left out; predictive probabilities are averaged over the others. Pairs are
+seated first with the lexicon as their parent, for the classes' customers; then, with
+the classes' probabilities, once for each sample. A pair of one token has one table.
+
+Word and pair counts come from all training texts. Every pair of every text goes
+to a bucket (about a million tokens each), once with the texts that hold it: by its
+preceding word, or by both words where that one is frequent. A bucket seats and
+scores its pairs; rarer words meet their counts and probabilities there by a join.
+Classes have at most (OWN + CLASSES + 1) * (DISHES + 1) cells (8.4 million, whatever
+the input), and as many 4-byte probabilities reach the executors; of the lexicon only
+byte cells (at most 2 ** 24 by construction) and ``HOT_WORDS`` words reach the driver,
+and sums over the pairs of each of these words, which lie in several buckets. Random
+numbers are hashes of the words and the sweep, so reruns agree.
 
 Defined cases: null and empty texts hold just the end; a null id counts as the
 empty text in the split (held out); rows are kept one to one, repeated rows
@@ -36,7 +45,7 @@ from __future__ import annotations
 
 from collections import Counter
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -44,7 +53,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stkfun.functions.shared import settle
-from stkfun.llm.batches import lowered, mixed, small_batches, text_bytes, word_hashes, word_spans
+from stkfun.llm.batches import _ODD, lowered, mixed, small_batches, text_bytes, word_hashes, word_spans
 from stkfun.llm.ftrl_quality import split_of
 
 SAMPLES = 3
@@ -57,6 +66,8 @@ STRENGTH = 1.0
 BYTE_DISCOUNT = 0.5
 BYTE_SWEEPS = 5
 _FLUSH = 200_000
+BUCKET_TOKENS = 1 << 20
+BEGIN = np.uint64(0)  # precedes a text's first token; as a hash it is the end's, which precedes nothing
 
 
 def uniforms(ids: np.ndarray, salt: int) -> np.ndarray:
@@ -219,39 +230,6 @@ def _lexicographer(chain: list[tuple[Spelling, Spelling, float, float, int]], di
     return run
 
 
-def _scorer(hot: HotWords, model, n_train: int, n_types: int):
-    """model: broadcast log10 P(dish | context)."""
-    base = np.log10((hot.count + 0.1) / (n_train + 0.1 * (n_types + 1)))
-    shared = float(np.log10(hot.base()[-1]))
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        chance = model.value
-        for batch in small_batches(batches, "text", 2 << 20):
-            n = batch.num_rows
-            h, owner, heads = _tokens(batch)
-            known, at = hot.look_up(h)
-            context, dish = hot.places(known, at, h, heads)
-            other = dish == hot.dishes
-            lp = chance[context, dish] - np.where(other, shared, 0.0)
-            lp[known & other] += hot.lp[at[known & other]]
-            o, a = owner[known], at[known]
-            sums = [np.bincount(o, (hot.count[a] > 0).astype(float), n), np.bincount(o, base[a], n), np.bincount(owner, lp, n)]
-            rare_o, rare_h = owner[~known], h[~known]
-            order = np.lexsort((rare_h, rare_o))
-            rare_o, rare_h = rare_o[order], rare_h[order]
-            new = np.flatnonzero(np.concatenate([[True], (rare_o[1:] != rare_o[:-1]) | (rare_h[1:] != rare_h[:-1])])) if len(rare_o) else np.zeros(0, np.int64)
-            times = np.diff(np.append(new, len(rare_o)))
-            uid = batch.column("uid").to_numpy(zero_copy_only=False)
-            doc = pa.StructArray.from_arrays([batch.column("doc_id"), batch.column("held"), pa.array(np.bincount(owner, minlength=n)), *(pa.array(s) for s in sums)], ["doc_id", "held", "n", "known", "base", "lp"])
-            stub = mixed(uid.view(np.uint64) + np.uint64(0x5851F42D4C957F2D)).view(np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(uid), pa.array(stub), pa.array(np.zeros(n, np.int32)), doc], ["uid", "wh", "times", "doc"])
-            if len(new):
-                none = pa.nulls(len(new), doc.type)
-                yield pa.RecordBatch.from_arrays([pa.array(uid[rare_o[new]]), pa.array(rare_h[new].view(np.int64)), pa.array(times.astype(np.int32)), none], ["uid", "wh", "times", "doc"])
-
-    return run
-
-
 def lexicon(docs: DataFrame, samples: int = SAMPLES) -> tuple[DataFrame, int, int]:
     """(wh, c, lp) for every word of ``docs`` (text, held), training tokens, training types."""
     vocab = docs.select("text", "held").mapInArrow(_counter(), "word string, c long").groupBy("word").agg(F.sum("c").alias("c"))
@@ -289,16 +267,13 @@ class HotWords:
         at = np.minimum(np.searchsorted(self.ids, h), max(len(self.ids) - 1, 0))
         return (self.ids[at] == h if len(self.ids) else np.zeros(len(h), bool)), at
 
-    def places(self, known: np.ndarray, at: np.ndarray, h: np.ndarray, heads: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Context and dish of each token; ``heads`` are the texts' first tokens."""
-        rank = np.full(len(h), HOT_WORDS, np.int64)
-        rank[known] = self.rank[at[known]]
-        dish = np.minimum(rank, self.dishes)
-        own = min(OWN, self.dishes)
-        after = np.where(rank < own, rank, OWN + (h % np.uint64(CLASSES)).astype(np.int64))
-        context = np.concatenate([[0], after[:-1]])[: len(h)]
-        context[heads] = OWN + CLASSES
-        return context, dish
+    def contexts(self, u: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Of preceding words: where sums over all buckets are kept (-1: in the bucket itself), and the class."""
+        known, at = self.look_up(u)
+        rank = np.where(known, self.rank[at], self.dishes) if len(self.ids) else np.full(len(u), self.dishes)
+        context = np.where(rank < min(OWN, self.dishes), rank, OWN + (u % np.uint64(CLASSES)).astype(np.int64))
+        begin = u == BEGIN
+        return np.where(begin, len(self.ids), np.where(known, at, -1)), np.where(begin, OWN + CLASSES, context)
 
     def base(self) -> np.ndarray:
         """The lexicon's probability of every dish, the shared one last."""
@@ -328,28 +303,349 @@ def _tokens(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return h, owner, first[:-1] + np.arange(len(counts))
 
 
-def _pair_counter(hot: HotWords):
-    """cell (context * (dishes + 1) + dish) and count of the training tokens of one task."""
+def _packed(a: np.ndarray) -> bytes:
+    """Compressed, all first bytes of the values in front."""
+    raw = a.view(np.uint8).reshape(len(a), -1).T.tobytes() if len(a) else b""
+    return len(raw).to_bytes(8, "little") + (pa.compress(raw, codec="zstd", asbytes=True) if raw else b"")
+
+
+def _unpacked(b: bytes, kind) -> np.ndarray:
+    size, width = int.from_bytes(b[:8], "little"), np.dtype(kind).itemsize
+    raw = pa.decompress(b[8:], decompressed_size=size, codec="zstd", asbytes=True) if size else b""
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(width, -1).T).view(kind).ravel()
+
+
+def _coded(h: np.ndarray, hot: HotWords) -> tuple[np.ndarray, np.ndarray]:
+    """Words as their places among the frequent ones, or behind those in a list of the others."""
+    known, at = hot.look_up(h)
+    rare = np.unique(h[~known])
+    code = at.astype(np.uint32)
+    code[~known] = len(hot.ids) + np.searchsorted(rare, h[~known])
+    return code, rare
+
+
+def _steps_of(code: np.ndarray) -> np.ndarray:
+    return np.diff(code, prepend=np.uint32(0))
+
+
+def _pairs(batch: pa.RecordBatch, hot: HotWords, buckets: int):
+    """Of all tokens: the word before, the word, the text, the pair's bucket, whether the word and the one
+    before are frequent. A pair lies with its preceding word; where that one is frequent, with a rare word,
+    or else by both."""
+    w, owner, heads = _tokens(batch)
+    known, _ = hot.look_up(w)
+    u, dealt = np.concatenate([w[:1], w[:-1]]), np.concatenate([known[:1], known[:-1]])
+    u[heads], dealt[heads] = BEGIN, True
+    bucket = np.where(dealt, np.where(known, pair_hashes(u, w), mixed(w + _ODD)), mixed(u + _ODD)) % np.uint64(buckets)
+    return u, w, owner, bucket, known, dealt
+
+
+def pair_hashes(u: np.ndarray, w: np.ndarray) -> np.ndarray:
+    return mixed(mixed(u + _ODD) * _ODD + w)
+
+
+_BLOCK = "bucket int, base long, u binary, ru binary, w binary, rw binary, n binary, doc binary, times binary, ids binary, flags binary"
+
+
+def _blocks(hot: HotWords, buckets: int):
+    """For each bucket the distinct pairs of some texts, each with its texts (times two, plus one if held out)
+    and how often it is there; a chunk's ids go to one bucket."""
+    bits = np.uint64(max(1, int(buckets - 1).bit_length()))
+    names = [x.split()[0] for x in _BLOCK.split(", ")]
+    kinds = [pa.int32(), pa.int64(), *[pa.binary()] * 9]
+
+    def places(h: np.ndarray) -> np.ndarray:
+        """24 bits to sort by; equal ones of different rare words do no harm."""
+        known, at = hot.look_up(h)
+        return np.where(known, at.astype(np.uint64), np.uint64(1 << 23) | (h >> np.uint64(41)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cells, counts = np.zeros(0, np.int64), np.zeros(0, np.int64)
-        for batch in small_batches(batches, "text", 2 << 20):
-            h, _, heads = _tokens(batch)
-            context, dish = hot.places(*hot.look_up(h), h, heads)
-            new, n = np.unique(context * (hot.dishes + 1) + dish, return_counts=True)
-            cells, back = np.unique(np.concatenate([cells, new]), return_inverse=True)
-            counts = np.bincount(back, np.concatenate([counts, n]), len(cells)).astype(np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(counts)], ["cell", "c"])
+        for batch in small_batches(batches, "text", 8 << 20):
+            held = batch.column("held").to_numpy(zero_copy_only=False).astype(bool)
+            u, w, owner, bucket, _, _ = _pairs(batch, hot, buckets)
+            key = (bucket << (np.uint64(64) - bits)) | (places(u) << (np.uint64(40) - bits)) | ((places(w) << np.uint64(16)) >> bits)
+            order = np.argsort(key, kind="stable")
+            u, w, owner, bucket = u[order], w[order], owner[order], bucket[order].astype(np.int64)
+            other = np.ones(len(u), bool)
+            other[1:] = (u[1:] != u[:-1]) | (w[1:] != w[:-1])
+            entry = other.copy()
+            entry[1:] |= owner[1:] != owner[:-1]
+            entries, pairs = np.flatnonzero(entry), np.flatnonzero(other)
+            times = np.diff(np.append(entries, len(u))).astype(np.uint32)
+            doc = (owner[entries] * 2 + held[owner[entries]]).astype(np.uint32)
+            first = np.searchsorted(entries, pairs)
+            n = np.diff(np.append(first, len(entries))).astype(np.uint32)
+            base = batch.column("uid")[0].as_py()
+            of, home = bucket[pairs], int(mixed(np.full(1, base, np.uint64))[0] % np.uint64(buckets))
+            rows: list[list] = [[] for _ in names]
+            for b in sorted({home, *np.unique(of).tolist()}):
+                lo, hi = np.searchsorted(of, [b, b + 1])
+                e0, e1 = np.append(first, len(entries))[[lo, hi]]
+                ids = flags = None
+                if b == home:
+                    ids = _packed(batch.column("doc_id").fill_null(0).to_numpy(zero_copy_only=False))
+                    flags = _packed((batch.column("doc_id").is_null().to_numpy(zero_copy_only=False) + 2 * held).astype(np.uint8))
+                uc, ru = _coded(u[pairs[lo:hi]], hot)
+                wc, rw = _coded(w[pairs[lo:hi]], hot)
+                for column, value in zip(rows, (b, base, *map(_packed, (_steps_of(uc), ru, wc, rw, n[lo:hi], doc[e0:e1], times[e0:e1])), ids, flags)):
+                    column.append(value)
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(rows, kinds)], names)
 
     return run
 
 
-def pair_table(docs: DataFrame, hot: HotWords) -> DataFrame:
-    """context, w, c: the dishes of every context restaurant (at most ``DISHES`` + 1) and their customers."""
-    width = hot.dishes + 1
-    cells = docs.where("not held").select("text").mapInArrow(_pair_counter(hot), "cell long, c long").groupBy("cell").agg(F.sum("c").alias("c"))
-    one = cells.select(F.floor(F.col("cell") / width).cast("int").alias("context"), F.struct((F.col("cell") % width).cast("int").alias("w"), "c").alias("z"))
-    return one.groupBy("context").agg(F.sort_array(F.collect_list("z")).alias("z")).select("context", F.col("z.w").alias("w"), F.col("z.c").alias("c"))
+def _rare_words(hot: HotWords, buckets: int):
+    """The rarer words of pairs that lie with a preceding word."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in small_batches(batches, "text", 8 << 20):
+            _, w, _, bucket, known, dealt = _pairs(batch, hot, buckets)
+            w, bucket = w[~known & ~dealt], bucket[~known & ~dealt]
+            _, at = np.unique(mixed(w ^ mixed(bucket + _ODD)), return_index=True)
+            yield pa.RecordBatch.from_arrays([pa.array(bucket[at].astype(np.int32)), pa.array(w[at].view(np.int64))], ["bucket", "wh"])
+
+    return run
+
+
+def _word_blocks(hot: HotWords, buckets: int):
+    """Words by bucket (each rare one by its hash, if none is given), as blocks without texts: their hashes,
+    counts and log probabilities."""
+    names, kinds = [x.split()[0] for x in _BLOCK.split(", ")], [pa.int32(), pa.int64(), *[pa.binary()] * 9]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            values = [batch.column(n).to_numpy(zero_copy_only=False) for n in ("wh", "c", "lp")]
+            if "bucket" in batch.schema.names:
+                bucket = batch.column("bucket").to_numpy(zero_copy_only=False)
+            else:
+                h = values[0].view(np.uint64)
+                rare = ~hot.look_up(h)[0]
+                bucket, values = (mixed(h[rare] + _ODD) % np.uint64(buckets)).astype(np.int32), [v[rare] for v in values]
+            order = np.argsort(bucket, kind="stable")
+            which, first = np.unique(bucket[order], return_index=True)
+            h, c, lp = ([_packed(x) for x in np.split(v[order], first[1:])] if len(which) else [] for v in values)
+            none = [None] * len(which)
+            columns = [which, none, c, none, lp, h, *[none] * 5]
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(columns, kinds)], names)
+
+    return run
+
+
+_BUCKET = "bucket int, u binary, ru binary, w binary, rw binary, wc binary, wlp binary, c binary, n binary, doc binary, times binary, uids binary, ids_of binary, ids binary, flags binary"
+_MODEL = ["u", "ru", "w", "rw", "wc", "wlp", "c"]
+
+
+def _joined(parts: list[np.ndarray], kind) -> np.ndarray:
+    return np.concatenate(parts) if parts else np.zeros(0, kind)
+
+
+def _hashes(code: np.ndarray, rare: np.ndarray, hot: HotWords) -> np.ndarray:
+    return np.concatenate([hot.ids, rare])[code] if len(code) else np.zeros(0, np.uint64)
+
+
+def _gatherer(hot: HotWords):
+    """All blocks of a bucket as one: each pair once, with its training tokens."""
+
+    def run(table: pa.Table) -> pa.Table:
+        us, ws, ns, docs, times, id_uids, ids, flags, wh, wc, wlp = ([] for _ in range(11))
+        for r in sorted(table.to_pylist(), key=lambda r: (r["base"] is None, r["base"] or 0)):
+            if r["base"] is None:
+                for out, name, kind in ((wh, "rw", np.uint64), (wc, "u", np.int64), (wlp, "w", np.float64)):
+                    out.append(_unpacked(r[name], kind))
+                continue
+            us.append(_hashes(np.cumsum(_unpacked(r["u"], np.uint32), dtype=np.uint32), _unpacked(r["ru"], np.uint64), hot))
+            ws.append(_hashes(_unpacked(r["w"], np.uint32), _unpacked(r["rw"], np.uint64), hot))
+            ns.append(_unpacked(r["n"], np.uint32))
+            times.append(_unpacked(r["times"], np.uint32))
+            docs.append(_unpacked(r["doc"], np.uint32).astype(np.int64) + 2 * r["base"])
+            if r["ids"] is not None:
+                ids.append(_unpacked(r["ids"], np.int64))
+                flags.append(_unpacked(r["flags"], np.uint8))
+                id_uids.append(np.arange(len(ids[-1])) + r["base"])
+        (u, ru), (w, rw) = _coded(_joined(us, np.uint64), hot), _coded(_joined(ws, np.uint64), hot)
+        n, doc, time = _joined(ns, np.uint32).astype(np.int64), _joined(docs, np.int64), _joined(times, np.uint32)
+        key = (u.astype(np.uint64) << np.uint64(32)) | w
+        order = np.argsort(key, kind="stable")
+        key, starts, n = key[order], (np.cumsum(n) - n)[order], n[order]
+        at = np.repeat(starts - (np.cumsum(n) - n), n) + np.arange(len(doc))
+        doc, time = doc[at], time[at]
+        pairs = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
+        first, key = (np.cumsum(n) - n)[pairs], key[pairs]
+        trained = np.where(doc & 1, 0, time).astype(np.int64)
+        c = np.add.reduceat(trained, first) if len(first) else np.zeros(0, np.int64)
+        n = np.diff(np.append(first, len(doc))).astype(np.uint32)
+        uids, doc = np.unique(doc >> 1, return_inverse=True)
+        wh, where = np.unique(_joined(wh, np.uint64), return_index=True)
+        at = np.searchsorted(wh, rw)
+        if len(rw) and (not len(wh) or (wh[np.minimum(at, len(wh) - 1)] != rw).any()):
+            raise RuntimeError("the texts have changed between two readings")
+        values = (_steps_of((key >> np.uint64(32)).astype(np.uint32)), ru, key.astype(np.uint32), rw, _joined(wc, np.int64)[where][at], _joined(wlp, np.float64)[where][at])
+        values += (c, n, doc.astype(np.uint32), time, np.diff(uids, prepend=0), _joined(id_uids, np.int64), _joined(ids, np.int64), _joined(flags, np.uint8))
+        names = [x.split()[0] for x in _BUCKET.split(", ")]
+        return pa.table([pa.array([table.column("bucket")[0].as_py()], pa.int32()), *(pa.array([_packed(v)], pa.binary()) for v in values)], names=names)
+
+    return run
+
+
+@dataclass
+class Seating:
+    """What all buckets need to know: for frequent preceding words their tokens, pairs and tables in all
+    buckets (of the first seating, then of each sample), and log10 P(dish | class) (broadcast)."""
+
+    hot: HotWords
+    discount: float
+    tokens: np.ndarray
+    tables: tuple
+    chance: object = None
+
+    @property
+    def shared(self) -> float:
+        return float(np.log10(self.hot.base()[-1]))
+
+
+class Bucket:
+    """The pairs of a bucket: ``of`` counts their preceding words through, ``slot`` is -1 for one that has no
+    pairs elsewhere, ``dish`` and ``lp`` are the word's place in the classes and its lexicon probability."""
+
+    def __init__(self, row: dict, hot: HotWords):
+        u, w = np.cumsum(_unpacked(row["u"], np.uint32), dtype=np.uint32), _unpacked(row["w"], np.uint32)
+        self.c, rw = _unpacked(row["c"], np.int64), _unpacked(row["rw"], np.uint64)
+        self.u, self.w = _hashes(u, _unpacked(row["ru"], np.uint64), hot), _hashes(w, rw, hot)
+        heads = np.flatnonzero(np.concatenate([[True], u[1:] != u[:-1]])) if len(u) else np.zeros(0, np.int64)
+        self.of, self.width = np.repeat(np.arange(len(heads)), np.diff(np.append(heads, len(u)))), len(heads)
+        self.slot, context = hot.contexts(self.u[heads])
+        self.context = context[self.of]
+        rest = np.full(len(rw), hot.dishes)
+        self.dish = np.concatenate([np.minimum(hot.rank, hot.dishes), rest])[w]
+        self.lp = np.concatenate([hot.lp, _unpacked(row["wlp"], np.float64)])[w]
+        self.words = np.concatenate([hot.count, _unpacked(row["wc"], np.int64)])[w]
+
+    def by_context(self, values: np.ndarray, everywhere: np.ndarray | None) -> np.ndarray:
+        """Sums for each pair's preceding word: the bucket's own, or those of all buckets."""
+        own = np.bincount(self.of, values, self.width)
+        if everywhere is not None:
+            own = np.where(self.slot >= 0, everywhere[self.slot], own)
+        return own[self.of]
+
+    def parent(self, s: Seating) -> np.ndarray:
+        """Each pair's probability by the class of its preceding word."""
+        rest = self.dish == s.hot.dishes
+        return 10.0 ** (s.chance.value[self.context, self.dish].astype(np.float64) + np.where(rest, self.lp - s.shared, 0.0))
+
+    def seated(self, s: Seating, parent: np.ndarray, before: np.ndarray, salt: int) -> np.ndarray:
+        """Tables of each pair, given those that its preceding word had before."""
+        tables = np.minimum(self.c, 1).astype(np.float64)
+        live = np.flatnonzero(self.c > 1)
+        tables[live] = seat(self.c[live], (STRENGTH + s.discount * before[live]) * parent[live], s.discount, pair_hashes(self.u[live], self.w[live]), salt)
+        return tables
+
+    def first_tables(self, s: Seating) -> np.ndarray:
+        """The first seating: a table for each pair before, the lexicon as the parent."""
+        pairs = self.by_context(np.minimum(self.c, 1), s.tables[0])
+        return self.seated(s, 10.0**self.lp, pairs, 17)
+
+    def samples(self, s: Seating, samples: int) -> tuple[np.ndarray, list[np.ndarray]]:
+        parent, before = self.parent(s), self.by_context(self.first_tables(s), s.tables[1])
+        return parent, [self.seated(s, parent, before, 19 + k) for k in range(samples)]
+
+
+_CHUNK = 4096  # slots in a row of sums
+
+
+def _sums(hot: HotWords, of_bucket, cells: bool):
+    """Sums over the buckets of one task: key < _CONTEXTS: a class's dishes; then slots in chunks; -1: pairs
+    of one and of two tokens. ``of_bucket`` gives the values of pairs: the first is counted in classes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        wide, slots, few = hot.dishes + 1, None, np.zeros(2, np.int64)
+        grid = np.zeros(_CONTEXTS * wide if cells else 0, np.int64)
+        for batch in batches:
+            for k in range(batch.num_rows):
+                b = Bucket({n: batch.column(n)[k].as_py() for n in _MODEL}, hot)
+                values = of_bucket(b)
+                if slots is None:
+                    slots = np.zeros((len(hot.ids) + 1, len(values)), np.int64)
+                for j, v in enumerate(values):
+                    own = np.bincount(b.of, v, b.width).astype(np.int64)
+                    np.add.at(slots[:, j], b.slot[b.slot >= 0], own[b.slot >= 0])
+                if cells:
+                    cell, back = np.unique(b.context * wide + b.dish, return_inverse=True)
+                    grid[cell] += np.bincount(back, values[0], len(cell)).astype(np.int64)
+                few += (b.c == 1).sum(), (b.c == 2).sum()
+        if slots is None:
+            return
+        out = [(k, grid[k * wide : k * wide + wide]) for k in range(_CONTEXTS if cells else 0)]
+        out += [(_CONTEXTS + k // _CHUNK, slots[k : k + _CHUNK].ravel()) for k in range(0, len(slots), _CHUNK)]
+        for key, v in [*out, (-1, few)]:
+            yield pa.RecordBatch.from_arrays([pa.array([key], pa.int32()), pa.array([_packed(v)], pa.binary())], ["key", "v"])
+
+    return run
+
+
+def _added(table: pa.Table) -> pa.Table:
+    total = 0
+    for v in table.column("v").to_pylist():
+        total = total + _unpacked(v, np.int64)
+    return pa.table([table.column("key").slice(0, 1), pa.array([_packed(total)], pa.binary())], names=["key", "v"])
+
+
+def _dish_lists(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for key, v in zip(batch.column("key").to_pylist(), batch.column("v").to_pylist()):
+            v = _unpacked(v, np.int64)
+            w = np.flatnonzero(v)
+            if len(w):
+                yield pa.RecordBatch.from_arrays([pa.array([key], pa.int32()), pa.array([w.astype(np.int32)]), pa.array([v[w]])], ["context", "w", "c"])
+
+
+def summed(state: DataFrame, hot: HotWords, of_bucket, width: int, cells: bool) -> tuple[DataFrame | None, np.ndarray, np.ndarray]:
+    """Classes with their customers (context, w, c), sums by slot, and the numbers of pairs of one and two tokens."""
+    got = state.select(*_MODEL).mapInArrow(_sums(hot, of_bucket, cells), "key int, v binary")
+    got = settle(got.groupBy("key").applyInArrow(_added, "key int, v binary"), "sums")
+    slots, few = np.zeros((len(hot.ids) + 1, width), np.int64), np.zeros(2, np.int64)
+    for r in got.where(f"key < 0 or key >= {_CONTEXTS}").collect():
+        v = _unpacked(r.v, np.int64)
+        if r.key < 0:
+            few = v
+        else:
+            slots[(r.key - _CONTEXTS) * _CHUNK :][:_CHUNK] = v.reshape(-1, width)
+    return got.where(f"key >= 0 and key < {_CONTEXTS}").mapInArrow(_dish_lists, "context int, w array<int>, c array<long>") if cells else None, slots, few
+
+
+def pair_buckets(src: DataFrame, words: DataFrame, hot: HotWords, n: int) -> DataFrame:
+    """One row for each bucket of pairs, of about ``BUCKET_TOKENS`` tokens."""
+    buckets = 4 + n // BUCKET_TOKENS
+    marked = src.select(F.monotonically_increasing_id().alias("uid"), "doc_id", "held", "text")
+    rare = src.select("text").mapInArrow(_rare_words(hot, buckets), "bucket int, wh long").join(words, "wh").select("bucket", "wh", "c", "lp")
+    lexical = [df.mapInArrow(_word_blocks(hot, buckets), _BLOCK) for df in (words.select("wh", "c", "lp"), rare)]
+    every = marked.mapInArrow(_blocks(hot, buckets), _BLOCK).unionByName(lexical[0]).unionByName(lexical[1])
+    return settle(every.groupBy("bucket").applyInArrow(_gatherer(hot), _BUCKET), "pairs")
+
+
+def _scorer(s: Seating, samples: int, n_train: int, n_types: int):
+    """What each bucket's pairs add to the sums of their texts; a text's id is with one of them."""
+    names = ["uid", "n", "known", "base", "lp", "doc_id", "held"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                b = Bucket(row, s.hot)
+                parent, tables = b.samples(s, samples)
+                total, p = STRENGTH + b.by_context(b.c, s.tokens), np.zeros(len(b.c))
+                for k, t in enumerate(tables):
+                    p += b.c - s.discount * t + (STRENGTH + s.discount * b.by_context(t, s.tables[2 + k])) * parent
+                lp = np.log10(np.maximum(p / samples / total, 1e-300))
+                base = np.log10((b.words + 0.1) / (n_train + 0.1 * (n_types + 1)))
+                uids, doc, times = np.cumsum(_unpacked(row["uids"], np.int64)), _unpacked(row["doc"], np.uint32), _unpacked(row["times"], np.uint32).astype(np.float64)
+                pair = np.repeat(np.arange(len(lp)), _unpacked(row["n"], np.uint32))
+                sums = [np.bincount(doc, times * v[pair], len(uids)) for v in (np.ones(len(lp)), b.words > 0, base, lp)]
+                none = pa.nulls(len(uids), pa.int64()), pa.nulls(len(uids), pa.bool_())
+                yield pa.RecordBatch.from_arrays([pa.array(uids), *map(pa.array, sums), *none], names)
+                ids, flags = _unpacked(row["ids"], np.int64), _unpacked(row["flags"], np.uint8)
+                zero = pa.array(np.zeros(len(ids)))
+                yield pa.RecordBatch.from_arrays([pa.array(_unpacked(row["ids_of"], np.int64)), zero, zero, zero, zero, pa.array(ids, mask=(flags & 1).astype(bool)), pa.array((flags & 2) > 0)], names)
+
+    return run
 
 
 def rate(n1: float, n2: float) -> float:
@@ -380,18 +676,12 @@ class Root:
         return Root(self.base, customers, np.minimum(tables, customers), d)
 
 
-def predictive(w: np.ndarray, c: np.ndarray, t: np.ndarray, discount: float, parent: np.ndarray) -> np.ndarray:
-    """Probabilities of all dishes in one context restaurant."""
-    p = (STRENGTH + discount * t.sum()) * parent
-    p[w] += c - discount * t
-    return p / (STRENGTH + c.sum())
-
-
-_STATE = "context int, w array<int>, c array<long>, t array<long>, p array<float>"
+_STATE = "context int, w array<int>, c array<long>, t array<long>, p array<float>, back array<double>"
 
 
 def _context_sweep(root: Root, discount: float, add: bool, salt: int | None):
-    """Add the predictive probabilities of the present seating, then seat all customers again."""
+    """Add the predictive probabilities of the present seating, what the dishes have of their own (p) and the
+    weight of the parent by sample (back), then seat all customers again."""
 
     def lists(values: list[np.ndarray], kind) -> pa.ListArray:
         cuts = np.cumsum([0, *map(len, values)]).astype(np.int32)
@@ -402,13 +692,14 @@ def _context_sweep(root: Root, discount: float, add: bool, salt: int | None):
         for batch in batches:
             for k in range(batch.num_rows):
                 context = batch.column("context")[k].as_py()
-                w, c, t, p = (batch.column(n)[k].values.to_numpy(zero_copy_only=False) for n in ("w", "c", "t", "p"))
+                w, c, t, p, back = (batch.column(n)[k].values.to_numpy(zero_copy_only=False) for n in ("w", "c", "t", "p", "back"))
                 if add:
-                    p = predictive(w, c, t, discount, parent.copy()) + (p if len(p) else 0)
+                    p = (c - discount * t) / (STRENGTH + c.sum()) + (p if len(p) else 0)
+                    back = np.append(back, (STRENGTH + discount * t.sum()) / (STRENGTH + c.sum()))
                 if salt is not None:
                     pull = (STRENGTH + discount * t.sum()) * root.chance(t, w)
                     t = seat(c, pull, discount, (context * len(parent) + w).astype(np.uint64), salt).astype(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array([context], pa.int32()), lists([w], pa.int32()), lists([c], pa.int64()), lists([t], pa.int64()), lists([np.asarray(p, np.float32)], pa.float32())], ["context", "w", "c", "t", "p"])
+                yield pa.RecordBatch.from_arrays([pa.array([context], pa.int32()), lists([w], pa.int32()), lists([c], pa.int64()), lists([t], pa.int64()), lists([np.asarray(p, np.float32)], pa.float32()), lists([back], pa.float64())], ["context", "w", "c", "t", "p", "back"])
 
     return run
 
@@ -427,7 +718,7 @@ def _table_counter(width: int):
 def context_model(table: DataFrame, base: np.ndarray, samples: int = SAMPLES, burn_in: int = BURN_IN) -> np.ndarray:
     """log10 P(dish | context), averaged over the samples."""
     width = len(base)
-    state = table.select("context", "w", "c", F.transform("c", lambda x: F.lit(1).cast("long")).alias("t"), F.array().cast("array<float>").alias("p"))
+    state = table.select("context", "w", "c", F.transform("c", lambda x: F.lit(1).cast("long")).alias("t"), F.array().cast("array<float>").alias("p"), F.array().cast("array<double>").alias("back"))
     state = settle(state.repartition(16, "context"), "contexts")
     few = state.agg(F.sum(F.size(F.filter("c", lambda x: x == 1))).alias("a"), F.sum(F.size(F.filter("c", lambda x: x == 2))).alias("b")).first()
     discount = rate(few.a or 0, few.b or 0)
@@ -437,19 +728,21 @@ def context_model(table: DataFrame, base: np.ndarray, samples: int = SAMPLES, bu
 
     customers = tables_of(state)
     root = Root(base, customers, np.minimum(customers, 1), 0.5).reseated(customers, 1)
-    mean = np.zeros(width)
+    roots = []
     for k in range(burn_in + samples + 1):
         add, last = k > burn_in, k == burn_in + samples
-        mean += root.chance() if add else 0
+        roots += [root.chance()] if add else []
         state = settle(state.mapInArrow(_context_sweep(root, discount, add, None if last else 31 * k + 7), _STATE), "contexts")
         if not last:
             root = root.reseated(tables_of(state), 31 * k + 8)
     out = np.empty((_CONTEXTS, width), np.float32)
-    out[:] = mean
+    out[:] = sum(roots)
     for part in range(8):  # an eighth at a time: neither side holds two copies of it all
-        got = state.where(F.col("context") % 8 == part).select("context", "p").toArrow()
-        for context, p in zip(got.column("context").to_pylist(), got.column("p")):
-            out[context] = p.values.to_numpy()
+        got = state.where(F.col("context") % 8 == part).select("context", "w", "p", "back").toArrow()
+        for context, w, p, back in zip(got.column("context").to_pylist(), got.column("w"), got.column("p"), got.column("back")):
+            row = sum(b * r for b, r in zip(back.as_py(), roots))
+            row[w.values.to_numpy()] += p.values.to_numpy()
+            out[context] = row
     out /= np.float32(samples)
     np.maximum(out, np.float32(1e-37), out=out)
     return np.log10(out, out=out)
@@ -461,18 +754,21 @@ def scored(docs: DataFrame, parts: int = 10, samples: int = SAMPLES, id_col: str
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), (split_of(F.col(id_col), parts) == 0).alias("held"), F.col(text_col).cast("string").alias("text"))
     words, n, v = lexicon(src, samples)
     hot = hot_words(words)
-    model = docs.sparkSession.sparkContext.broadcast(context_model(pair_table(src, hot), hot.base(), samples))
-    marked = src.select(F.monotonically_increasing_id().alias("uid"), "doc_id", "held", "text")
-    schema = "uid long, wh long, times int, doc struct<doc_id:long,held:boolean,n:long,known:double,base:double,lp:double>"
-    rows = marked.mapInArrow(_scorer(hot, model, n, v), schema).join(words, "wh", "left")
-    base = F.col("times") * F.log10((F.coalesce("c", F.lit(0)) + 0.1) / F.lit(n + 0.1 * (v + 1)))
+    state = pair_buckets(src, words, hot, n)
+    _, slots, few = summed(state, hot, lambda b: [np.minimum(b.c, 1), b.c], 2, False)
+    first = Seating(hot, rate(*few), slots[:, 1], (slots[:, 0],))
+    classes, slots, _ = summed(state, hot, lambda b: [b.first_tables(first)], 1, True)
+    final = replace(first, tables=(*first.tables, slots[:, 0]), chance=docs.sparkSession.sparkContext.broadcast(context_model(classes, hot.base(), samples)))
+    _, slots, _ = summed(state, hot, lambda b: b.samples(final, samples)[1], samples, False)
+    final = replace(final, tables=(*final.tables, *slots.T))
+    rows = state.mapInArrow(_scorer(final, samples, n, v), "uid long, n double, known double, base double, lp double, doc_id long, held boolean")
     sums = rows.groupBy("uid").agg(
-        F.max("doc.doc_id").alias("doc_id"),
-        F.max(F.col("doc.held").cast("int")).alias("held"),
-        F.max("doc.n").alias("n_tokens"),
-        (F.sum(F.coalesce("doc.known", F.lit(0.0))) + F.sum(F.when(F.col("c") > 0, F.col("times")).otherwise(0))).alias("n_known"),
-        F.sum(F.coalesce("doc.base", base)).alias("base_score"),
-        F.sum(F.coalesce("doc.lp", F.col("times") * F.col("lp"))).alias("score"),
+        F.max("doc_id").alias("doc_id"),
+        F.max(F.col("held").cast("int")).alias("held"),
+        F.round(F.sum("n")).cast("long").alias("n_tokens"),
+        F.sum("known").alias("n_known"),
+        F.sum("base").alias("base_score"),
+        F.sum("lp").alias("score"),
     )
     return sums.select("doc_id", (F.col("held") == 1).alias("held_out"), "n_tokens", F.round("n_known").cast("long").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), "base_score", "score", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens")).alias("perplexity"))
 

@@ -217,6 +217,75 @@ def test_language_model_hears_the_order_of_words(spark):
     assert got[2000].score > got[2001].score  # unseen words are spelled, longer ones are less likely
 
 
+def test_pairs_of_rare_words_have_restaurants(spark, monkeypatch):
+    """Four dishes and eight words in memory: the order of all other words is heard no less."""
+    rng = np.random.default_rng(4)
+    follow = rng.permutation(40)
+    rows = []
+    for i in range(400):
+        w = [int(rng.integers(40))]
+        while len(w) < 30:
+            w.append(int(follow[w[-1]]) if rng.random() < 0.8 else int(rng.integers(40)))
+        rows.append((i, " ".join(f"v{x}" for x in w)))
+    rows += [(1000 + k, " ".join(reversed(rows[k][1].split()))) for k in range(20)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    monkeypatch.setattr(hpy_lm, "DISHES", 4)
+    many = {r.doc_id: r.score for r in hpy_lm.scored(docs).collect()}
+    monkeypatch.setattr(hpy_lm, "HOT_WORDS", 8)
+    few = {r.doc_id: r.score for r in hpy_lm.scored(docs).collect()}
+    assert few == pytest.approx(many, rel=1e-9)
+    assert sum(few[k] - few[1000 + k] for k in range(20)) > 20 * 10
+
+
+def test_pair_restaurants_by_brute_force(spark, monkeypatch):
+    """Pairs of one training token leave nothing to chance; buckets and tiers of words do not matter."""
+    monkeypatch.setattr(hpy_lm, "HOT_WORDS", 6)
+    monkeypatch.setattr(hpy_lm, "DISHES", 3)
+    rows = [(k, " ".join(f"w{(k + 1) * j % 31}" for j in range(1, 9))) for k in range(14)]
+    seen, kept = set(), []
+    for i, text in rows:
+        w = ["^", *text.split(), ""]
+        pairs = set(zip(w, w[1:]))
+        if zlib.crc32(str(i).encode()) % 10 == 0 or not pairs & seen:
+            kept.append((i, text))
+            seen |= pairs if zlib.crc32(str(i).encode()) % 10 else set()
+    held = lambda i: zlib.crc32(str(i).encode()) % 10 == 0
+    if not any(held(i) for i, _ in kept):
+        kept.append((next(i for i in range(100, 200) if held(i)), rows[0][1] + " w1 unseen"))
+    src = spark.createDataFrame([(i, held(i), t) for i, t in kept], "doc_id long, held boolean, text string")
+    words_, n, v = hpy_lm.lexicon(src, 1)
+    hot = hpy_lm.hot_words(words_)
+    state = hpy_lm.pair_buckets(src, words_, hot, n)
+    _, slots, few = hpy_lm.summed(state, hot, lambda b: [np.minimum(b.c, 1), b.c], 2, False)
+    count, ctx = Counter(), Counter()
+    for i, t in kept:
+        if not held(i):
+            w = ["^", *t.split(), ""]
+            count.update(zip(w, w[1:]))
+            ctx.update(w[:-1])
+    assert max(count.values()) == 1 and few.tolist() == [len(count), 0]
+    d = hpy_lm.rate(*few)
+    chance = type("Chance", (), {"value": np.full((hpy_lm._CONTEXTS, hot.dishes + 1), np.log10(1 / (hot.dishes + 1)))})()
+    s = hpy_lm.Seating(hot, d, slots[:, 1], (slots[:, 0],) * 4, chance)
+    got = Counter()
+    for batch in hpy_lm._scorer(s, 2, n, v)(iter(state.toArrow().to_batches())):
+        for r in batch.to_pylist():
+            got[r["uid"]] += r["lp"]
+    lexicon = {r.wh: r.lp for r in words_.collect()}
+    top = {int(h) for h, k in zip(hot.ids.view(np.int64), hot.rank) if k < hot.dishes}
+    want = []
+    for _, t in kept:
+        w = ["^", *t.split(), ""]
+        total = 0.0
+        for a, b in zip(w, w[1:]):
+            raw = np.frombuffer(b.encode(), np.uint8)
+            h = int(hpy_lm.word_hashes(raw, np.zeros(1, np.int64), np.full(1, len(raw)))[:1].view(np.int64)[0])
+            parent = 1 / (hot.dishes + 1) * (1 if h in top else 10 ** lexicon[h] / hot.base()[-1])
+            total += math.log10((count[a, b] * (1 - d) + (1 + d * ctx[a]) * parent) / (1 + ctx[a]))
+        want.append(total)
+    assert sorted(got.values()) == pytest.approx(sorted(want), rel=1e-6)
+
+
 def test_context_restaurants_by_brute_force(spark):
     """Customers seated alone leave nothing to chance: the three levels by their formulas."""
     width = 6
