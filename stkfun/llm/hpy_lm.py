@@ -622,9 +622,28 @@ def pair_buckets(src: DataFrame, words: DataFrame, hot: HotWords, n: int) -> Dat
     return settle(every.groupBy("bucket").applyInArrow(_gatherer(hot), _BUCKET), "pairs")
 
 
+_RANGE = 12  # bits of the numbers of the texts that are summed together
+_PART = "range long, uid binary, n binary, known binary, base binary, lp binary, ids binary, flags binary"
+
+
+def _text_sums(table: pa.Table) -> pa.Table:
+    """One row for each text of a range."""
+    parts, ids = [r for r in table.to_pylist() if r["ids"] is None], [r for r in table.to_pylist() if r["ids"] is not None]
+    uid = _joined([_unpacked(r["uid"], np.int64) for r in ids], np.int64)
+    order = np.argsort(uid)
+    uid, doc_id, flags = uid[order], _joined([_unpacked(r["ids"], np.int64) for r in ids], np.int64)[order], _joined([_unpacked(r["flags"], np.uint8) for r in ids], np.uint8)[order]
+    sums = np.zeros((4, len(uid)))
+    for r in parts:
+        at = np.searchsorted(uid, _unpacked(r["uid"], np.int64))
+        for total, name in zip(sums, ("n", "known", "base", "lp")):
+            total[at] += _unpacked(r[name], np.float64)
+    n, known = (np.round(x).astype(np.int64) for x in sums[:2])
+    return pa.table([pa.array(doc_id, mask=(flags & 1).astype(bool)), pa.array((flags & 2) > 0), pa.array(n), pa.array(known), pa.array(sums[2]), pa.array(sums[3])], names=["doc_id", "held", "n_tokens", "n_known", "base_score", "score"])
+
+
 def _scorer(s: Seating, samples: int, n_train: int, n_types: int):
-    """What each bucket's pairs add to the sums of their texts; a text's id is with one of them."""
-    names = ["uid", "n", "known", "base", "lp", "doc_id", "held"]
+    """What each bucket's pairs add to the sums of their texts, by ranges of texts; a text's id is with one of them."""
+    names = [x.split()[0] for x in _PART.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -639,11 +658,14 @@ def _scorer(s: Seating, samples: int, n_train: int, n_types: int):
                 uids, doc, times = np.cumsum(_unpacked(row["uids"], np.int64)), _unpacked(row["doc"], np.uint32), _unpacked(row["times"], np.uint32).astype(np.float64)
                 pair = np.repeat(np.arange(len(lp)), _unpacked(row["n"], np.uint32))
                 sums = [np.bincount(doc, times * v[pair], len(uids)) for v in (np.ones(len(lp)), b.words > 0, base, lp)]
-                none = pa.nulls(len(uids), pa.int64()), pa.nulls(len(uids), pa.bool_())
-                yield pa.RecordBatch.from_arrays([pa.array(uids), *map(pa.array, sums), *none], names)
-                ids, flags = _unpacked(row["ids"], np.int64), _unpacked(row["flags"], np.uint8)
-                zero = pa.array(np.zeros(len(ids)))
-                yield pa.RecordBatch.from_arrays([pa.array(_unpacked(row["ids_of"], np.int64)), zero, zero, zero, zero, pa.array(ids, mask=(flags & 1).astype(bool)), pa.array((flags & 2) > 0)], names)
+                yield by_range(uids, sums, [])
+                yield by_range(_unpacked(row["ids_of"], np.int64), [], [_unpacked(row["ids"], np.int64), _unpacked(row["flags"], np.uint8)])
+
+    def by_range(uids: np.ndarray, sums: list[np.ndarray], ids: list[np.ndarray]) -> pa.RecordBatch:
+        which, first = np.unique(uids >> _RANGE, return_index=True)
+        cut = lambda v: pa.array([_packed(x) for x in np.split(v, first[1:])] if len(which) else [], pa.binary())
+        none = pa.nulls(len(which), pa.binary())
+        return pa.RecordBatch.from_arrays([pa.array(which), cut(uids), *(map(cut, sums) if sums else [none] * 4), *(map(cut, ids) if ids else [none] * 2)], names)
 
     return run
 
@@ -761,16 +783,9 @@ def scored(docs: DataFrame, parts: int = 10, samples: int = SAMPLES, id_col: str
     final = replace(first, tables=(*first.tables, slots[:, 0]), chance=docs.sparkSession.sparkContext.broadcast(context_model(classes, hot.base(), samples)))
     _, slots, _ = summed(state, hot, lambda b: b.samples(final, samples)[1], samples, False)
     final = replace(final, tables=(*final.tables, *slots.T))
-    rows = state.mapInArrow(_scorer(final, samples, n, v), "uid long, n double, known double, base double, lp double, doc_id long, held boolean")
-    sums = rows.groupBy("uid").agg(
-        F.max("doc_id").alias("doc_id"),
-        F.max(F.col("held").cast("int")).alias("held"),
-        F.round(F.sum("n")).cast("long").alias("n_tokens"),
-        F.sum("known").alias("n_known"),
-        F.sum("base").alias("base_score"),
-        F.sum("lp").alias("score"),
-    )
-    return sums.select("doc_id", (F.col("held") == 1).alias("held_out"), "n_tokens", F.round("n_known").cast("long").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), "base_score", "score", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens")).alias("perplexity"))
+    parts = state.mapInArrow(_scorer(final, samples, n, v), _PART)
+    sums = parts.groupBy("range").applyInArrow(_text_sums, "doc_id long, held boolean, n_tokens long, n_known long, base_score double, score double")
+    return sums.select("doc_id", F.col("held").alias("held_out"), "n_tokens", "n_known", F.lit(n).cast("long").alias("train_tokens"), "base_score", "score", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens")).alias("perplexity"))
 
 
 def op7_query(spark, sf_dir: str) -> DataFrame:

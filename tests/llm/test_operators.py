@@ -269,8 +269,9 @@ def test_pair_restaurants_by_brute_force(spark, monkeypatch):
     s = hpy_lm.Seating(hot, d, slots[:, 1], (slots[:, 0],) * 4, chance)
     got = Counter()
     for batch in hpy_lm._scorer(s, 2, n, v)(iter(state.toArrow().to_batches())):
-        for r in batch.to_pylist():
-            got[r["uid"]] += r["lp"]
+        for r in (r for r in batch.to_pylist() if r["lp"] is not None):
+            for uid, lp in zip(hpy_lm._unpacked(r["uid"], np.int64), hpy_lm._unpacked(r["lp"], np.float64)):
+                got[int(uid)] += lp
     lexicon = {r.wh: r.lp for r in words_.collect()}
     top = {int(h) for h, k in zip(hot.ids.view(np.int64), hot.rank) if k < hot.dishes}
     want = []
