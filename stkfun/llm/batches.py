@@ -11,6 +11,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 
 _MIX1 = np.uint64(0xFF51AFD7ED558CCD)
@@ -40,7 +41,8 @@ def lengths(column: pa.Array) -> np.ndarray:
 
 
 def _offsets(column: pa.Array) -> np.ndarray:
-    width = np.int64 if pa.types.is_large_string(column.type) or pa.types.is_large_binary(column.type) else np.int32
+    wide = (pa.types.is_large_string, pa.types.is_large_binary, pa.types.is_large_list)
+    width = np.int64 if any(f(column.type) for f in wide) else np.int32
     return np.frombuffer(column.buffers()[1], width)[column.offset : column.offset + len(column) + 1].astype(np.int64)
 
 
@@ -81,6 +83,31 @@ def word_spans(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return starts, ends, np.searchsorted(starts, off)
 
 
+def word_codes(column: pa.Array) -> tuple[np.ndarray, pa.Array, np.ndarray]:
+    """All words, A-Z lowered, as places in an array of different words (which may hold an
+    empty one that no place names); that array; each text's number of words."""
+    if column.null_count:
+        column = column.fill_null("")
+    lists = pc.ascii_split_whitespace(pc.ascii_lower(column))
+    words = lists.flatten().dictionary_encode()
+    code, first = words.indices.to_numpy(), _offsets(lists)
+    first, counts = first - first[0], np.diff(first)
+    void = np.flatnonzero((lengths(words.dictionary) == 0)[code])
+    if len(void):
+        code = np.delete(code, void)
+        counts -= np.bincount(np.searchsorted(first, void, "right") - 1, minlength=len(counts))
+    words = words.dictionary
+    del lists
+    pa.default_memory_pool().release_unused()  # workers stay, and keep what they once had
+    return code, words, counts
+
+
+def distinct(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Each value's place among the different values, and those as they first come."""
+    found = pa.array(values).dictionary_encode()
+    return found.indices.to_numpy(), found.dictionary.to_numpy()
+
+
 def mixed(h: np.ndarray) -> np.ndarray:
     """A 64-bit finaliser."""
     h = h ^ (h >> np.uint64(33))

@@ -43,7 +43,6 @@ empty table gives an empty result; only the id and text columns are read.
 
 from __future__ import annotations
 
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, replace
 
@@ -53,7 +52,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stkfun.functions.shared import settle
-from stkfun.llm.batches import _ODD, lowered, mixed, small_batches, text_bytes, word_hashes, word_spans
+from stkfun.llm.batches import _ODD, distinct, lengths, mixed, small_batches, text_bytes, word_codes, word_hashes
 from stkfun.llm.ftrl_quality import split_of
 
 SAMPLES = 3
@@ -65,7 +64,6 @@ _CONTEXTS = OWN + CLASSES + 1
 STRENGTH = 1.0
 BYTE_DISCOUNT = 0.5
 BYTE_SWEEPS = 5
-_FLUSH = 200_000
 BUCKET_TOKENS = 1 << 20
 BEGIN = np.uint64(0)  # precedes a text's first token; as a hash it is the end's, which precedes nothing
 
@@ -102,17 +100,18 @@ class Spelling:
 
     def log_words(self, raw: np.ndarray, off: np.ndarray) -> np.ndarray:
         """Natural log probability of each word's spelling and stop."""
-        n = len(off) - 1
-        if not n:
+        return self.log_spelled(*spelled(raw, off))
+
+    def log_spelled(self, code: np.ndarray, cell: np.ndarray, heads: np.ndarray) -> np.ndarray:
+        if not len(heads):
             return np.zeros(0)
-        seq, ctx, heads = spelled(raw, off)
-        cell = ctx * 256 + seq
-        p = self.back[ctx] * self.lower[ctx & 255, seq]
+        ctx, byte = cell >> 8, cell & 255
+        p = self.back[ctx] * self.lower[ctx & 255, byte]
         if len(self.cells):
             at = np.minimum(np.searchsorted(self.cells, cell), len(self.cells) - 1)
             hit = self.cells[at] == cell
             p[hit] = self.chance[at[hit]]
-        return np.add.reduceat(np.log(p), heads)
+        return np.add.reduceat(np.log(p)[code], heads)
 
 
 def uniform_spelling() -> Spelling:
@@ -120,15 +119,17 @@ def uniform_spelling() -> Spelling:
 
 
 def spelled(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Bytes of all words, a zero after each; their contexts (two bytes before); word heads."""
+    """Bytes of all words, a zero after each, with their contexts (two bytes before): as
+    places in a list of different cells, that list, word heads."""
     n = len(off) - 1
-    seq = np.zeros(len(raw) + n, np.int64)
+    seq = np.zeros(len(raw) + n, np.int32)
     seq[np.arange(len(raw)) + np.repeat(np.arange(n), np.diff(off))] = raw
     heads = off[:-1] + np.arange(n)
-    one = np.concatenate([[0], seq[:-1]])
-    two = np.concatenate([[0, 0], seq[:-2]])[: len(seq)]
+    one = np.concatenate([np.zeros(1, np.int32), seq[:-1]])
+    two = np.concatenate([np.zeros(2, np.int32), seq[:-2]])[: len(seq)]
     one[heads] = two[heads] = 0
-    return seq, two * 256 + one, heads
+    code, cell = distinct((two * 256 + one) * 256 + seq)
+    return code, cell.astype(np.int64), heads
 
 
 def byte_restaurants(cells: np.ndarray, count: np.ndarray, sample: int, sweeps: int = BYTE_SWEEPS, discount: float = BYTE_DISCOUNT, strength: float = STRENGTH) -> Spelling:
@@ -163,25 +164,13 @@ def byte_restaurants(cells: np.ndarray, count: np.ndarray, sample: int, sweeps:
 
 def _counter():
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: Counter = Counter()
-
-        def out():
-            return pa.RecordBatch.from_arrays([pa.array(list(seen.keys()), pa.binary()).cast(pa.string()), pa.array(list(seen.values()), pa.int64())], ["word", "c"])
-
-        for batch in batches:
-            for text, held in zip(batch.column("text").to_pylist(), batch.column("held").to_pylist()):
-                words = (text or "").encode().lower().split()
-                if held:
-                    for w in words:
-                        seen[w] += 0
-                else:
-                    seen.update(words)
-                seen[b""] += 0 if held else 1
-                if len(seen) > _FLUSH:
-                    yield out()
-                    seen.clear()
-        if seen:
-            yield out()
+        for batch in small_batches(batches, "text"):
+            code, words, counts = word_codes(batch.column("text"))
+            train = ~batch.column("held").to_numpy(zero_copy_only=False).astype(bool)
+            c = np.bincount(code[np.repeat(train, counts)], minlength=len(words))
+            some = lengths(words) > 0
+            words = pa.concat_arrays([words.cast(pa.string()).filter(pa.array(some)), pa.array([""])])
+            yield pa.RecordBatch.from_arrays([words, pa.array(np.append(c[some], train.sum()))], ["word", "c"])
 
     return run
 
@@ -197,23 +186,29 @@ def _word_ids(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 def _table_sweep(spelling: Spelling, tables: float, discount: float, sample: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = np.zeros(0, np.int64), np.zeros(0)
+        cells, weights = [np.zeros(0, np.int64)], [np.zeros(0)]
         total = 0.0
         for batch in small_batches(batches, "word", 1 << 20):
             raw, off, ids = _word_ids(batch.column("word"))
             count = batch.column("c").to_numpy(zero_copy_only=False)
-            t = _tables(count, spelling.log_words(raw, off), ids, tables, discount, sample)
-            seq, ctx, _ = spelled(raw, off)
-            cell, back = np.unique(np.concatenate([held[0], ctx * 256 + seq]), return_inverse=True)
-            weight = np.concatenate([held[1], np.repeat(t, np.diff(off) + 1)])
-            held = cell, np.bincount(back, weight, len(cell))
+            code, cell, heads = spelled(raw, off)
+            t = _tables(count, spelling.log_spelled(code, cell, heads), ids, tables, discount, sample)
+            cells.append(cell)
+            weights.append(np.bincount(code, np.repeat(t, np.diff(off) + 1), len(cell)))
+            if len(cells) > 16:
+                cells, weights = _merged(cells, weights)
             total += t.sum()
-        cells, counts = np.append(held[0], -1), np.append(held[1], total)
-        yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(counts)], ["cell", "n"])
+        (cell,), (weight,) = _merged(cells, weights)
+        yield pa.RecordBatch.from_arrays([pa.array(np.append(cell, -1)), pa.array(np.append(weight, total))], ["cell", "n"])
 
     return run
 
 
+def _merged(cells: list[np.ndarray], weights: list[np.ndarray]) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    code, cell = distinct(np.concatenate(cells))
+    return [cell], [np.bincount(code, np.concatenate(weights), len(cell))]
+
+
 def _lexicographer(chain: list[tuple[Spelling, Spelling, float, float, int]], discount: float, n_train: int):
     """chain: for each sample the spelling and tables it was seated by, its own, and its number."""
 
@@ -221,10 +216,13 @@ def _lexicographer(chain: list[tuple[Spelling, Spelling, float, float, int]], di
         for batch in small_batches(batches, "word", 1 << 20):
             raw, off, ids = _word_ids(batch.column("word"))
             count = batch.column("c").to_numpy(zero_copy_only=False)
-            p = np.zeros(len(count))
+            p, spelling, last = np.zeros(len(count)), spelled(raw, off), None
             for before, own, t_before, t_own, sample in chain:
-                t = _tables(count, before.log_words(raw, off), ids, t_before, discount, sample)
-                p += (np.maximum(count - discount * t, 0) + (STRENGTH + discount * t_own) * np.exp(own.log_words(raw, off))) / (STRENGTH + n_train)
+                if before is not last:
+                    log_own = before.log_spelled(*spelling)
+                t = _tables(count, log_own, ids, t_before, discount, sample)
+                log_own, last = own.log_spelled(*spelling), own
+                p += (np.maximum(count - discount * t, 0) + (STRENGTH + discount * t_own) * np.exp(log_own)) / (STRENGTH + n_train)
             yield pa.RecordBatch.from_arrays([pa.array(ids.view(np.int64)), batch.column("c"), pa.array(np.log10(np.maximum(p / len(chain), 1e-300)))], ["wh", "c", "lp"])
 
     return run
@@ -291,33 +289,45 @@ def hot_words(words: DataFrame) -> HotWords:
     return HotWords(ids[order], count[order], lp[order], order, min(DISHES, int((count > 0).sum())))
 
 
-def _tokens(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Hashes of all tokens (a text's words, then its end), their texts, and the texts' first tokens."""
-    raw, off = text_bytes(batch.column("text"))
-    raw = lowered(raw)
-    starts, ends, first = word_spans(raw, off)
-    counts = np.diff(first)
-    h = np.full(len(starts) + len(counts), word_hashes(raw[:0], np.zeros(1, np.int64), np.zeros(1, np.int64))[0])
-    owner = np.repeat(np.arange(len(counts)), counts + 1)
-    h[np.arange(len(starts)) + np.repeat(np.arange(len(counts)), counts)] = word_hashes(raw, starts, ends)
-    return h, owner, first[:-1] + np.arange(len(counts))
+def _tokens(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """All tokens (a text's words, then its end) as places among the hashes of different words, their texts,
+    the texts' first tokens, and those hashes (the end's is last)."""
+    code, words, counts = word_codes(batch.column("text"))
+    raw, off = text_bytes(words)
+    none = np.zeros(1, np.int64)
+    h = np.append(word_hashes(raw, off[:-1], off[1:]), word_hashes(raw[:0], none, none))
+    ends, is_word = np.cumsum(counts + 1) - 1, np.ones(len(code) + len(counts), bool)
+    is_word[ends] = False
+    w = np.full(len(is_word), len(words), np.int32)
+    w[is_word] = code
+    return w, np.repeat(np.arange(len(counts), dtype=np.int32), counts + 1), ends - counts, h
 
 
 def _packed(a: np.ndarray) -> bytes:
     """Compressed, all first bytes of the values in front."""
-    raw = a.view(np.uint8).reshape(len(a), -1).T.tobytes() if len(a) else b""
-    return len(raw).to_bytes(8, "little") + (pa.compress(raw, codec="zstd", asbytes=True) if raw else b"")
+    if not len(a):
+        return bytes(8)
+    a = np.ascontiguousarray(a).view(np.uint8).reshape(len(a), -1)
+    raw = np.empty(a.shape[::-1], np.uint8)
+    for k in range(len(raw)):
+        raw[k] = a[:, k]
+    return raw.size.to_bytes(8, "little") + pa.compress(pa.py_buffer(raw), codec="zstd", asbytes=True)
 
 
 def _unpacked(b: bytes, kind) -> np.ndarray:
     size, width = int.from_bytes(b[:8], "little"), np.dtype(kind).itemsize
-    raw = pa.decompress(b[8:], decompressed_size=size, codec="zstd", asbytes=True) if size else b""
-    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(width, -1).T).view(kind).ravel()
-
-
-def _coded(h: np.ndarray, hot: HotWords) -> tuple[np.ndarray, np.ndarray]:
-    """Words as their places among the frequent ones, or behind those in a list of the others."""
-    known, at = hot.look_up(h)
+    if not size:
+        return np.zeros(0, kind)
+    raw = np.frombuffer(pa.decompress(memoryview(b)[8:], decompressed_size=size, codec="zstd"), np.uint8).reshape(width, -1)
+    out = np.empty(raw.shape[::-1], np.uint8)
+    for k in range(width):
+        out[:, k] = raw[k]
+    return out.view(kind).ravel()
+
+
+def _coded(h: np.ndarray, known: np.ndarray, at: np.ndarray, hot: HotWords) -> tuple[np.ndarray, np.ndarray]:
+    """Words (with what ``look_up`` found) as their places among the frequent ones, or behind those in a list
+    of the others."""
     rare = np.unique(h[~known])
     code = at.astype(np.uint32)
     code[~known] = len(hot.ids) + np.searchsorted(rare, h[~known])
@@ -328,16 +338,65 @@ def _steps_of(code: np.ndarray) -> np.ndarray:
     return np.diff(code, prepend=np.uint32(0))
 
 
-def _pairs(batch: pa.RecordBatch, hot: HotWords, buckets: int):
-    """Of all tokens: the word before, the word, the text, the pair's bucket, whether the word and the one
-    before are frequent. A pair lies with its preceding word; where that one is frequent, with a rare word,
-    or else by both."""
-    w, owner, heads = _tokens(batch)
-    known, _ = hot.look_up(w)
-    u, dealt = np.concatenate([w[:1], w[:-1]]), np.concatenate([known[:1], known[:-1]])
-    u[heads], dealt[heads] = BEGIN, True
-    bucket = np.where(dealt, np.where(known, pair_hashes(u, w), mixed(w + _ODD)), mixed(u + _ODD)) % np.uint64(buckets)
-    return u, w, owner, bucket, known, dealt
+@dataclass
+class Pairs:
+    """The different pairs of some texts in the order of their buckets, then of 24 bits of the word before (u)
+    and of the word (w), with what ``look_up`` found of them; for each pair its number of texts, and those in a
+    row with how often the pair is there."""
+
+    u: np.ndarray
+    w: np.ndarray
+    u_known: np.ndarray
+    w_known: np.ndarray
+    u_at: np.ndarray
+    w_at: np.ndarray
+    bucket: np.ndarray
+    n: np.ndarray
+    owner: np.ndarray
+    times: np.ndarray
+
+
+def _pairs(batch: pa.RecordBatch, hot: HotWords, buckets: int) -> Pairs:
+    """A pair lies with its preceding word; where that one is frequent, with a rare word, or else by both."""
+    token, owner, heads, h = _tokens(batch)
+    known, at = hot.look_up(h)
+    by = np.argsort(np.where(known, at.astype(np.uint64), np.uint64(1 << 23) | (h >> np.uint64(41))), kind="stable")
+    rank = np.empty(len(by), np.uint32)
+    rank[by] = np.arange(len(by), dtype=np.uint32)
+    token, end, wide = rank[token], rank[-1], np.uint64(len(by))
+    h, known, at = h[by], known[by], at[by]
+    key = np.concatenate([token[:1], token[:-1]]).astype(np.uint64)
+    key[heads] = end  # precedes nothing else, and its hash is that of the beginning
+    key *= wide
+    key += token
+    del token
+    bits = np.uint64(max(1, batch.num_rows.bit_length()))
+    if 2 * len(by).bit_length() + int(bits) <= 64:
+        key <<= bits
+        key |= owner.view(np.uint32)
+        key.sort()
+        owner = (key & ((np.uint64(1) << bits) - np.uint64(1))).astype(np.int32)
+        key >>= bits
+    else:
+        order = np.argsort(key, kind="stable")
+        key, owner = key[order], owner[order]
+    other = np.concatenate([[True], key[1:] != key[:-1]])
+    entry = other.copy()
+    entry[1:] |= owner[1:] != owner[:-1]
+    entries = np.flatnonzero(entry)
+    times, owner = np.diff(np.append(entries, len(key))).astype(np.uint32), owner[entries]
+    first = np.flatnonzero(other[entries])
+    before, word = np.divmod(key[entries[first]], wide)
+    del key, entry, other
+    u, w = h[before], h[word]
+    bucket = np.where(known[before] | (before == end), np.where(known[word], pair_hashes(u, w), mixed(w + _ODD)), mixed(u + _ODD)) % np.uint64(buckets)
+    order = np.argsort(bucket.astype(np.uint16) if buckets <= 1 << 16 else bucket, kind="stable")
+    n = np.diff(np.append(first, len(entries)))[order]
+    at_entry = np.repeat(first[order] - (np.cumsum(n) - n), n)
+    at_entry += np.arange(len(entries))
+    del entries, first
+    before, word = before[order], word[order]
+    return Pairs(u[order], w[order], known[before], known[word], at[before], at[word], bucket[order].astype(np.int64), n, owner[at_entry], times[at_entry])
 
 
 def pair_hashes(u: np.ndarray, w: np.ndarray) -> np.ndarray:
@@ -350,43 +409,29 @@ _BLOCK = "bucket int, base long, u binary, ru binary, w binary, rw binary, n bin
 def _blocks(hot: HotWords, buckets: int):
     """For each bucket the distinct pairs of some texts, each with its texts (times two, plus one if held out)
     and how often it is there; a chunk's ids go to one bucket."""
-    bits = np.uint64(max(1, int(buckets - 1).bit_length()))
     names = [x.split()[0] for x in _BLOCK.split(", ")]
     kinds = [pa.int32(), pa.int64(), *[pa.binary()] * 9]
 
-    def places(h: np.ndarray) -> np.ndarray:
-        """24 bits to sort by; equal ones of different rare words do no harm."""
-        known, at = hot.look_up(h)
-        return np.where(known, at.astype(np.uint64), np.uint64(1 << 23) | (h >> np.uint64(41)))
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small_batches(batches, "text", 8 << 20):
             held = batch.column("held").to_numpy(zero_copy_only=False).astype(bool)
-            u, w, owner, bucket, _, _ = _pairs(batch, hot, buckets)
-            key = (bucket << (np.uint64(64) - bits)) | (places(u) << (np.uint64(40) - bits)) | ((places(w) << np.uint64(16)) >> bits)
-            order = np.argsort(key, kind="stable")
-            u, w, owner, bucket = u[order], w[order], owner[order], bucket[order].astype(np.int64)
-            other = np.ones(len(u), bool)
-            other[1:] = (u[1:] != u[:-1]) | (w[1:] != w[:-1])
-            entry = other.copy()
-            entry[1:] |= owner[1:] != owner[:-1]
-            entries, pairs = np.flatnonzero(entry), np.flatnonzero(other)
-            times = np.diff(np.append(entries, len(u))).astype(np.uint32)
-            doc = (owner[entries] * 2 + held[owner[entries]]).astype(np.uint32)
-            first = np.searchsorted(entries, pairs)
-            n = np.diff(np.append(first, len(entries))).astype(np.uint32)
+            p = _pairs(batch, hot, buckets)
+            doc = p.owner.astype(np.uint32) * np.uint32(2) + held[p.owner]
+            times, n, of = p.times, p.n.astype(np.uint32), p.bucket
+            first = np.append(0, np.cumsum(p.n))
             base = batch.column("uid")[0].as_py()
-            of, home = bucket[pairs], int(mixed(np.full(1, base, np.uint64))[0] % np.uint64(buckets))
+            home = int(mixed(np.full(1, base, np.uint64))[0] % np.uint64(buckets))
             rows: list[list] = [[] for _ in names]
-            for b in sorted({home, *np.unique(of).tolist()}):
+            for b in sorted({home, *of[np.flatnonzero(np.diff(of, prepend=-1))].tolist()}):
                 lo, hi = np.searchsorted(of, [b, b + 1])
-                e0, e1 = np.append(first, len(entries))[[lo, hi]]
+                e0, e1 = first[[lo, hi]]
                 ids = flags = None
                 if b == home:
                     ids = _packed(batch.column("doc_id").fill_null(0).to_numpy(zero_copy_only=False))
                     flags = _packed((batch.column("doc_id").is_null().to_numpy(zero_copy_only=False) + 2 * held).astype(np.uint8))
-                uc, ru = _coded(u[pairs[lo:hi]], hot)
-                wc, rw = _coded(w[pairs[lo:hi]], hot)
+                mine = slice(lo, hi)
+                uc, ru = _coded(p.u[mine], p.u_known[mine], p.u_at[mine], hot)
+                wc, rw = _coded(p.w[mine], p.w_known[mine], p.w_at[mine], hot)
                 for column, value in zip(rows, (b, base, *map(_packed, (_steps_of(uc), ru, wc, rw, n[lo:hi], doc[e0:e1], times[e0:e1])), ids, flags)):
                     column.append(value)
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(rows, kinds)], names)
@@ -399,8 +444,13 @@ def _rare_words(hot: HotWords, buckets: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small_batches(batches, "text", 8 << 20):
-            _, w, _, bucket, known, dealt = _pairs(batch, hot, buckets)
-            w, bucket = w[~known & ~dealt], bucket[~known & ~dealt]
+            token, _, heads, h = _tokens(batch)
+            known, _ = hot.look_up(h)
+            rare = ~known[token]
+            rare[1:] &= ~known[token[:-1]]
+            rare[heads] = False
+            here = np.flatnonzero(rare)
+            w, bucket = h[token[here]], mixed(h[token[here - 1]] + _ODD) % np.uint64(buckets)
             _, at = np.unique(mixed(w ^ mixed(bucket + _ODD)), return_index=True)
             yield pa.RecordBatch.from_arrays([pa.array(bucket[at].astype(np.int32)), pa.array(w[at].view(np.int64))], ["bucket", "wh"])
 
@@ -443,43 +493,70 @@ def _hashes(code: np.ndarray, rare: np.ndarray, hot: HotWords) -> np.ndarray:
     return np.concatenate([hot.ids, rare])[code] if len(code) else np.zeros(0, np.uint64)
 
 
+def _one_list(codes: list[np.ndarray], rares: list[np.ndarray], hot: HotWords) -> tuple[np.ndarray, np.ndarray]:
+    """Codes of several blocks as codes of one list of rarer words."""
+    frequent, rare = len(hot.ids), np.unique(_joined(rares, np.uint64))
+    for code, own in zip(codes, rares):
+        mine = code >= frequent
+        code[mine] = frequent + np.searchsorted(rare, own)[code[mine] - frequent]
+    return _joined(codes, np.uint32), rare
+
+
+def _order(key: np.ndarray) -> np.ndarray:
+    """A stable order of keys; with their places in the low bits, where there is room, sorted at once."""
+    bits = np.uint64(max(1, len(key)).bit_length())
+    if not len(key) or int(key.max()).bit_length() + int(bits) > 64:
+        return np.argsort(key, kind="stable")
+    return (np.sort((key << bits) | np.arange(len(key), dtype=np.uint64)) & ((np.uint64(1) << bits) - np.uint64(1))).astype(np.int64)
+
+
 def _gatherer(hot: HotWords):
     """All blocks of a bucket as one: each pair once, with its training tokens."""
 
     def run(table: pa.Table) -> pa.Table:
-        us, ws, ns, docs, times, id_uids, ids, flags, wh, wc, wlp = ([] for _ in range(11))
+        us, ws, rus, rws, ns, docs, held, times, uids, id_uids, ids, flags, wh, wc, wlp = ([] for _ in range(15))
+        texts = 0
         for r in sorted(table.to_pylist(), key=lambda r: (r["base"] is None, r["base"] or 0)):
             if r["base"] is None:
                 for out, name, kind in ((wh, "rw", np.uint64), (wc, "u", np.int64), (wlp, "w", np.float64)):
                     out.append(_unpacked(r[name], kind))
                 continue
-            us.append(_hashes(np.cumsum(_unpacked(r["u"], np.uint32), dtype=np.uint32), _unpacked(r["ru"], np.uint64), hot))
-            ws.append(_hashes(_unpacked(r["w"], np.uint32), _unpacked(r["rw"], np.uint64), hot))
+            us.append(np.cumsum(_unpacked(r["u"], np.uint32), dtype=np.uint32))
+            ws.append(_unpacked(r["w"], np.uint32).copy())
+            rus.append(_unpacked(r["ru"], np.uint64))
+            rws.append(_unpacked(r["rw"], np.uint64))
             ns.append(_unpacked(r["n"], np.uint32))
             times.append(_unpacked(r["times"], np.uint32))
-            docs.append(_unpacked(r["doc"], np.uint32).astype(np.int64) + 2 * r["base"])
+            doc = _unpacked(r["doc"], np.uint32)
+            held.append((doc & 1).astype(bool))
+            doc = (doc >> 1).astype(np.int64)
+            here = np.bincount(doc) > 0
+            docs.append((texts + np.cumsum(here) - 1)[doc])
+            uids.append(np.flatnonzero(here) + r["base"])
+            texts += len(uids[-1])
             if r["ids"] is not None:
                 ids.append(_unpacked(r["ids"], np.int64))
                 flags.append(_unpacked(r["flags"], np.uint8))
                 id_uids.append(np.arange(len(ids[-1])) + r["base"])
-        (u, ru), (w, rw) = _coded(_joined(us, np.uint64), hot), _coded(_joined(ws, np.uint64), hot)
+        (u, ru), (w, rw) = _one_list(us, rus, hot), _one_list(ws, rws, hot)
         n, doc, time = _joined(ns, np.uint32).astype(np.int64), _joined(docs, np.int64), _joined(times, np.uint32)
-        key = (u.astype(np.uint64) << np.uint64(32)) | w
-        order = np.argsort(key, kind="stable")
+        width = np.uint64((len(hot.ids) + len(rw)).bit_length())
+        key = (u.astype(np.uint64) << width) | w
+        order = _order(key)
         key, starts, n = key[order], (np.cumsum(n) - n)[order], n[order]
         at = np.repeat(starts - (np.cumsum(n) - n), n) + np.arange(len(doc))
         doc, time = doc[at], time[at]
         pairs = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
         first, key = (np.cumsum(n) - n)[pairs], key[pairs]
-        trained = np.where(doc & 1, 0, time).astype(np.int64)
+        trained = np.where(_joined(held, bool)[at], 0, time).astype(np.int64)
         c = np.add.reduceat(trained, first) if len(first) else np.zeros(0, np.int64)
         n = np.diff(np.append(first, len(doc))).astype(np.uint32)
-        uids, doc = np.unique(doc >> 1, return_inverse=True)
+        uids = _joined(uids, np.int64)
         wh, where = np.unique(_joined(wh, np.uint64), return_index=True)
         at = np.searchsorted(wh, rw)
         if len(rw) and (not len(wh) or (wh[np.minimum(at, len(wh) - 1)] != rw).any()):
             raise RuntimeError("the texts have changed between two readings")
-        values = (_steps_of((key >> np.uint64(32)).astype(np.uint32)), ru, key.astype(np.uint32), rw, _joined(wc, np.int64)[where][at], _joined(wlp, np.float64)[where][at])
+        values = (_steps_of((key >> width).astype(np.uint32)), ru, (key & ((np.uint64(1) << width) - np.uint64(1))).astype(np.uint32), rw, _joined(wc, np.int64)[where][at], _joined(wlp, np.float64)[where][at])
         values += (c, n, doc.astype(np.uint32), time, np.diff(uids, prepend=0), _joined(id_uids, np.int64), _joined(ids, np.int64), _joined(flags, np.uint8))
         names = [x.split()[0] for x in _BUCKET.split(", ")]
         return pa.table([pa.array([table.column("bucket")[0].as_py()], pa.int32()), *(pa.array([_packed(v)], pa.binary()) for v in values)], names=names)

@@ -7,11 +7,13 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 from pyspark.sql import functions as F
 
 from stkfun.llm import divergence_rules, ftrl_quality, hpy_lm, license_scan, phrase_dedup, pii_sanitize, simhash_pivots, slot_sharding, source_mix, tiling_decontam
+from stkfun.llm.batches import text_bytes, word_codes, word_hashes
 
 
 def words(text, lower=False):
@@ -601,3 +603,22 @@ def test_periodic_texts_lose_all_words(spark):
     rows = [(1, "a " * 60_000), (2, "a " * 50), (3, "b c " * 20_000), (4, "d " * 35), (5, "e " * 36)]
     got = {r.doc_id: (r.n_words, r.n_removed) for r in phrase_dedup.deduplicated(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == {1: (60_000, 60_000), 2: (50, 50), 3: (40_000, 40_000), 4: (35, 0), 5: (36, 36)}
+
+
+def test_words_are_looked_up_once_a_batch(monkeypatch):
+    texts = [" b\x0bA  a\tb  \x1cb ", "", None, "\n", "Äa a", "a b " * 2000]
+    batch = pa.RecordBatch.from_pydict({"uid": list(range(6)), "doc_id": list(range(6)), "held": [False] * 6, "text": texts})
+    code, words, counts = word_codes(batch.column("text"))
+    want = [(t or "").encode().lower().split() for t in texts]
+    assert [words[c].as_py().encode() for c in code.tolist()] == [w for t in want for w in t] and counts.tolist() == [len(t) for t in want]
+    raw, off = text_bytes(words)
+    ids = np.unique(np.append(word_hashes(raw, off[:-1], off[1:]), np.uint64(0)))
+    hot = hpy_lm.HotWords(ids[:3], np.ones(3, np.int64), np.zeros(3), np.arange(3), 3)
+    asked, look_up = [], hpy_lm.HotWords.look_up
+    monkeypatch.setattr(hpy_lm.HotWords, "look_up", lambda self, h: asked.append(len(h)) or look_up(self, h))
+    blocks = list(hpy_lm._blocks(hot, 5)(iter([batch])))
+    list(hpy_lm._rare_words(hot, 5)(iter([batch])))
+    assert sum(asked) <= 2 * (len(words) + 1)
+    pairs = Counter((i, u, w) for i, t in enumerate(want) for u, w in zip([None, *t], [*t, b""]))
+    got = [hpy_lm._unpacked(x, np.uint32) for b in blocks for x in b.column("times").to_pylist()]
+    assert sorted(np.concatenate(got).tolist()) == sorted(pairs.values())
