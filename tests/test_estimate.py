@@ -288,3 +288,18 @@ def test_nearest_neighbours_start_where_few_pairs_are_ranked(spark):
         want = sorted((math.sqrt((a[1] - b[1]) ** 2 + (a[2] - b[2]) ** 2 + ((a[3] - b[3]) / HOUR) ** 2), b[0]) for b in rows if b[0] != i)[:3]
         for rank, (r, _) in enumerate(want, 1):
             assert math.isclose(got[i, rank][1], r, abs_tol=1e-9)
+
+
+def test_hits_are_counted_where_pairs_are_found(spark):
+    """The same counts as by joining pairs with the cache, with copies and tolerances; pairs are not shuffled."""
+    rows = [(i, float(i * 7 % 40), float(i * 11 % 30), (i * 13 % 50) * HOUR) for i in range(300)]
+    rows += [(1000 + i, x, y, t) for i, x, y, t in rows[:60]]
+    points = spark.createDataFrame([(i, x, y, t, t) for i, x, y, t in rows], "id long, x double, y double, t0 long, t1 long")
+    sets = points.withColumn("sim", F.lit(1)).unionByName(points.withColumns({"t0": F.col("t0") + F.col("id") % 9 * HOUR, "sim": F.lit(2)}))
+    for tols in ((None, None), (2.0, 0.5)):
+        cache = wc.fill(pr.pairs_cells(points.where("id % 2 = 0"), 5.0, 6 * HOUR, window=W_EVENTS), W_EVENTS, *tols)
+        want = wc.cache_stats(pr.pairs_cells(sets, 5.0, 6 * HOUR, ("sim",), window=W_EVENTS), cache, ("sim",))
+        got = wc.search_stats(sets, cache, 5.0, 6 * HOUR, ("sim",))
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect())) and all(0 < r.space_hits < r.lookups for r in got.collect())
+        last = next(line for line in got._jdf.queryExecution().optimizedPlan().toString().splitlines() if " Join " in line or line.strip(" +-:").startswith("Join "))
+        assert "c_id" in last and "q_id" in last  # nothing is joined after the pairs
