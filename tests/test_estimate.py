@@ -303,3 +303,14 @@ def test_hits_are_counted_where_pairs_are_found(spark):
         assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect())) and all(0 < r.space_hits < r.lookups for r in got.collect())
         last = next(line for line in got._jdf.queryExecution().optimizedPlan().toString().splitlines() if " Join " in line or line.strip(" +-:").startswith("Join "))
         assert "c_id" in last and "q_id" in last  # nothing is joined after the pairs
+
+
+def heavy(spark):
+    """Two places of 70,000 coincident points each: 4.9e9 pairs at distance 1, 4.9e9 at 0 in each."""
+    return spark.createDataFrame([(i, 5.0 + i, 5.0, 50 * HOUR, 50 * HOUR, 70_000, None, "m") for i in (0, 1)], src.SCHEMA)
+
+
+
+def test_unweighted_pairs_sum_beyond_a_long(spark):
+    got = est.estimate_k(heavy(spark), SQUARE, GRID, correction="none", mult="mult").where("si = 2 and ti = 2").first()
+    assert got.pairs == 140_000 * 139_999 and math.isclose(got.k, 100 * 100)
