@@ -2,12 +2,14 @@
 
 import math
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from stkfun.config import HOUR, W_EVENTS, DistanceGrid, StudyWindow
 from stkfun.functions.geometry import ellipse_ring, rect_ring
 from stkfun.operators import estimate as est
+from stkfun.operators import key_blocks as kb
 from stkfun.operators import pairs as pr
 from stkfun.operators import partition as part
 from stkfun.operators import simulate as sim
@@ -314,3 +316,22 @@ def heavy(spark):
 def test_unweighted_pairs_sum_beyond_a_long(spark):
     got = est.estimate_k(heavy(spark), SQUARE, GRID, correction="none", mult="mult").where("si = 2 and ti = 2").first()
     assert got.pairs == 140_000 * 139_999 and math.isclose(got.k, 100 * 100)
+
+
+def scattered(spark):
+    """Dense and sparse places, some of several points, times that recur."""
+    rows = [(i, 20 + (i * 37 % 400) / 100, 20 + (i * 53 % 300) / 100, (i * 7 % 96) * HOUR // 4) for i in range(600)]
+    rows += [(1000 + i, 100 + i * 7 % 9, 50 + i * 5 % 7, i * 5 % 24 * HOUR) for i in range(40)]
+    rows += [(2000 + i, x, y, t + (i % 3) * HOUR) for i, x, y, t in rows[:90]] + [(3000, -3.0, -0.5, 0), (3001, -1.25, 0.0, -HOUR), (3002, 300, 50, 0)]
+    return make(spark, rows)
+
+
+def test_tolerance_keys_are_found_in_blocks(spark):
+    """The keys of all pairs; pairs are not shuffled, and a place that shows every distance is left."""
+    p, key = scattered(spark), lambda df: sorted(map(tuple, df.collect()))
+    got = kb.space_cache(p, W_EVENTS, 2.0, 20 * HOUR, 1.0, 0.5)
+    assert key(got) == key(wc.space_cache(pr.pairs_cells(p, 2.0, 20 * HOUR, window=W_EVENTS), W_EVENTS, 1.0, 0.5))
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan and "FlatMapGroupsInArrow" in plan
+    v = np.array([0.0, 0.125, 0.1249999999999999, 0.375, 4.999])
+    assert list(kb.rounded_steps(v, 0.25)) == [0, 1, 0, 2, 20] and kb.rounded_steps(np.array([0.49999999999999994]), 1.0)[0] == 0
