@@ -3,6 +3,7 @@
 import math
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -335,3 +336,19 @@ def test_tolerance_keys_are_found_in_blocks(spark):
     assert "Join" not in plan and "FlatMapGroupsInArrow" in plan
     v = np.array([0.0, 0.125, 0.1249999999999999, 0.375, 4.999])
     assert list(kb.rounded_steps(v, 0.25)) == [0, 1, 0, 2, 20] and kb.rounded_steps(np.array([0.49999999999999994]), 1.0)[0] == 0
+
+
+def test_keys_are_counted_in_blocks(spark, monkeypatch):
+    """Distinct keys as by sets of all pairs, also when values of a key are thinned on the way; pairs are not shuffled."""
+    p = scattered(spark)
+    pairs = pr.pairs_cells(p, 2.0, 20 * HOUR, window=W_EVENTS)
+    got = kb.key_counts(p, W_EVENTS, 2.0, 20 * HOUR)
+    want = wc.key_counts(pairs).first()
+    assert got.first() == want and want.space_keys < want.pairs and want.time_keys < want.pairs
+    assert tuple(kb.key_counts(p.limit(0), W_EVENTS, 2.0, HOUR).first()) == (0, 0, 0, 0, 0)
+    joins = [line for line in got._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Join" in line]
+    assert len(joins) == 1 and "Cross" in joins[0] or "Join Inner" in joins[0]  # of the two single rows
+    table = pa.Table.from_pandas(p.select("id", "x", "y", "t0").toPandas().assign(own=True))
+    whole = kb.counting(2.0, 20 * HOUR, ("t0",))(table).to_pylist()
+    monkeypatch.setattr(kb, "GATHERED", 10)
+    assert kb.counting(2.0, 20 * HOUR, ("t0",))(table).to_pylist() == whole and whole[0]["keys"] == want.time_keys
