@@ -352,3 +352,10 @@ def test_keys_are_counted_in_blocks(spark, monkeypatch):
     whole = kb.counting(2.0, 20 * HOUR, ("t0",))(table).to_pylist()
     monkeypatch.setattr(kb, "GATHERED", 10)
     assert kb.counting(2.0, 20 * HOUR, ("t0",))(table).to_pylist() == whole and whole[0]["keys"] == want.time_keys
+
+
+def test_surfaces_sum_more_weight_than_a_long_holds(spark):
+    got = est.estimate_k(heavy(spark), SQUARE, GRID, mult="mult").where("si = 1 and ti = 1").first()
+    assert got.pairs == 140_000 * 139_999 and math.isclose(got.k, 100 * 100)
+    hist = spark.createDataFrame([(i, 1, 1, 8 * 10**18) for i in (0, 1)], "si int, ti int, pairs long, wfix long")
+    assert int(est.cumulate(hist, GRID).agg(F.max("wfix")).first()[0]) == 16 * 10**18
