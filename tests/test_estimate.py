@@ -359,3 +359,9 @@ def test_surfaces_sum_more_weight_than_a_long_holds(spark):
     assert got.pairs == 140_000 * 139_999 and math.isclose(got.k, 100 * 100)
     hist = spark.createDataFrame([(i, 1, 1, 8 * 10**18) for i in (0, 1)], "si int, ti int, pairs long, wfix long")
     assert int(est.cumulate(hist, GRID).agg(F.max("wfix")).first()[0]) == 16 * 10**18
+
+
+def test_translation_weights_sum_beyond_a_long(spark):
+    got = est.estimate_k(heavy(spark), SQUARE, GRID, correction="translation", mult="mult").where("si = 1 and ti = 1").first()
+    m = 70_000
+    assert math.isclose(got.k, 1e4 * (2 * m * (m - 1) + 2 * m * m / 0.9) / (2 * m * (2 * m - 1)), rel_tol=1e-8)
