@@ -14,6 +14,7 @@ from stkfun.operators import key_blocks as kb
 from stkfun.operators import pairs as pr
 from stkfun.operators import partition as part
 from stkfun.operators import simulate as sim
+from stkfun.operators import tabular as tab
 from stkfun.operators import weight_cache as wc
 from stkfun.config import KJob
 from stkfun.plans import job, metrics, planner
@@ -365,3 +366,10 @@ def test_translation_weights_sum_beyond_a_long(spark):
     got = est.estimate_k(heavy(spark), SQUARE, GRID, correction="translation", mult="mult").where("si = 1 and ti = 1").first()
     m = 70_000
     assert math.isclose(got.k, 1e4 * (2 * m * (m - 1) + 2 * m * m / 0.9) / (2 * m * (2 * m - 1)), rel_tol=1e-8)
+
+
+def test_matrix_of_a_surface_beyond_a_long(spark):
+    got = {r["si"]: r for r in tab.surface_matrix(est.estimate_k(heavy(spark), SQUARE, GRID, mult="mult"), 2).collect()}
+    for si in (1, 2):
+        for ti in (1, 2):
+            assert math.isclose(got[si][str(ti)], math.sqrt(1e4 / (2 * math.pi * 10 * ti)) - si)
